@@ -75,20 +75,32 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
+_SHAPE = np.arange(256, dtype=np.uint8)
+_SHAPE[65:91], _SHAPE[97:123], _SHAPE[128:], _SHAPE[48:58] = 65, 97, 97, 57
+
+
 class Words:
-    """The words of many texts at once: .hash of each word (64 bits, A-Z lowered), .doc it belongs to, .start and .end bytes."""
+    """The words of many texts at once: .hash of each word (64 bits, A-Z lowered), .doc it belongs to, .start and .end bytes.
+
+    With shapes, letters become A or a, digits 9, and runs of one sign a single one, before words are hashed.
+    """
 
     BASE = 0x9E3779B97F4A7C15
     INVERSE = pow(BASE, -1, 2**64)
 
-    def __init__(self, texts: list[bytes], lower: bool = True):
+    def __init__(self, texts: list[bytes], lower: bool = True, shapes: bool = False):
         data = np.frombuffer(b"\n".join(texts) + b"\n", dtype=np.uint8)
         bounds = np.cumsum([len(t) + 1 for t in texts]) if texts else np.zeros(0, dtype=np.int64)
+        if shapes and texts:
+            data = _SHAPE[data]
+            keep = np.ones(len(data), dtype=bool)
+            keep[1:] = (data[1:] != data[:-1]) | _WHITE[data[1:]]
+            bounds, data = np.cumsum(keep)[bounds - 1], data[keep]
         space = _WHITE[data]
         edge = np.diff(np.concatenate([[True], space, [True]]).astype(np.int8))
         self.start, self.end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
         self.doc = np.searchsorted(bounds, self.start, side="right")
-        self.bytes = _LOWER[data] if lower else data
+        self.bytes = _LOWER[data] if lower and not shapes else data
         run = np.zeros(len(data) + 1, dtype=np.uint64)
         np.cumsum((self.bytes.astype(np.uint64) + np.uint64(1)) * _powers(self.BASE, len(data)), out=run[1:])
         undo = _powers(self.INVERSE, len(data) + 1)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from replica_sync.llm import bpe, html_extract, jaccard_join, lm_score, media_avi, mixing, quality_rules, secret_scan, token_files
+from replica_sync.llm import bpe, html_extract, jaccard_join, lm_score, media_avi, mixing, quality_nb, quality_rules, secret_scan, token_files
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,6 +25,10 @@ def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.similar_documents(_docs(spark, sf_dir))
 
 
+def op4_quality_nb(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_nb.score_quality(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_texts(_docs(spark, sf_dir))
 
