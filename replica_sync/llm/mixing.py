@@ -5,14 +5,13 @@ level makes all targets add up to the whole. With the sources sorted by cap/weig
 the breakpoint stop at their cap and the rest share what is left by weight: running sums give it.
 
 Takes: each document is taken floor(t_s / size_s) whole times; one more repetition goes to the
-documents first in a seeded order, until the source's fractional part is filled. The order is cut
-into ranges, so that no source, however large, is ordered in one task.
+documents first in a seeded order, until the source's fractional part is filled. The document in which it
+runs out is taken as a fraction: up to that word. The order is cut into ranges, and only the range
+with that document is sorted, so that no source, however large, is ordered in one task.
 """
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -20,7 +19,7 @@ from replica_sync.llm.common import WORD, kept_as_table, pick
 
 #: The weights that sources get by turns.
 WEIGHTS = (5, 2, 1)
-RANGES = 4096
+RANGES = 1024
 
 
 def word_count(text: Column) -> Column:
@@ -53,31 +52,36 @@ def mix_sources(docs: DataFrame, doc_id: str = "doc_id", source: str = "source",
     """doc_id, size, source_size, target, repeats, taken for every row.
 
     size counts words (null text: 0); the seeded order is by md5 of seed and doc_id, ties by doc_id and size, so
-    reruns agree. taken = repeats * size and repeats <= max_epochs. Rows equal in id and size share one
-    fate. Null sources form one source of their own; a source without words has target 0 and takes
+    reruns agree. taken = repeats * size and repeats <= max_epochs; repeats is whole but for one document of a
+    source. Null sources form one source of their own; a source without words has target 0 and takes
     nothing. An empty table gives an empty result; other columns are not read.
     """
     rows = pick(docs, doc_id=doc_id, source=source, text=text)
     key = F.conv(F.substring(F.md5(F.concat_ws("#", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))), 1, 12), 16, 10).cast("long")
     sized = kept_as_table(rows.select("doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("key")), "mix-sizes")
-    piece = F.floor(F.col("key") / F.lit(2**48 // ranges)).cast("int")
-    mixed = water_filled(sources_of(sized, weights), max_epochs)
-    per_range = sized.groupBy("source", piece.alias("piece")).agg(F.sum("size").alias("held"))
-    so_far = Window.partitionBy("source").orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
-    ahead = per_range.withColumn("ahead", F.coalesce(F.sum("held").over(so_far), F.lit(0)))
+    span = 2**48 // ranges
+    piece = F.floor(F.col("key") / F.lit(span)).cast("int")
+    per_range = kept_as_table(sized.groupBy("source", piece.alias("piece")).agg(F.sum("size").alias("held")), "mix-ranges")
+    mixed = water_filled(sources_of(per_range.withColumnRenamed("held", "size"), weights), max_epochs)
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    plan = (
-        ahead.join(mixed, ahead["source"].eqNullSafe(mixed["source"]))
-        .select(ahead["source"].alias("of"), F.col("piece").alias("range"), "held", "ahead", "source_size", "target", F.floor(ratio).alias("whole"))
-        .withColumn("part", F.col("target") - F.col("whole") * F.col("source_size"))
+    shares = kept_as_table(mixed.select(F.col("source").alias("of"), "source_size", "target", F.floor(ratio).alias("whole"), (F.col("target") - F.floor(ratio) * F.col("source_size")).alias("part")), "mix-shares")
+    # the range of each source in which its fractional part runs out, and what the ranges before it hold
+    so_far = Window.partitionBy("source").orderBy("piece").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    upto = per_range.withColumn("upto", F.sum("held").over(so_far)).join(shares.select("of", "part"), F.col("source").eqNullSafe(F.col("of")))
+    last = upto.groupBy("of").agg(F.min(F.when(F.col("upto") > F.col("part"), F.col("piece"))).alias("cut"), F.max(F.when(F.col("upto") <= F.col("part"), F.col("upto"))).alias("ahead"))
+    plan = kept_as_table(
+        shares.withColumnRenamed("of", "source").join(last, F.col("source").eqNullSafe(F.col("of"))).select(F.col("source").alias("of"), "source_size", "target", "whole", "part", F.coalesce("cut", F.lit(ranges)).alias("cut"), F.coalesce("ahead", F.lit(0)).alias("ahead")),
+        "mix-plan",
     )
-    # documents of ranges wholly before or after the cut need no order; only the range that holds the cut is sorted
-    found = sized.withColumn("range", piece).join(plan.withColumnRenamed("range", "plan_range"), F.col("source").eqNullSafe(F.col("of")) & (F.col("range") == F.col("plan_range")))
-    cut = (F.col("ahead") < F.col("part")) & (F.col("ahead") + F.col("held") > F.col("part"))
-    settled = found.where(~cut).withColumn("more", (F.col("ahead") + F.col("held") <= F.col("part")).cast("long"))
-    in_order = Window.partitionBy("source", "range").orderBy("key", F.col("doc_id").asc_nulls_first(), "size").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    upto = F.col("ahead") + F.sum("size").over(in_order)
-    sorted_range = found.where(cut).withColumn("more", (upto - F.floor(F.col("size") / 2) <= F.col("part")).cast("long"))
-    both = reduce(DataFrame.unionByName, (settled, sorted_range))
-    repeats = F.least(F.col("whole") + F.col("more"), F.lit(max_epochs))
-    return both.select("doc_id", "size", "source_size", "target", repeats.alias("repeats"), (repeats * F.col("size")).alias("taken"))
+    found = sized.withColumn("piece", piece).join(plan, F.col("source").eqNullSafe(F.col("of")))
+    # only the range in which the fractional part runs out has to be put in order
+    whole = F.col("whole").cast("long")
+    here = F.col("piece") == F.col("cut")
+    beside = found.where(~here).withColumn("more", F.when(F.col("piece") < F.col("cut"), F.col("size")).otherwise(F.lit(0)).cast("long"))
+    in_order = Window.partitionBy("source").orderBy("key", F.col("doc_id").asc_nulls_first(), "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    before = F.col("ahead") + F.sum("size").over(in_order) - F.col("size")
+    within = found.where(here).withColumn("more", F.greatest(F.lit(0), F.least(F.col("size"), F.round(F.col("part")).cast("long") - before)).cast("long"))
+    taken = F.least(whole * F.col("size") + F.col("more"), max_epochs * F.col("size"))
+    both = beside.unionByName(within).withColumn("taken", taken)
+    repeats = F.when(F.col("size") > 0, F.col("taken") / F.col("size")).otherwise(F.lit(0.0))
+    return both.select("doc_id", "size", "source_size", "target", repeats.alias("repeats"), "taken")
