@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from replica_sync.llm.common import WORD, pick
+from replica_sync.llm.common import kept_as_table, pick
 
 SPACE = "[\\x20\\x09-\\x0D]+"
 # Fixed value: the characters that count as symbols.
@@ -40,14 +40,14 @@ def measured(rows: DataFrame) -> DataFrame:
         F.transform("words", lambda w: F.xxhash64(w)).alias("marks"),
     )
     triple = F.when(F.size("marks") >= 3, F.transform(F.slice("marks", 1, F.greatest(F.size("marks") - 2, F.lit(0))), lambda _, i: F.xxhash64(F.get("marks", i), F.get("marks", i + 1), F.get("marks", i + 2)))).otherwise(F.array().cast("array<bigint>"))
-    third = second.withColumn("windows", triple).drop("marks").withColumn("sorted", F.array_sort("windows"))
+    third = second.withColumn("windows", triple).drop("marks").withColumn("sorted", F.sort_array("windows"))
     repeated = F.filter("sorted", lambda h, i: (i > 0) & (F.get("sorted", i - 1) == h))
     fourth = third.withColumn("again", F.array_distinct(repeated)).drop("sorted")
     # only texts with repeated windows go on: their windows with places, in order of the hash, flag both neighbours
-    placed = F.array_sort(F.transform("windows", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+    placed = F.sort_array(F.transform("windows", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
     fifth = fourth.withColumn("placed", F.when(F.size("again") > 0, placed)).drop("windows", "again")
     twice = F.filter("placed", lambda x, k: (F.get("placed", k - 1)["h"] == x["h"]).eqNullSafe(True) | (F.get("placed", k + 1)["h"] == x["h"]).eqNullSafe(True))
-    at = F.array_sort(F.transform(twice, lambda x: x["i"]))
+    at = F.sort_array(F.transform(twice, lambda x: x["i"]))
     sixth = fifth.withColumn("at", at).drop("placed")
     covered = F.aggregate(F.transform("at", lambda p, k: F.least(F.lit(3), F.coalesce(F.get("at", k + 1) - p, F.lit(3)))), F.lit(0), lambda a, x: a + x)
     return sixth.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long")).drop("at")
@@ -120,7 +120,7 @@ def judge_quality(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", r
     table gives an empty result; other columns are not read.
     """
     rules = rules or standard_rules()
-    base = measured(pick(docs, doc_id=doc_id, text=text))
+    base = kept_as_table(measured(pick(docs, doc_id=doc_id, text=text)), "quality-measures")  # each text is measured once
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     code = sum((F.when(r.bad, 0).when(r.good, 2).otherwise(1) * 3**k for k, r in enumerate(rules)), F.lit(0))
     voted = base.withColumn("base_failed", failed).withColumn("code", code)
