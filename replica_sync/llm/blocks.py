@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Bytes of input, as the optimizer estimates them, that make a block.
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 4 << 20
 REQUEST = "part int, block int, words binary, grams binary"
 
 

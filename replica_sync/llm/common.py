@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -18,7 +19,10 @@ WORD = "[^\\x20\\x09-\\x0D]+"
 
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A new folder below spark.checkpoint.dir; a temporary one only where that setting is missing."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext._jsc.sc().getCheckpointDir().getOrElse(None)
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        kept = spark.sparkContext._jsc.sc().getCheckpointDir()
+        base = kept.get() if kept.isDefined() else None
     if not base:
         base = "file://" + tempfile.mkdtemp(prefix="replica_sync_")
         spark.sparkContext.setCheckpointDir(base)
@@ -50,6 +54,20 @@ def small_batches(batches: Iterator[pa.RecordBatch], column: str, most_bytes: in
             yield batch.slice(a, b - a)
 
 
+def splitter(pattern: str) -> Callable[[str], list[str]]:
+    """All matches of a pattern with \\p{L} and \\p{N}. ASCII texts take the standard library's engine, with the classes' ASCII
+    members spelt out; the matches are the same.
+    """
+    import regex
+
+    whole = regex.compile(pattern).findall
+    plain = pattern.replace("[^\\s\\p{L}\\p{N}]", "[^\\sA-Za-z0-9]").replace("\\p{L}", "[A-Za-z]").replace("\\p{N}", "[0-9]")
+    if "\\p" in plain:
+        return whole
+    ascii_only = re.compile(plain, re.A).findall
+    return lambda text: ascii_only(text) if text.isascii() else whole(text)
+
+
 _WHITE = np.zeros(256, dtype=bool)
 _WHITE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -87,6 +105,8 @@ class Words:
 
     BASE = 0x9E3779B97F4A7C15
     INVERSE = pow(BASE, -1, 2**64)
+    PIECE = 1 << 17
+    _up = _down = np.ones(1, dtype=np.uint64)
 
     def __init__(self, texts: list[bytes], lower: bool = True, shapes: bool = False):
         data = np.frombuffer(b"\n".join(texts) + b"\n", dtype=np.uint8)
@@ -101,13 +121,24 @@ class Words:
         self.start, self.end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
         self.doc = np.searchsorted(bounds, self.start, side="right")
         self.bytes = _LOWER[data] if lower and not shapes else data
-        run = np.zeros(len(data) + 1, dtype=np.uint64)
-        np.cumsum((self.bytes.astype(np.uint64) + np.uint64(1)) * _powers(self.BASE, len(data)), out=run[1:])
-        undo = _powers(self.INVERSE, len(data) + 1)
-        self.hash = mixed((run[self.end] - run[self.start]) * undo[self.start] + (self.end - self.start).astype(np.uint64) * np.uint64(0xA24BAED4963EE407))
+        self.hash = np.empty(len(self.start), dtype=np.uint64)
+        a = 0
+        while a < len(self.start):  # in pieces that stay in the processor's cache; a longer word is a piece of its own
+            b = max(a + 1, int(np.searchsorted(self.end, self.start[a] + self.PIECE, side="right")))
+            self.hash[a:b] = self._hashes(int(self.start[a]), self.start[a:b], self.end[a:b])
+            a = b
         self.count = np.bincount(self.doc, minlength=len(texts)).astype(np.int64)
         self.first = np.concatenate([[0], np.cumsum(self.count)])[:-1].astype(np.int64)
 
+    def _hashes(self, base: int, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        data = self.bytes[base : int(end[-1])]
+        n = len(data)
+        if n >= len(Words._up):
+            Words._up, Words._down = _powers(self.BASE, n + 1), _powers(self.INVERSE, n + 1)
+        run = np.zeros(n + 1, dtype=np.uint64)
+        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * Words._up[:n], out=run[1:])
+        return mixed((run[end - base] - run[start - base]) * Words._down[start - base] + (end - start).astype(np.uint64) * np.uint64(0xA24BAED4963EE407))
+
 
 def texts_of(batch: pa.RecordBatch, column: str = "text") -> list[bytes]:
     """UTF-8 of the column's texts; null counts as empty."""
