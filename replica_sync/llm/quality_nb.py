@@ -162,11 +162,18 @@ def fitted_model(labelled: DataFrame, bits: int = BITS, rows: int = FITTED_ROWS,
         yield pa.record_batch([pa.array([weight.tobytes()]), pa.array([curve[0]]), pa.array([curve[1]])], names=["weight", "a", "b"])
 
     order = F.md5(F.concat_ws("#", F.lit(str(seed)), F.col("doc_id").cast("string")))
-    sample = labelled.select("doc_id", "text", "label").orderBy(order, "text").limit(rows)
+    share = min(1.0, 1.5 * rows / (good + bad) + 64 / (good + bad))  # more than rows of them, so that little is sorted
+    first = F.conv(F.substring(order, 1, 8), 16, 10).cast("bigint") <= int(share * 2**32)
+    sample = labelled.select("doc_id", "text", "label").where(first).orderBy(order, "text").limit(rows)
     found = sample.mapInArrow(fit, "weight binary, a double, b double").first()
     return QualityModel(ratio, np.frombuffer(found["weight"]), (found["a"], found["b"]), bits)
 
 
+def with_labels(rows: DataFrame, known: DataFrame) -> DataFrame:
+    """Rows with their labels, kept as a table. Always by a merge join: labels grow with the documents."""
+    return kept_as_table(rows.join(known.hint("merge"), "doc_id"), "labelled-rows")
+
+
 def score_quality(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", held_out=None, **options) -> DataFrame:
     """doc_id, held_out, score, predicted of every row.
 
@@ -180,8 +187,7 @@ def score_quality(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", te
         held_out = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 3 == 1
     marked = rows.withColumn("held_out", held_out)
     known = pick(labels, doc_id=doc_id, label=label).where(F.col("label").isin(0, 1)).dropDuplicates(["doc_id", "label"]).where(~held_out)
-    labelled = kept_as_table(marked.where(~F.col("held_out")).drop("held_out").join(known, "doc_id"), "labelled-rows")
-    model = fitted_model(labelled, **options)
+    model = fitted_model(with_labels(marked.where(~F.col("held_out")).drop("held_out"), known), **options)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text"):
@@ -196,7 +202,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.5, **options)
     rows = pick(docs, doc_id="doc_id", text="text")
     held_out = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 3 == 1
     known = pick(labels, doc_id="doc_id", label="quality").where(F.col("label").isin(0, 1)).dropDuplicates(["doc_id", "label"]).where(~held_out)
-    model = fitted_model(kept_as_table(rows.where(~held_out).join(known, "doc_id"), "labelled-rows"), **options)
+    model = fitted_model(with_labels(rows.where(~held_out), known), **options)
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
