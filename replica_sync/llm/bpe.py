@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from replica_sync.llm.common import pick, small_batches
+from replica_sync.llm.common import pick, small_batches, splitter
 
 #: Pieces a worker remembers; beyond it the memory starts anew, results stay the same.
 REMEMBERED = 400_000
@@ -26,12 +26,10 @@ class RankTable:
     """Ranks of byte strings, ids and the splitting pattern; encode and decode whole texts."""
 
     def __init__(self, path: str, pattern: str):
-        import regex
-
         with open(path, "rb") as lines:
             self.rank = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
         self.token = {rank: token for token, rank in self.rank.items()}
-        self.split = regex.compile(pattern).findall
+        self.split = splitter(pattern)
         self.known: dict[str, bytes] = {}
 
     def merge(self, piece: bytes) -> list[int]:

@@ -19,9 +19,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from replica_sync.llm.common import kept_as_table, pick, shared_folder, small_batches
+from replica_sync.llm.common import kept_as_table, pick, shared_folder, small_batches, splitter
 
-REMEMBERED = 400_000
+#: Pieces a worker remembers; beyond it the memory starts anew, results stay the same.
+REMEMBERED = 1_500_000
+TOGETHER = 100
 
 
 class LibraryTokenizer:
@@ -29,26 +31,39 @@ class LibraryTokenizer:
 
     def __init__(self, path: str, pattern: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import regex
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True  # their strings in a text are ordinary text
         self.dtype = np.dtype("<u2") if self.library.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
-        self.split = regex.compile(pattern).findall
+        self.split = splitter(pattern)
         self.known: dict[str, bytes] = {}
 
-    def encode(self, text: str) -> bytes:
-        pieces, known = self.split(text), self.known
-        try:
-            return b"".join(map(known.__getitem__, pieces))
-        except KeyError:
-            if len(known) > REMEMBERED:
-                known.clear()
-            new = list({x for x in pieces if x not in known})
-            for piece, found in zip(new, self.library.encode_batch(new, add_special_tokens=False)):
-                known[piece] = np.array(found.ids, dtype=self.dtype).tobytes()
-            return b"".join(map(known.__getitem__, pieces))
+        self.line_feed = self.library.encode("\n", add_special_tokens=False).ids
+
+    def encode_many(self, texts: list[str]) -> list[bytes]:
+        split = [self.split(x) for x in texts]
+        new = set().union(*split).difference(self.known)
+        if len(self.known) + len(new) > REMEMBERED:
+            self.known.clear()
+            new = set().union(*split)
+        self._learn(list(new))
+        ids = self.known.__getitem__
+        return [b"".join(map(ids, pieces)) for pieces in split]
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Asks the library. Words go many to a text, parted by line feeds: those are pieces of their own, which no word contains."""
+        words = [x for x in pieces if x.removeprefix(" ").isalpha()] if len(self.line_feed) == 1 else []
+        groups = [words[i : i + TOGETHER] for i in range(0, len(words), TOGETHER)]
+        for group, found in zip(groups, self.library.encode_batch(["\n".join(g) for g in groups], add_special_tokens=False)):
+            ids = np.array(found.ids, dtype=self.dtype)
+            cut = np.flatnonzero(ids == self.line_feed[0]).tolist()
+            data, size = ids.tobytes(), self.dtype.itemsize
+            for word, a, b in zip(group, [0, *(x + 1 for x in cut)], [*cut, len(ids)]):
+                self.known[word] = data[a * size : b * size]
+        rest = list(set(pieces).difference(words))
+        for piece, found in zip(rest, self.library.encode_batch(rest, add_special_tokens=False)):
+            self.known[piece] = np.array(found.ids, dtype=self.dtype).tobytes()
 
 
 @lru_cache(maxsize=2)
@@ -166,7 +181,7 @@ def write_token_files(docs: DataFrame, folder: str, doc_id: str = "doc_id", text
             if writer is None:
                 name = f"part-{part:06d}-{uuid.uuid4().hex}.arrow"
                 writer, end = SequenceWriter(folder, name, tokenizer.dtype, length, rows), np.array([end_id], tokenizer.dtype).tobytes()
-            ids = [tokenizer.encode(x or "") + end for x in batch.column(1).to_pylist()]
+            ids = [x + end for x in tokenizer.encode_many([x or "" for x in batch.column(1).to_pylist()])]
             at = [writer.add(x) for x in ids]
             n = len(ids)
             yield pa.record_batch([batch.column(0), pa.array([name] * n), pa.array([part] * n, pa.int32()), pa.array(at, pa.int64()), pa.array([len(x) // tokenizer.dtype.itemsize for x in ids], pa.int64())], names=["doc_id", "file", "part", "offset", "n_tokens"])
