@@ -48,40 +48,64 @@ def water_filled(sources: DataFrame, max_epochs: int = 3) -> DataFrame:
     return ranked.withColumn("target", F.least(cap.cast("double"), F.coalesce(found * F.col("weight"), cap.cast("double")))).drop("level", "free", "place")
 
 
-def mix_sources(docs: DataFrame, doc_id: str = "doc_id", source: str = "source", text: str = "text", weights: tuple[int, ...] = WEIGHTS, max_epochs: int = 3, seed: int = 17, ranges: int = RANGES) -> DataFrame:
-    """doc_id, size, source_size, target, repeats, taken for every row.
+def _keyed(rows: DataFrame, seed: int) -> DataFrame:
+    """Adds size and key, the document's place in the seeded order."""
+    name = F.concat_ws("#", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
+    return rows.withColumn("size", word_count(F.col("text"))).withColumn("key", F.conv(F.substring(F.md5(name.cast("binary")), 1, 12), 16, 10).cast("long"))
 
-    size counts words (null text: 0); the seeded order is by md5 of seed and doc_id, ties by doc_id and size, so
-    reruns agree. taken = repeats * size and repeats <= max_epochs; repeats is whole but for one document of a
-    source. Null sources form one source of their own; a source without words has target 0 and takes
-    nothing. An empty table gives an empty result; other columns are not read.
-    """
-    rows = pick(docs, doc_id=doc_id, source=source, text=text)
-    key = F.conv(F.substring(F.md5(F.concat_ws("#", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))), 1, 12), 16, 10).cast("long")
-    sized = kept_as_table(rows.select("doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("key")), "mix-sizes")
-    span = 2**48 // ranges
-    piece = F.floor(F.col("key") / F.lit(span)).cast("int")
-    per_range = kept_as_table(sized.groupBy("source", piece.alias("piece")).agg(F.sum("size").alias("held")), "mix-ranges")
+
+def _piece(ranges: int) -> Column:
+    return F.floor(F.col("key") / F.lit(2**48 // ranges)).cast("int")
+
+
+def mixing_plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = 3, ranges: int = RANGES) -> DataFrame:
+    """One row per source: of, source_size, target, whole repetitions, part (words of one more), cut (the range in which part
+    runs out) and ahead (words in the ranges before it). sized: source, size, key."""
+    per_range = kept_as_table(sized.groupBy("source", _piece(ranges).alias("piece")).agg(F.sum("size").alias("held")), "mix-ranges")
     mixed = water_filled(sources_of(per_range.withColumnRenamed("held", "size"), weights), max_epochs)
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     shares = kept_as_table(mixed.select(F.col("source").alias("of"), "source_size", "target", F.floor(ratio).alias("whole"), (F.col("target") - F.floor(ratio) * F.col("source_size")).alias("part")), "mix-shares")
-    # the range of each source in which its fractional part runs out, and what the ranges before it hold
     so_far = Window.partitionBy("source").orderBy("piece").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     upto = per_range.withColumn("upto", F.sum("held").over(so_far)).join(shares.select("of", "part"), F.col("source").eqNullSafe(F.col("of")))
     last = upto.groupBy("of").agg(F.min(F.when(F.col("upto") > F.col("part"), F.col("piece"))).alias("cut"), F.max(F.when(F.col("upto") <= F.col("part"), F.col("upto"))).alias("ahead"))
-    plan = kept_as_table(
-        shares.withColumnRenamed("of", "source").join(last, F.col("source").eqNullSafe(F.col("of"))).select(F.col("source").alias("of"), "source_size", "target", "whole", "part", F.coalesce("cut", F.lit(ranges)).alias("cut"), F.coalesce("ahead", F.lit(0)).alias("ahead")),
-        "mix-plan",
-    )
-    found = sized.withColumn("piece", piece).join(plan, F.col("source").eqNullSafe(F.col("of")))
-    # only the range in which the fractional part runs out has to be put in order
-    whole = F.col("whole").cast("long")
+    own = shares.withColumnRenamed("of", "source").join(last, F.col("source").eqNullSafe(F.col("of")))
+    return kept_as_table(own.select(F.col("source").alias("of"), "source_size", "target", "whole", "part", F.coalesce("cut", F.lit(ranges)).alias("cut"), F.coalesce("ahead", F.lit(0)).alias("ahead")), "mix-plan")
+
+
+def _mixed(sized: DataFrame, plan: DataFrame, max_epochs: int, ranges: int) -> DataFrame:
+    """Adds the plan's columns, taken and repeats. Only the range in which a source's part runs out is put in order."""
+    found = sized.withColumn("piece", _piece(ranges)).join(plan, F.col("source").eqNullSafe(F.col("of")))
     here = F.col("piece") == F.col("cut")
     beside = found.where(~here).withColumn("more", F.when(F.col("piece") < F.col("cut"), F.col("size")).otherwise(F.lit(0)).cast("long"))
     in_order = Window.partitionBy("source").orderBy("key", F.col("doc_id").asc_nulls_first(), "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     before = F.col("ahead") + F.sum("size").over(in_order) - F.col("size")
     within = found.where(here).withColumn("more", F.greatest(F.lit(0), F.least(F.col("size"), F.round(F.col("part")).cast("long") - before)).cast("long"))
-    taken = F.least(whole * F.col("size") + F.col("more"), max_epochs * F.col("size"))
-    both = beside.unionByName(within).withColumn("taken", taken)
-    repeats = F.when(F.col("size") > 0, F.col("taken") / F.col("size")).otherwise(F.lit(0.0))
-    return both.select("doc_id", "size", "source_size", "target", repeats.alias("repeats"), "taken")
+    both = beside.unionByName(within)
+    taken = F.least(F.col("whole").cast("long") * F.col("size") + F.col("more"), max_epochs * F.col("size"))
+    return both.withColumn("taken", taken).withColumn("repeats", F.when(F.col("size") > 0, F.col("taken") / F.col("size")).otherwise(F.lit(0.0)))
+
+
+def mix_sources(docs: DataFrame, doc_id: str = "doc_id", source: str = "source", text: str = "text", weights: tuple[int, ...] = WEIGHTS, max_epochs: int = 3, seed: int = 17, ranges: int = RANGES) -> DataFrame:
+    """doc_id, size, source_size, target, repeats, taken for every row.
+
+    size counts words (null text: 0); the seeded order is by md5 of seed and doc_id, ties by doc_id and size, so
+    reruns agree. taken = repeats * size and repeats <= max_epochs; repeats is whole but for one document of a
+    source. Null sources form one source of their own; a source without words has target 0 and takes
+    nothing. An empty table gives an empty result; other columns are not read.
+    """
+    rows = pick(docs, doc_id=doc_id, source=source, text=text)
+    sized = kept_as_table(_keyed(rows, seed).drop("text"), "mix-sizes")
+    return _mixed(sized, mixing_plan(sized, weights, max_epochs, ranges), max_epochs, ranges).select("doc_id", "size", "source_size", "target", "repeats", "taken")
+
+
+def repeated_rows(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = 3, seed: int = 17, ranges: int = RANGES) -> DataFrame:
+    """The rows of docs (doc_id, source, text and others), each as often as the mix takes it whole.
+
+    The fraction of the one document in which a source's part runs out is left out, so texts stay whole.
+    """
+    names = docs.columns
+    packed = docs.select("doc_id", "source", "text", F.struct(*names).alias("row"))
+    sized = _keyed(packed, seed).drop("text")
+    plan = mixing_plan(_keyed(pick(docs, doc_id="doc_id", source="source", text="text"), seed).drop("text"), weights, max_epochs, ranges)
+    copies = F.explode(F.sequence(F.lit(1), F.floor("repeats").cast("int"))).alias("copy")
+    return _mixed(sized, plan, max_epochs, ranges).where(F.col("repeats") >= 1).select("row", copies).select("row.*")
