@@ -9,12 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 from replica_sync.operators import relational
 from replica_sync.plans import engine
 from replica_sync.plans.engine import flagship
+from replica_sync.streaming import queries as streams
 
 __all__ = ["flagship", "oracle_sql", "queries"]
 
 
 def _all() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]]:
-    return {**engine.QUERIES, **relational.QUERIES}
+    return {**engine.QUERIES, **relational.QUERIES, **streams.QUERIES}
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
