@@ -2,7 +2,8 @@
 
 Two sets of similarity t or more differ in at most d = n - ceil(t n) elements of the one of size n, so under any
 order of all shingles their first d + 1 elements meet. A single order leaves candidates that meet by
-chance; here a pair must meet under every one of several orders before its sets are compared. All orders put
+chance; here a pair must meet under every one of several orders, early enough for the sizes of both, before its
+sets are compared. All orders put
 rare shingles first (exact corpus counts, or their binary logarithm), with different hashes within equal
 counts, so that passages which many documents share hardly ever are in a prefix, and shingles that occur in one document only,
 which meet nothing, need not be indexed.
@@ -17,11 +18,11 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from replica_sync.llm.blocks import REQUEST, block_count, block_of, corrected, counted, in_blocks, per_block, range_count, replies, request_table, requests
-from replica_sync.llm.common import Words, kept_as_table, mixed, pick, small_batches, texts_of
+from replica_sync.llm.common import Words, kept_as_table, mixed, pick, release, small_batches, texts_of
 from replica_sync.llm.graphs import components
 
 SHINGLE, PERCENT, ORDERS = 3, 90, 3
@@ -44,7 +45,8 @@ class Shingles:
         place = np.arange(len(words.hash)) - words.first[words.doc]
         keep = place <= np.maximum(count[words.doc] - width, 0)
         hashes, doc = rolled[keep], words.doc[keep]
-        order = np.lexsort((hashes, doc))
+        order = np.argsort(hashes)
+        order = order[np.argsort(doc[order].astype(np.uint16 if n <= 1 << 16 else np.int64), kind="stable")]
         hashes, doc = hashes[order], doc[order]
         new = np.ones(len(hashes), dtype=bool)
         new[1:] = (hashes[1:] != hashes[:-1]) | (doc[1:] != doc[:-1])
@@ -78,7 +80,7 @@ def shingle_nodes(rows: DataFrame, blocks: int, width: int) -> DataFrame:
     return rows.withColumn("block", block_of(rows, blocks)).mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, n_shingles bigint, node binary, block int")
 
 
-INDEXED = "node binary, n bigint, shingles array<bigint>, " + ", ".join(f"prefix{k} array<bigint>" for k in range(ORDERS))
+INDEXED = "node binary, n bigint, alone bigint, shingles array<bigint>, " + ", ".join(f"prefix{k} array<bigint>" for k in range(ORDERS))
 
 
 def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -111,7 +113,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         return request_table(list(requests(table.column("block")[0].as_py(), EMPTY, (keys, count), parts)))
 
     def index(table: pa.Table, answers: pa.Table) -> pa.Table:
-        kinds = [pa.binary(), pa.int64(), pa.list_(pa.int64())] + [pa.list_(pa.int64())] * ORDERS
+        kinds = [pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())] + [pa.list_(pa.int64())] * ORDERS
         names = [x.split()[0] for x in INDEXED.split(", ")]
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names=names)
@@ -121,21 +123,24 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         keys, count, place = counted(found.hash[at])
         total = corrected(keys, count, [x for x in answers.column("grams").to_pylist() if x is not None])
         doc, hashes, frequency = found.doc[at], found.hash[at], total[place]
-        length = allowed_misses(found.size, percent) + 1
+        # under every order the elements that no other set has come first; what they leave of the prefix is shared ones
+        alone = np.bincount(doc[frequency == 1], minlength=len(found.size))
+        room = allowed_misses(found.size, percent) + 1 - alone
+        kept = np.flatnonzero((frequency > 1) & (room[doc] > 0))
+        doc, hashes, frequency = doc[kept], hashes[kept], frequency[kept]
+        held = np.bincount(doc, minlength=len(found.size))
         prefixes = []
         for k in range(ORDERS):
             rank = frequency if k == 0 else np.floor(np.log2(frequency)).astype(np.int64)
-            tie = mixed(hashes + np.uint64(k + 1) * np.uint64(0x632BE59BD9B4E019))
-            order = np.lexsort((tie, rank, doc))
-            size = np.bincount(doc, minlength=len(found.size))
-            nth = np.arange(len(order)) - (np.cumsum(size) - size)[doc[order]]
-            take = order[(nth < length[doc[order]]) & (frequency[order] > 1)]
+            order = np.lexsort((mixed(hashes + np.uint64(0x632BE59BD9B4E019 * (k + 1) % 2**64)), rank, doc))
+            nth = np.arange(len(order)) - (np.cumsum(held) - held)[doc[order]]
+            take = order[nth < room[doc[order]]]
             own = np.bincount(doc[take], minlength=len(found.size))
             prefixes.append((take, np.cumsum(own) - own, own))
         alive = [i for i in docs.tolist() if all(own[i] for _, _, own in prefixes)]
         signed = found.hash.astype(np.uint64).view(np.int64)
         local = hashes.view(np.int64)
-        columns = [[nodes[i] for i in alive], [int(found.size[i]) for i in alive], [signed[found.first[i] : found.first[i] + found.size[i]] for i in alive]]
+        columns = [[nodes[i] for i in alive], [int(found.size[i]) for i in alive], [int(alone[i]) for i in alive], [signed[found.first[i] : found.first[i] + found.size[i]] for i in alive]]
         columns += [[local[take[start[i] : start[i] + own[i]]] for i in alive] for take, start, own in prefixes]
         return pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
 
@@ -145,13 +150,25 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
     return blocks.groupBy("block").cogroup(right.groupBy("block")).applyInArrow(index, INDEXED)
 
 
+def least_common(n: Column, m: Column, percent: int = PERCENT) -> Column:
+    """Elements that sets of n and m elements have in common if they link."""
+    return F.ceil(percent * (n + m) / (100 + percent))
+
+
 def compared(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """Of pairs (a, b) of nodes those that meet under every order and whose sets are similar enough."""
-    left = sets.select(F.col("node").alias("a"), *[F.col(c).alias(f"a_{c}") for c in sets.columns if c != "node"])
-    right = sets.select(F.col("node").alias("b"), *[F.col(c).alias(f"b_{c}") for c in sets.columns if c != "node"])
+    """Of pairs (a, b) of nodes those that pass under all other orders and whose sets are similar enough.
+
+    Under each order what comes before the first element in common is missing on the other side, so that
+    it can be no more than n less the least number in common.
+    """
+    others = [f"prefix{k}" for k in range(1, ORDERS)]
+    left, right = (sets.select(F.col("node").alias(x), *[F.col(c).alias(f"{x}_{c}") for c in ("n", "alone", "shingles", *others)]) for x in "ab")
     both = pairs.join(left, "a").join(right, "b")
-    for k in range(1, ORDERS):
-        both = both.where(F.arrays_overlap(f"a_prefix{k}", f"b_prefix{k}"))
+    least = least_common(F.col("a_n"), F.col("b_n"), percent)
+    for c in others:
+        first = F.get(F.array_intersect(f"a_{c}", f"b_{c}"), F.lit(0))
+        for x in "ab":
+            both = both.where(F.col(f"{x}_alone") + F.array_position(f"{x}_{c}", first) - 1 + least <= F.col(f"{x}_n"))
     common = F.size(F.array_intersect("a_shingles", "b_shingles"))
     return both.withColumn("common", common).where(100 * F.col("common") >= percent * (F.col("a_n") + F.col("b_n") - F.col("common"))).select("a", "b")
 
@@ -159,15 +176,17 @@ def compared(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataF
 def linked_nodes(sets: DataFrame, percent: int = PERCENT, pivots: int = 4) -> DataFrame:
     """(node, root) of all nodes with a link; root stands for the component."""
     sets = kept_as_table(sets, "shingle-sets")
-    posted = sets.select("node", "n", F.explode("prefix0").alias("token"))
+    release(sets.sparkSession)
+    posted = sets.select("node", "n", "alone", F.posexplode("prefix0").alias("at", "token")).select("token", "node", "n", (F.col("alone") + F.col("at")).alias("place"))
     several = posted.groupBy("token").count().where(F.col("count") > 1).select("token")
     open_ = kept_as_table(posted.join(several, "token").withColumn("root", F.col("node")), "postings")
     links, roots = None, None
     while True:
         pivot = F.pmod(F.xxhash64("node"), F.lit(pivots))
-        chosen = open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "root")).alias("p"))
-        chosen = chosen.select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.root").alias("b_root"))
-        near = (100 * F.least("n", "b_n") >= percent * F.greatest("n", "b_n")) & (F.col("root") != F.col("b_root"))
+        chosen = open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "place", "root")).alias("p"))
+        chosen = chosen.select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.place").alias("b_place"), F.col("p.root").alias("b_root"))
+        least = least_common(F.col("n"), F.col("b_n"), percent)
+        near = (F.col("place") + least <= F.col("n")) & (F.col("b_place") + least <= F.col("b_n")) & (F.col("root") != F.col("b_root"))
         pairs = open_.join(chosen, "token").where(near).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
         new = kept_as_table(compared(pairs, sets, percent), "links")
         if not new.isEmpty():
