@@ -221,10 +221,11 @@ def peel_by_joins(cells: DataFrame, members: DataFrame, most_rounds: int = 40) -
     this is a reference form for tests and small differences). Returns sid, seg, d, owner.
     """
     upto = cells.agg(F.max("i")).first()[0] or 0
-    known = members.select(*KEYS, "d", "d2", "h").distinct()
+    known = members.select(F.col("sid").alias("k_sid"), F.col("seg").alias("k_seg"), "d", "d2", "h").distinct()
     found = None
     for _ in range(most_rounds):
-        pure = cells.where("abs(cnt) = 1").join(known, (cells.sid == known.sid) & (cells.seg == known.seg) & (cells.id_sum == known.d) & (cells.check_sum == known.d2)).select(known.sid, known.seg, known.d, known.d2, known.h, F.signum("cnt").cast("bigint").alias("sign")).distinct()
+        same = (F.col("sid") == F.col("k_sid")) & (F.col("seg") == F.col("k_seg")) & (F.col("id_sum") == F.col("d")) & (F.col("check_sum") == F.col("d2"))
+        pure = cells.where("abs(cnt) = 1").join(known, same).select(*KEYS, "d", "d2", "h", F.signum("cnt").cast("bigint").alias("sign")).distinct()
         rows = pure.collect()  # a round's pure cells: at most one row per cell
         if not rows:
             break
