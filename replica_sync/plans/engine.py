@@ -391,7 +391,7 @@ def keyed_parts(spark, sf, table):
     return tables.parts_of(spark, sf, table).withColumn("sid", F.lit(0).cast("bigint"))
 
 
-add("cell_indices", lambda spark, sf: keyed_parts(spark, sf, "supplier").select("h", F.explode(coded.md5_indices(F.col("h"), 500)).cast("bigint").alias("i")), f"{cells_sql(digests_sql(items_sql('supplier')), 500)} select h, i from c")
+add("cell_indices", lambda spark, sf: keyed_parts(spark, sf, "supplier").select("h", F.explode(coded.md5_indices(F.col("h"), 500)).alias("i")).withColumn("i", F.col("i").cast("bigint")), f"{cells_sql(digests_sql(items_sql('supplier')), 500)} select h, i from c")
 CELL_SELECT = "select cast(i as int) as i, bit_xor(d) as id_sum, bit_xor(d2) as check_sum, count(*) as cnt from c group by i"
 add("coded_cells_prefix", lambda spark, sf: coded.md5_cells(keyed_parts(spark, sf, "orders"), 200).drop("sid", "seg"), f"{cells_sql(digests_sql(ORD), 200)} {CELL_SELECT}")
 

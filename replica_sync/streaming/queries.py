@@ -18,7 +18,7 @@ from replica_sync.functions.wire import SyncConfig
 from replica_sync.operators import coded
 from replica_sync.operators.lattice import KeyedLattice
 from replica_sync.protocols import PROTOCOLS, Replicas
-from replica_sync.sources.tables import event_stream, load_items, parts_of, read, shared_folder, snapshot
+from replica_sync.sources.tables import digests_sql, event_stream, items_sql, load_items, parts_of, read, shared_folder, snapshot
 
 QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
 
@@ -100,7 +100,7 @@ def decode_stream(cells: DataFrame) -> DataFrame:
         for frame in frames:
             for row in frame.itertuples(index=False):
                 got[int(row.i)] = (int(row.i), int(row.id_sum), int(row.check_sum), int(row.cnt))
-        if not done:
+        if not done and 0 in got:  # cell 0 tells when all is found; cells that have not come yet or are empty count as empty
             decoder, used = coded.Decoder(), 0
             for i in range(max(got) + 1):
                 _, a, b, c = got.get(i, (i, 0, 0, 0))
@@ -188,12 +188,12 @@ def st_lattice_state(spark, sf):
     return drained(stream_state(stream, KeyedLattice("grow_counter", ("user_id", "event_type", "replica"), ("n",))), "complete")
 
 
-@query(None)
+@query("with p as (select *, row_number() over (order by h) as rank, (count(*) over ()) // 2 as c from (" + digests_sql("select distinct payload from (" + items_sql("supplier") + ")") + ")), q as (select *, cast(round(2*0.5*c/1.5) as bigint) as sh from p) select d, case when rank <= c then 'a_only' else 'b_only' end as owner from q where rank > sh and rank <= 2*c - sh")
 def st_decode(spark, sf):
     """Cells of a pair's difference streamed slice by slice until decoded."""
     from replica_sync.sources.replicas import make_pair, sides
 
-    a, b = sides(make_pair(parts_of(spark, sf, "supplier"), 0.5))
+    a, b = sides(snapshot(make_pair(parts_of(spark, sf, "supplier"), 0.5), "pair"))
     keyed = lambda x: x.withColumn("sid", F.lit(0).cast("bigint")).select("sid", "seg", "d")
     cells = coded.subtract_cells(coded.coded_cells(keyed(a), 0, 256), coded.coded_cells(keyed(b), 0, 256))
     return drained(decode_stream(stream_of(spark, files_of(cells, "i", 4), cells.schema))).select("d", "owner")
