@@ -22,8 +22,13 @@ def digest_text(payload: Column, family: str = "md5") -> Column:
     raise ValueError(f"no digest family {family}")
 
 
+def segment_of(segments: int) -> Column:
+    """Segment of a part: middle bits of d2, so that it tells nothing about the remainders that filters and buckets take."""
+    return (F.shiftright("d2", 30) % segments).cast("int")
+
+
 def with_digest(df: DataFrame, family: str = "md5", segments: int = 1) -> DataFrame:
     """Adds h, d, d2 and seg to rows with a payload: narrow, inside generated code for the built-in families."""
     hashed = df.withColumn("h", digest_text(F.col("payload"), family))
     numbers = hashed.withColumn("d", hex_number(F.col("h"), 1, 15)).withColumn("d2", hex_number(F.col("h"), 17, 15))
-    return numbers.withColumn("seg", (F.col("d") % segments).cast("int"))
+    return numbers.withColumn("seg", segment_of(segments))

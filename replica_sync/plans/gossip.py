@@ -7,6 +7,7 @@ import random
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from replica_sync.functions.digest import segment_of
 from replica_sync.functions.wire import SyncConfig
 from replica_sync.protocols import PROTOCOLS, Replicas
 from replica_sync.protocols.base import PART, merged
@@ -69,7 +70,7 @@ def gossip(states: DataFrame, how: str = "random", protocol: str = "filter_ratel
             continue
         rows = [(i, a, b) for i, (a, b) in enumerate(pairs)]
         table = spark.createDataFrame(rows, "sid bigint, left string, right string")
-        side = lambda c: states.join(table.select("sid", F.col(c).alias("peer")), "peer").withColumn("seg", (F.col("d") % cfg.segments).cast("int")).select(*PART)
+        side = lambda c: states.join(table.select("sid", F.col(c).alias("peer")), "peer").withColumn("seg", segment_of(cfg.segments)).select(*PART)
         sessions = table.select("sid", F.lit(cfg.eps).alias("eps"), F.lit(cfg.load_factor).alias("load_factor"))
         result = PROTOCOLS[protocol](Replicas(side("left"), side("right"), sessions), cfg)
         log.append((k + 1, len(pairs), result.transcript.agg(F.sum(F.col("metadata_bytes") + F.col("payload_bytes"))).first()[0]))
@@ -88,7 +89,7 @@ def sync_many(center: DataFrame, peers: DataFrame, protocol: str = "rateless", c
     cfg = cfg or SyncConfig()
     names = sorted(r["peer"] for r in peers.select("peer").distinct().collect())
     table = center.sparkSession.createDataFrame(list(enumerate(names)), "sid bigint, peer string")
-    seg = (F.col("d") % cfg.segments).cast("int")
+    seg = segment_of(cfg.segments)
     mine = center.crossJoin(F.broadcast(table.select("sid"))).withColumn("seg", seg).select(*PART)  # one row per peer
     theirs = peers.join(table, "peer").withColumn("seg", seg).select(*PART)
     sessions = table.select("sid", F.lit(cfg.eps).alias("eps"), F.lit(cfg.load_factor).alias("load_factor"))

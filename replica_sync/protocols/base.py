@@ -13,6 +13,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from replica_sync.functions.digest import segment_of
 from replica_sync.functions.wire import SyncConfig
 from replica_sync.operators import coded
 from replica_sync.sources.tables import snapshot
@@ -36,7 +37,7 @@ class Replicas:
         one = a.sparkSession.range(1).select(F.lit(0).cast("bigint").alias("sid"), F.lit(float(cfg.eps)).alias("eps"), F.lit(float(cfg.load_factor)).alias("load_factor"))
 
         def keyed(parts: DataFrame) -> DataFrame:
-            return parts.withColumn("sid", F.lit(0).cast("bigint")).withColumn("seg", (F.col("d") % cfg.segments).cast("int")).select(*PART)
+            return parts.withColumn("sid", F.lit(0).cast("bigint")).withColumn("seg", segment_of(cfg.segments)).select(*PART)
 
         return cls(keyed(a), keyed(b), one)
 
