@@ -16,12 +16,11 @@ class WireModel:
 
 @dataclass(frozen=True)
 class SyncConfig:
-    """segments: digest ranges reconciled apart; first_cells and growth: the slices of the coded stream; walk: of cell indices."""
+    """segments: digest ranges reconciled apart; first_cells and growth: the slices of the coded stream."""
 
     wire: WireModel = field(default_factory=WireModel)
     segments: int = 1
     first_cells: int = 64
     growth: int = 4
-    walk: str = "mixed"
     eps: float = 0.01
     load_factor: float = 1.0

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -25,7 +27,7 @@ def synchronize(a: DataFrame, b: DataFrame, protocol: str = "filter_rateless", c
     if protocol == "auto":
         chosen = advice_for(*sides, cfg)
         protocol = chosen.protocol
-        cfg = SyncConfig(cfg.wire, cfg.segments, cfg.first_cells, cfg.growth, cfg.walk, chosen.eps if chosen.eps < 1 else cfg.eps, cfg.load_factor)
+        cfg = replace(cfg, eps=chosen.eps if chosen.eps < 1 else cfg.eps)
     return PROTOCOLS[protocol](Replicas.single(*sides, cfg), cfg)
 
 
