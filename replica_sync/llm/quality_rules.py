@@ -55,12 +55,29 @@ def measured(rows: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class Rule:
-    """Votes bad where ``bad`` holds, good where ``good`` holds, else abstains; prior: its assumed accuracy."""
+    """Votes bad where ``bad`` holds, good where ``good`` holds, else abstains; prior: its assumed accuracy.
+
+    A rule that finds a defect says nothing by not finding it: it has no ``good``.
+    """
 
     name: str
-    bad: Column
-    good: Column
-    prior: float = 0.85
+    bad: Column | None = None
+    good: Column | None = None
+    prior: float = 0.95
+
+    def vote(self) -> Column:
+        """0 bad, 1 abstains, 2 good."""
+        no = F.lit(False)
+        return F.when(no if self.bad is None else self.bad, 0).when(no if self.good is None else self.good, 2).otherwise(1)
+
+    def assumed(self) -> dict[int, tuple[float, float]]:
+        """The chance of each vote given (bad, good) before any row is seen."""
+        miss = 1 - self.prior
+        if self.good is None:
+            return {-1: (0.4, 0.4 * miss), 0: (0.599, 0.999 - 0.4 * miss), 1: (0.001, 0.001)}
+        if self.bad is None:
+            return {-1: (0.001, 0.001), 0: (0.999 - miss, 0.999 - self.prior), 1: (miss, self.prior)}
+        return {-1: (0.6 * self.prior, 0.4 * miss), 0: (0.4, 0.3), 1: (0.6 * miss, 0.7 - 0.4 * miss)}
 
 
 def standard_rules() -> list[Rule]:
@@ -70,31 +87,31 @@ def standard_rules() -> list[Rule]:
     repeats = F.col("n_repeat_words") / F.greatest(words, F.lit(1))
     copies = F.col("n_dup_lines") / F.greatest(F.col("n_lines"), F.lit(1))
     return [
-        Rule("length", words < 20, words >= 50),
-        Rule("mean_word", (mean < 2.5) | (mean > 12), mean.between(3, 9)),
-        Rule("symbols", symbols > 0.1, symbols < 0.02),
-        Rule("repeats", repeats > 0.3, repeats < 0.1),
-        Rule("line_copies", copies > 0.3, copies < 0.1),
-        Rule("line_words", words / F.greatest(F.col("n_lines"), F.lit(1)) < 4, words / F.greatest(F.col("n_lines"), F.lit(1)) >= 8),
+        Rule("short", bad=words < 20),
+        Rule("mean_word", bad=(mean < 2.5) | (mean > 12)),
+        Rule("symbols", bad=symbols > 0.2),
+        Rule("repeats", bad=repeats > 0.3),
+        Rule("line_copies", bad=copies > 0.6),
+        Rule("line_words", bad=words / F.greatest(F.col("n_lines"), F.lit(1)) < 3),
+        Rule("prose", good=(words >= 50) & mean.between(3, 9) & (symbols < 0.1) & (repeats < 0.3) & (copies < 0.6)),
     ]
 
 
-def fitted(patterns: list[tuple[tuple[int, ...], int]], priors: list[float], rounds: int = 50, strength: float = 20.0) -> tuple[float, list[dict[int, tuple[float, float]]]]:
+def fitted(patterns: list[tuple[tuple[int, ...], int]], assumed: list[dict[int, tuple[float, float]]], rounds: int = 50, strength: float = 0.05) -> tuple[float, list[dict[int, tuple[float, float]]]]:
     """EM over counted vote patterns: the share of good rows, and per rule the chance of each vote given (bad, good).
 
-    A Dirichlet prior of the stated strength keeps each rule on the side that its name says; an empty table
-    gives the priors.
+    A Dirichlet prior worth the given share of all rows (20 rows at least) keeps each rule on the side that its name
+    says; an empty table gives the prior.
     """
-    share = 0.8
-    assumed = [{-1: (q * 0.6, (1 - q) * 0.4), 0: (0.4, 0.3), 1: (1 - 0.4 - q * 0.6, 1 - 0.3 - (1 - q) * 0.4)} for q in priors]
-    chance = assumed
+    share, chance = 0.8, assumed
     total = sum(n for _, n in patterns)
+    weight_of_prior = max(20.0, strength * total)
     for _ in range(rounds if total else 0):
         weight = [(votes, n, posterior(votes, share, chance)) for votes, n in patterns]
         good = sum(n * p for _, n, p in weight)
         new = []
         for k, prior in enumerate(assumed):
-            seen = {v: [strength * prior[v][0], strength * prior[v][1]] for v in (-1, 0, 1)}
+            seen = {v: [weight_of_prior * prior[v][0], weight_of_prior * prior[v][1]] for v in (-1, 0, 1)}
             for votes, n, p in weight:
                 seen[votes[k]][0] += n * (1 - p)
                 seen[votes[k]][1] += n * p
@@ -122,11 +139,11 @@ def judge_quality(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", r
     rules = rules or standard_rules()
     base = kept_as_table(measured(pick(docs, doc_id=doc_id, text=text)), "quality-measures")  # each text is measured once
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    code = sum((F.when(r.bad, 0).when(r.good, 2).otherwise(1) * 3**k for k, r in enumerate(rules)), F.lit(0))
+    code = sum((r.vote() * 3**k for k, r in enumerate(rules)), F.lit(0))
     voted = base.withColumn("base_failed", failed).withColumn("code", code)
     counted = voted.groupBy("code").count().collect()  # at most 3**rules rows
     votes = {c: tuple(c // 3**k % 3 - 1 for k in range(len(rules))) for c, _ in counted}
-    share, chance = fitted([(votes[c], n) for c, n in counted], [r.prior for r in rules])
+    share, chance = fitted([(votes[c], n) for c, n in counted], [r.assumed() for r in rules])
     known = {c: posterior(v, share, chance) for c, v in votes.items()} or {0: 0.0}
     chosen = F.element_at(F.create_map(*[F.lit(x) for c, p in known.items() for x in (c, p)]), F.col("code"))
     out = voted.withColumn("posterior", chosen)

@@ -400,16 +400,17 @@ def test_rules_tell_good_from_bad(spark, docs, sf):
     labels = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
     rows = [r for r in quality_rules.judge_quality(docs).collect() if r["doc_id"] in labels]
     good = [r for r in rows if labels[r["doc_id"]] == 1 and not r["base_failed"]]
-    assert sum(r["kept"] for r in good) / len(good) > 0.95
+    bad = [r for r in rows if labels[r["doc_id"]] == 0]
+    assert sum(r["kept"] for r in good) / len(good) > 0.95 and sum(r["kept"] for r in bad) / len(bad) < 0.4
 
 
-def test_em_recovers_accuracies():
+def test_em_recovers_accuracies(spark):
     r = random.Random(3)
     counts = Counter()
     for _ in range(4000):
         good = r.random() < 0.7
         counts[tuple((1 if good else -1) * (1 if r.random() < q else -1) for q in (0.9, 0.8, 0.7))] += 1
-    share, chance = quality_rules.fitted(list(counts.items()), [0.85] * 3)
+    share, chance = quality_rules.fitted(list(counts.items()), [quality_rules.Rule("any", F.lit(True), F.lit(True), 0.85).assumed()] * 3)
     assert abs(share - 0.7) < 0.08 and chance[0][1][1] > chance[2][1][1] > 0.5
 
 
