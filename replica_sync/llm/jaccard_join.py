@@ -32,7 +32,20 @@ EMPTY = (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64))
 class Shingles:
     """The distinct shingle hashes of many texts: .doc and .hash, sorted by both; .size of each text's set."""
 
+    #: Bytes of text that are shingled at once; longer texts alone.
+    PIECE = 1 << 20
+
     def __init__(self, texts: list[bytes], width: int = SHINGLE):
+        share = np.cumsum([len(t) for t in texts], dtype=np.int64) // self.PIECE
+        cuts = [0, *(np.flatnonzero(np.diff(share)) + 1).tolist(), len(texts)] if texts else [0, 0]
+        pieces = [self._distinct(texts[i:j], width) for i, j in zip(cuts, cuts[1:])]
+        self.hash = np.concatenate([h for h, _ in pieces])
+        self.doc = np.concatenate([d + i for (_, d), i in zip(pieces, cuts)])
+        self.size = np.bincount(self.doc, minlength=len(texts))
+        self.first = np.cumsum(self.size) - self.size
+
+    @staticmethod
+    def _distinct(texts: list[bytes], width: int) -> tuple[np.ndarray, np.ndarray]:
         words = Words(texts)
         n = len(texts)
         count = words.count
@@ -50,9 +63,7 @@ class Shingles:
         hashes, doc = hashes[order], doc[order]
         new = np.ones(len(hashes), dtype=bool)
         new[1:] = (hashes[1:] != hashes[:-1]) | (doc[1:] != doc[:-1])
-        self.hash, self.doc = hashes[new], doc[new]
-        self.size = np.bincount(self.doc, minlength=n)
-        self.first = np.cumsum(self.size) - self.size
+        return hashes[new], doc[new]
 
     def node(self) -> list[bytes]:
         """16 bytes that stand for each set."""
@@ -108,6 +119,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
     def ask(table: pa.Table, wanted: pa.Table) -> pa.Table:
         if not table.num_rows:
             return request_table([(0, 0, b"", b"")]).slice(0, 0)
+        pa.default_memory_pool().release_unused()
         found, _, docs = once(table, set(wanted.column("of").to_pylist()))
         keys, count, _ = counted(found.hash[of_docs(found, docs)])
         return request_table(list(requests(table.column("block")[0].as_py(), EMPTY, (keys, count), parts)))
@@ -117,6 +129,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         names = [x.split()[0] for x in INDEXED.split(", ")]
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names=names)
+        pa.default_memory_pool().release_unused()
         wanted = {x for x in answers.column("of").to_pylist() if x is not None}
         found, nodes, docs = once(table, wanted)
         at = of_docs(found, docs)
