@@ -12,14 +12,18 @@ from replica_sync.llm import bpe, jaccard_join, mixing, quality_nb, secret_scan
 from replica_sync.llm.common import kept_as_table
 
 
+#: Near duplicates of this pipeline: sets of five words, similar from 80 % on (op3 has its own defaults).
+WIDTH, PERCENT = 5, 80
+
+
 def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier rejects go."""
     return quality_nb.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the document with the smallest id stays, once; documents without an id stay."""
-    found = jaccard_join.similar_documents(docs)
+    """Of each group of near duplicates (five-word sets, similarity 0.8 or more) the document with the smallest id stays, once; documents without an id stay."""
+    found = jaccard_join.similar_documents(docs, width=WIDTH, percent=PERCENT)
     leaders = kept_as_table(found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__id")).distinct(), "leaders")
     named = docs.where("doc_id is not null").join(leaders.hint("merge"), F.col("doc_id") == F.col("__id"), "left_semi").dropDuplicates(["doc_id"])
     return named.unionByName(docs.where("doc_id is null"))

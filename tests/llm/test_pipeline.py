@@ -1,5 +1,7 @@
 """The corpus pipeline, stage by stage."""
 
+import random
+
 import pytest
 
 import corpus_pipeline
@@ -35,6 +37,39 @@ def test_one_of_each_group_stays(stages):
     assert sorted(r["doc_id"] for r in stages["near_duplicates"].collect()) == sorted({r["component_id"] for r in rows})
 
 
+def leaders_by_hand(texts, width=5, percent=80):
+    """The smallest id of each group, by comparing all pairs of sets of so many words."""
+    sets = {}
+    for i, text in texts.items():
+        words = (text or "").encode().lower().split()
+        sets[i] = {tuple(words[k : k + width]) for k in range(max(1, len(words) - width + 1))} if words else set()
+    group = {i: i for i in sets}
+    for i in sets:
+        for j in sets:
+            if i < j and sets[i] and sets[j] and 100 * len(sets[i] & sets[j]) >= percent * len(sets[i] | sets[j]) and group[i] != group[j]:
+                low, high = sorted((group[i], group[j]))
+                group = {k: low if g == high else g for k, g in group.items()}
+    return sorted(set(group.values()))
+
+
+def test_groups_are_those_of_five_words_at_four_fifths(spark, sf):
+    """A hundred words with two changed apart: similarity 86/106 by five words, but 92/104 < 0.9 by three."""
+    r = random.Random(5)
+    texts = {}
+    for family in range(6):
+        base = [f"w{family}x{k}" for k in range(100)]
+        for edits in (0, 1, 2, 2, 3, 3, 5):
+            own = list(base)
+            for k in r.sample(range(10, 90, 8), edits):
+                own[k] = f"new{len(texts)}x{k}"
+            texts[len(texts)] = " ".join(own)
+    for t in ("a b c d", "A  b c d", None):
+        texts[len(texts)] = t
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in texts.items()], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    kept = sorted(row["doc_id"] for row in corpus_pipeline.distinct_documents(spark, docs, sf).collect())
+    assert kept == leaders_by_hand(texts) != leaders_by_hand(texts, 3, 90)
+
+
 def test_no_secrets_are_left(stages):
     from replica_sync.llm.secret_scan import scan_secrets
 
