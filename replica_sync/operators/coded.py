@@ -214,16 +214,33 @@ def peel(cells: DataFrame, upto: int) -> DataFrame:
     return cells.groupBy(*KEYS).applyInArrow(run, DIFF)
 
 
-def peel_by_joins(cells: DataFrame, members: DataFrame, most_rounds: int = 40) -> DataFrame:
+class Incomplete(ValueError):
+    """The cells given do not hold enough to decode all differences."""
+
+
+def difference_by_joins(ours: DataFrame, theirs: DataFrame, first: int = 256, growth: int = 4) -> DataFrame:
+    """sid, seg, d, owner by md5 cells (sid, seg, d, d2, h on both sides), as many as it takes."""
+    members, upto = ours.unionByName(theirs), first
+    most = max(first, 16 * members.count())
+    while True:
+        try:
+            return peel_by_joins(subtract_cells(md5_cells(ours, upto), md5_cells(theirs, upto)), members)
+        except Incomplete:
+            if upto >= most:
+                raise
+            upto *= growth
+
+
+def peel_by_joins(cells: DataFrame, members: DataFrame) -> DataFrame:
     """The same decoding of md5 cells in relational form: rounds of finding pure cells and subtracting what they hold.
 
     members: sid, seg, d, d2, h of candidates on either side (each side can look up only digests it has, so
-    this is a reference form for tests and small differences). Returns sid, seg, d, owner.
+    this is a reference form for tests and small differences). Returns sid, seg, d, owner; raises Incomplete if cells are left.
     """
     upto = cells.agg(F.max("i")).first()[0] or 0
     known = members.select(F.col("sid").alias("k_sid"), F.col("seg").alias("k_seg"), "d", "d2", "h").distinct()
     found = None
-    for _ in range(most_rounds):
+    while True:
         same = (F.col("sid") == F.col("k_sid")) & (F.col("seg") == F.col("k_seg")) & (F.col("id_sum") == F.col("d")) & (F.col("check_sum") == F.col("d2"))
         pure = cells.where("abs(cnt) = 1").join(known, same).select(*KEYS, "d", "d2", "h", F.signum("cnt").cast("bigint").alias("sign")).distinct()
         rows = pure.collect()  # a round's pure cells: at most one row per cell
@@ -234,6 +251,9 @@ def peel_by_joins(cells: DataFrame, members: DataFrame, most_rounds: int = 40) -
         gone = now.select(*KEYS, "d", "d2", "sign", F.explode(md5_indices(F.col("h"), upto + 1)).alias("i")).groupBy(*KEYS, "i").agg(F.bit_xor("d").alias("x"), F.bit_xor("d2").alias("y"), F.sum("sign").alias("n"))
         left = cells.join(gone, [*KEYS, "i"], "left").select(*KEYS, "i", F.col("id_sum").bitwiseXOR(F.coalesce("x", F.lit(0))).alias("id_sum"), F.col("check_sum").bitwiseXOR(F.coalesce("y", F.lit(0))).alias("check_sum"), (F.col("cnt") - F.coalesce("n", F.lit(0))).alias("cnt")).collect()
         cells = pure.sparkSession.createDataFrame(left, cells.schema)  # as many rows as cells
+    left = cells.where("cnt != 0 or id_sum != 0 or check_sum != 0").count()
+    if left:
+        raise Incomplete(f"{left} of the cells up to {upto} are not decoded")
     if found is None:
         return members.select(*KEYS, "d").limit(0).withColumn("owner", F.lit(""))
     return found.select(*KEYS, "d", F.when(F.col("sign") > 0, "a_only").otherwise("b_only").alias("owner"))

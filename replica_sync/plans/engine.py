@@ -442,8 +442,7 @@ def peel_rounds_dataframe(spark, sf):
     """The decoder as joins, over cells of the portable walk."""
     r = replicas_of(spark, sf, "supplier")
     members = r.a.unionByName(r.b)
-    cells = coded.subtract_cells(coded.md5_cells(r.a, 256), coded.md5_cells(r.b, 256))
-    return coded.peel_by_joins(cells, members).join(members.select("d", "h").distinct(), "d").select("h", "owner")
+    return coded.difference_by_joins(r.a, r.b).join(members.select("d", "h").distinct(), "d").select("h", "owner")
 
 
 # ---- related techniques ----

@@ -89,7 +89,7 @@ def anti_entropy(stream: DataFrame, peer: DataFrame, protocol: str = "filter_rat
 
 
 def decode_stream(cells: DataFrame) -> DataFrame:
-    """Difference cells (sid, seg, i, id_sum, check_sum, cnt), in order of i over batches, to DIFF rows, sent once a segment is decoded.
+    """Difference cells (sid, seg, i, id_sum, check_sum, cnt), in order of i over batches, to DIFF rows, sent once a segment is decoded; its last row has no owner (a null digest would make pandas round the others).
 
     State per segment: the cells so far and whether it is done. Cells that come again are ignored.
     """
@@ -109,13 +109,38 @@ def decode_stream(cells: DataFrame) -> DataFrame:
                     break
             if decoder.done:
                 done = True
-                rows = [(key[0], key[1], d, "a_only" if s > 0 else "b_only", used, True) for d, s in decoder.found.items()]
+                rows = [(key[0], key[1], d, "a_only" if s > 0 else "b_only", used, True) for d, s in decoder.found.items()] + [(key[0], key[1], -1, "", used, True)]
                 yield pd.DataFrame(rows, columns=["sid", "seg", "d", "owner", "used", "done"])
         state.update(([list(c) for c in sorted(got.values())], done))
 
     return cells.groupBy("sid", "seg").applyInPandasWithState(step, coded.DIFF, "cells array<array<bigint>>, done boolean", "append", GroupStateTimeout.NoTimeout)
 
 
+def streamed_difference(ours: DataFrame, theirs: DataFrame, first: int = 256, growth: int = 4) -> DataFrame:
+    """DIFF rows of two digest sets (sid, seg, d). Slices of the stream are added to its input, each growth times as far, until cell 0 of all segments is empty.
+
+    The decoder goes on from its checkpoint; segments that are decoded get no more cells.
+    """
+    spark = ours.sparkSession
+    path, base = shared_folder(spark, "cell-slices"), shared_folder(spark, "stream")
+    most = max(first, 16 * (ours.count() + theirs.count()))
+    segments = snapshot(ours.select("sid", "seg").union(theirs.select("sid", "seg")).distinct(), "segments")
+    open_, low, high = segments, 0, first
+    while not open_.isEmpty():
+        if low >= most:
+            raise RuntimeError(f"cells up to {low} leave segments undecoded")
+        x, y = (z.join(open_, ["sid", "seg"], "left_semi") for z in (ours, theirs))
+        cells = coded.subtract_cells(coded.coded_cells(x, low, high), coded.coded_cells(y, low, high))
+        cells.repartitionByRange(4, "i").sortWithinPartitions("i").write.parquet(f"{path}/{high}")
+        found = decode_stream(stream_of(spark, path, cells.schema))
+        running = found.writeStream.format("parquet").outputMode("append").option("path", f"{base}/found").option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start()
+        running.awaitTermination()
+        done = spark.read.schema(coded.DIFF).parquet(f"{base}/found")
+        open_ = snapshot(segments.join(done.where("owner = ''"), ["sid", "seg"], "left_anti"), "open")
+        low, high = high, high * growth
+    return spark.read.schema(coded.DIFF).parquet(f"{base}/found").where("owner != ''") if low else ours.limit(0).selectExpr("sid", "seg", "d", "'' as owner", "0 as used", "true as done")
+
+
 def fork(state: DataFrame, name: str = "fork") -> DataFrame:
     """A snapshot to synchronise while the state itself takes writes."""
     return snapshot(state, name)
@@ -195,8 +220,7 @@ def st_decode(spark, sf):
 
     a, b = sides(snapshot(make_pair(parts_of(spark, sf, "supplier"), 0.5), "pair"))
     keyed = lambda x: x.withColumn("sid", F.lit(0).cast("bigint")).select("sid", "seg", "d")
-    cells = coded.subtract_cells(coded.coded_cells(keyed(a), 0, 256), coded.coded_cells(keyed(b), 0, 256))
-    return drained(decode_stream(stream_of(spark, files_of(cells, "i", 4), cells.schema))).select("d", "owner")
+    return streamed_difference(keyed(a), keyed(b)).select("d", "owner")
 
 
 @query("select event_id from events")

@@ -87,3 +87,39 @@ def test_prefix_consistency(spark, sf):
 
     row = engine.QUERIES["cell_prefix_consistency"][0](spark, sf).first()
     assert row["same"] and row["cells"] == 64
+
+
+def test_streamed_cells_go_on_until_decoded(spark):
+    """334 differences (suppliers at sf0.1) need more than the first 256 cells."""
+    from replica_sync.plans import engine
+    from replica_sync.sources.replicas import make_pair, sides
+    from replica_sync.streaming import queries
+
+    sf = "/root/testdata/sf0.1"
+    a, b = ({r["d"] for r in side.collect()} for side in sides(make_pair(engine.tables.parts_of(spark, sf, "supplier"), 0.5)))
+    got = sorted((r["d"], r["owner"]) for r in queries.st_decode(spark, sf).collect())
+    assert len(got) == 334 and got == sorted([(d, "a_only") for d in a - b] + [(d, "b_only") for d in b - a])
+
+
+def test_streamed_segments_end_apart(spark):
+    from replica_sync.streaming import queries
+
+    r = random.Random(31)
+    rows = [[(0, g, r.getrandbits(60)) for _ in range(n)] for g, n in enumerate((0, 3, 40, 9))]
+    shared = [(0, 0, r.getrandbits(60)), (0, 2, r.getrandbits(60))]
+    kind = "sid bigint, seg int, d bigint"
+    ours, theirs = spark.createDataFrame(rows[1] + rows[2] + shared, kind), spark.createDataFrame(rows[3] + shared, kind)
+    found = {(x["seg"], x["d"], x["owner"]) for x in queries.streamed_difference(ours, theirs, first=8).collect()}
+    assert found == {(g, d, "a_only") for _, g, d in rows[1] + rows[2]} | {(g, d, "b_only") for _, g, d in rows[3]}
+    assert queries.streamed_difference(ours.limit(0), theirs.limit(0)).count() == 0
+
+
+def test_joins_decode_all_or_raise(spark):
+    from replica_sync.functions.digest import with_digest
+
+    parts = with_digest(spark.range(400).selectExpr("cast(id as string) as payload", "3 as nbytes", "id")).selectExpr("0L as sid", "0 as seg", "d", "d2", "h", "id")
+    ours, theirs = parts.where("id < 250").drop("id"), parts.where("id >= 200").drop("id")
+    with pytest.raises(coded.Incomplete):
+        coded.peel_by_joins(coded.subtract_cells(coded.md5_cells(ours, 64), coded.md5_cells(theirs, 64)), ours.unionByName(theirs))
+    found = coded.difference_by_joins(ours, theirs, first=64).groupBy("owner").count().collect()
+    assert {r["owner"]: r["count"] for r in found} == {"a_only": 200, "b_only": 150}
