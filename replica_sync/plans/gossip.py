@@ -52,19 +52,22 @@ def similarities(states: DataFrame) -> dict[tuple[str, str], float]:
     return {(a, b): shared.get((a, b), 0) / max(1, sizes[a] + sizes[b] - shared.get((a, b), 0)) for i, a in enumerate(names) for b in names[i + 1 :]}
 
 
-def gossip(states: DataFrame, how: str = "random", protocol: str = "filter_rateless", most_rounds: int = 20, cfg: SyncConfig | None = None, seed: int = 7, topology: dict[str, list[str]] | None = None) -> tuple[DataFrame, DataFrame]:
+def gossip(states: DataFrame, how: str = "random", protocol: str = "filter_rateless", most_rounds: int | None = None, cfg: SyncConfig | None = None, seed: int = 7, topology: dict[str, list[str]] | None = None) -> tuple[DataFrame, DataFrame]:
     """states: peer, payload, nbytes, h, d, d2. Rounds until all peers hold the same; all pairs of a round are sessions of one run.
 
-    Returns the final states and (round, pairs, total_bytes).
+    Returns the final states and (round, pairs, total_bytes). Raises where peers still differ after most_rounds (20, or 4 a peer).
     """
     cfg = cfg or SyncConfig()
     spark = states.sparkSession
     names = sorted(r["peer"] for r in states.select("peer").distinct().collect())
     whole = states.select("h").distinct().count()
+    most_rounds = max(20, 4 * len(names)) if most_rounds is None else most_rounds
     states, log = snapshot(states, "peers"), []
-    for k in range(most_rounds):
+    for k in range(most_rounds + 1):
         if states.groupBy("peer").agg(F.count("*").alias("n")).where(F.col("n") < whole).isEmpty():
             break
+        if k == most_rounds:
+            raise RuntimeError(f"peers still differ after {most_rounds} rounds of {how}")
         pairs = partners(names, how, k, similarities(states) if how == "similarity" else None, seed, topology)
         if not pairs:
             continue

@@ -56,3 +56,16 @@ def test_bucket_digest_kinds_agree_on_mismatch(spark, sf):
     a, b = (with_bucket(p, 5) for p in (parts, parts.where("d % 3 != 0")))
     found = [sorted(r["bucket"] for r in mismatched(bucket_digests(a, how), bucket_digests(b, how)).collect()) for how in ("ordered", "xor")]
     assert found[0] == found[1]
+
+
+def test_gossip_raises_where_peers_still_differ(spark):
+    import pytest
+
+    from replica_sync.functions.digest import with_digest
+    from replica_sync.plans.gossip import gossip
+
+    rows = spark.createDataFrame([(p, f"{p} has this") for p in "abc"], "peer string, payload string").selectExpr("*", "octet_length(payload) as nbytes")
+    with pytest.raises(RuntimeError, match="still differ"):
+        gossip(with_digest(rows), "topology", most_rounds=1, topology={"a": ["b"]})
+    states, _ = gossip(with_digest(rows), "topology", topology={"a": ["b"], "b": ["c"]})
+    assert states.count() == 9
