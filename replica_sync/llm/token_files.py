@@ -8,6 +8,7 @@ are one contiguous buffer: sequence k is the slice [k*L, (k+1)*L), without copyi
 from __future__ import annotations
 
 import os
+import re
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -34,7 +35,9 @@ class LibraryTokenizer:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True  # their strings in a text are ordinary text
+        added = sorted((x.content for x in self.library.get_added_tokens_decoder().values()), key=len, reverse=True)
+        #: Texts with one of the library's own added tokens are given to it whole.
+        self.added = re.compile("|".join(map(re.escape, added))) if added else None
         self.dtype = np.dtype("<u2") if self.library.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         self.split = splitter(pattern)
         self.known: dict[str, bytes] = {}
@@ -42,14 +45,18 @@ class LibraryTokenizer:
         self.line_feed = self.library.encode("\n", add_special_tokens=False).ids
 
     def encode_many(self, texts: list[str]) -> list[bytes]:
-        split = [self.split(x) for x in texts]
+        whole = {i for i, x in enumerate(texts) if self.added and self.added.search(x)}
+        split = [[] if i in whole else self.split(x) for i, x in enumerate(texts)]
         new = set().union(*split).difference(self.known)
         if len(self.known) + len(new) > REMEMBERED:
             self.known.clear()
             new = set().union(*split)
         self._learn(list(new))
         ids = self.known.__getitem__
-        return [b"".join(map(ids, pieces)) for pieces in split]
+        out = [b"".join(map(ids, pieces)) for pieces in split]
+        for i in whole:
+            out[i] = np.array(self.library.encode(texts[i], add_special_tokens=False).ids, dtype=self.dtype).tobytes()
+        return out
 
     def _learn(self, pieces: list[str]) -> None:
         """Asks the library. Words go many to a text, parted by line feeds: those are pieces of their own, which no word contains."""

@@ -367,6 +367,21 @@ def test_token_files(docs, texts):
         start += len(ids)
 
 
+def test_added_tokens_are_those_of_the_library(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    assert library.encode("a <|endoftext|> b", add_special_tokens=False).ids == [64, 220, 50256, 275]
+    texts = ["a <|endoftext|> b", "plain", "<|endoftext|><|endoftext|>\n\n x<|endoftext|>", "<|endoftext| >", "", "<|EndOfText|> a"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").coalesce(1)
+    start = 0
+    for r in sorted(token_files.token_files_round_trip(docs, length=8, rows=2).collect(), key=lambda r: r["doc_id"]):
+        ids = [*library.encode(texts[r["doc_id"]], add_special_tokens=False).ids, 0]
+        assert (r["start"], r["n_tokens"], r["ids_crc32"]) == (start, len(ids), zlib.crc32(np.array(ids, dtype="<u4").tobytes()))
+        start += len(ids)
+
+
 def test_sequences(spark, tmp_path):
     docs = spark.createDataFrame([(1, "some words to be stored in a file"), (2, None)], "doc_id bigint, text string").coalesce(1)
     index = token_files.write_token_files(docs, f"file://{tmp_path}", length=8, rows=2).collect()
