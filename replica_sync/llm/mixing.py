@@ -99,13 +99,14 @@ def mix_sources(docs: DataFrame, doc_id: str = "doc_id", source: str = "source",
 
 
 def repeated_rows(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = 3, seed: int = 17, ranges: int = RANGES) -> DataFrame:
-    """The rows of docs (doc_id, source, text and others), each as often as the mix takes it whole.
+    """The rows of docs (doc_id, source, text and others), each as often as the mix takes it.
 
-    The fraction of the one document in which a source's part runs out is left out, so texts stay whole.
+    The one document in which a source's part runs out is taken once more if at least half of it is due, so texts stay
+    whole; texts without words are not taken.
     """
     names = docs.columns
     packed = docs.select("doc_id", "source", "text", F.struct(*names).alias("row"))
     sized = _keyed(packed, seed).drop("text")
     plan = mixing_plan(_keyed(pick(docs, doc_id="doc_id", source="source", text="text"), seed).drop("text"), weights, max_epochs, ranges)
-    copies = F.explode(F.sequence(F.lit(1), F.floor("repeats").cast("int"))).alias("copy")
-    return _mixed(sized, plan, max_epochs, ranges).where(F.col("repeats") >= 1).select("row", copies).select("row.*")
+    copies = F.explode(F.sequence(F.lit(1), F.round("repeats").cast("int"))).alias("copy")
+    return _mixed(sized, plan, max_epochs, ranges).where(F.round("repeats") >= 1).select("row", copies).select("row.*")

@@ -347,6 +347,16 @@ def test_mixing(spark, docs, texts, sf):
     assert sorted(map(tuple, again)) == sorted(map(tuple, rows))
 
 
+def test_whole_rows_are_taken_to_the_nearest(spark):
+    """One long document a source: the last one is taken once more if at least half is due."""
+    rows = [(i, s, " ".join(["w"] * 100)) for i, s in enumerate(("a", "b", "c"))] + [(9, "a", "")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, source string, text string")
+    due = {r["doc_id"]: r["repeats"] for r in mixing.mix_sources(docs).collect()}
+    taken = Counter(r["doc_id"] for r in mixing.repeated_rows(docs).collect())
+    assert any(x % 1 >= 0.5 for x in due.values()) and due[9] == 0
+    assert {i: taken[i] for i in due} == {i: math.floor(x + 0.5) for i, x in due.items()}
+
+
 def test_mixing_is_native(spark, sf):
     plan = queries.op6_mixing(spark, sf)._jdf.queryExecution().toString() + queries.op8_quality_rules(spark, sf)._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
