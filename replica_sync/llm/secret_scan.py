@@ -29,7 +29,7 @@ MORE = {
     "jwt": (re.compile(r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}"), 0, 0),
     "github": (re.compile(r"(?:gh[pousr]_[A-Za-z0-9]{36,}|github_pat_[A-Za-z0-9_]{22,})"), 0, 0),
     "slack": (re.compile(r"xox[abeoprs]-[A-Za-z0-9-]{10,}"), 0, 0),
-    "url_login": (re.compile(r"[a-z][a-z0-9+.-]{1,15}://[^\s/:@]{1,64}:[^\s/:@]{1,64}@"), 0, 0),
+    "url_login": (re.compile(r"[a-z][a-z0-9+.-]{1,15}://[^\s/:@]+:[^\s/:@]+@"), 0, 0),
 }
 KINDS = [*BASE, *MORE]
 _MARKS = ("password", "passwd", "secret", "token", "apikey", "api_key")

@@ -496,6 +496,11 @@ def test_secrets(spark, docs, texts):
             assert [x for x in r["spans"].split(",") if x.split(":")[0] in ("assign", "access", "hex")] == joined
 
 
+def test_long_url_logins_are_found():
+    text = f"see https://{'u' * 70}:{'p' * 200}@host/path"
+    assert secret_scan.spans(text) == [("url_login", 4, text.index("@") + 1)]
+
+
 def test_ledger(spark, docs, tmp_path):
     ledger = secret_scan.BlobLedger(spark, f"file://{tmp_path}/ledger")
     distinct = docs.select("text").distinct().count()
