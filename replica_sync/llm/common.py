@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import gc
+import ctypes
+import functools
 import re
 import tempfile
 import uuid
@@ -19,28 +20,62 @@ WORD = "[^\\x20\\x09-\\x0D]+"
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
-    """A new folder below spark.checkpoint.dir; a temporary one only where that setting is missing."""
+    """A new folder below spark.checkpoint.dir, or the context's checkpoint folder; a temporary one only in local mode, where all share one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         kept = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = kept.get() if kept.isDefined() else None
-    if not base:
+    if not base and spark.sparkContext.master.startswith("local["):
         base = "file://" + tempfile.mkdtemp(prefix="replica_sync_")
         spark.sparkContext.setCheckpointDir(base)
+    if not base:
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def kept_as_table(df: DataFrame, name: str) -> DataFrame:
-    """Writes df to the shared folder and reads it again: the lineage ends there and lost executors cost nothing."""
-    path = shared_folder(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+#: Runtime setting by which Spark deletes a query's exchange files as soon as the query has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
-def release(spark: SparkSession) -> None:
-    """Lets the driver collect what finished steps left, so that their exchange files are deleted now and not at some later time."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+def kept_as_table(df: DataFrame, name: str) -> DataFrame:
+    """Writes df to the shared folder and reads it again: the lineage ends there and lost executors cost nothing.
+
+    Once the table is written, the exchange files that led to it go: nothing reads them again.
+    """
+    spark = df.sparkSession
+    path = shared_folder(spark, name)
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
+    table = spark.read.schema(df.schema).parquet(path)
+    table.kept_at = path
+    return table
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Deletes kept tables that nothing will read again."""
+    for table in tables:
+        spark = table.sparkSession
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(table.kept_at)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+@functools.cache
+def _allocator() -> ctypes.CDLL | None:
+    try:
+        return ctypes.CDLL("libc.so.6")
+    except OSError:
+        return None
+
+
+def trim() -> None:
+    """Gives memory that a block's arrays took back to the system, so that idle workers hold none of it."""
+    pa.default_memory_pool().release_unused()
+    if _allocator() is not None:
+        _allocator().malloc_trim(0)
 
 
 def pick(df: DataFrame, **columns: str) -> DataFrame:

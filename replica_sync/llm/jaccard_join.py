@@ -21,12 +21,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from replica_sync.llm.blocks import REQUEST, block_count, block_of, corrected, counted, in_blocks, per_block, range_count, replies, request_table, requests
-from replica_sync.llm.common import Words, kept_as_table, mixed, pick, release, small_batches, texts_of
-from replica_sync.llm.graphs import components
+from replica_sync.llm.blocks import NONE, REQUEST, block_count, block_of, corrected, counted, in_blocks, key_bits, range_count, replies, request_table, requests
+from replica_sync.llm.common import Words, dropped, kept_as_table, mixed, pick, small_batches, texts_of, trim
+from replica_sync.llm.graphs import components, nearer
 
 SHINGLE, PERCENT, ORDERS = 3, 90, 3
-EMPTY = (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64))
 
 
 class Shingles:
@@ -81,14 +80,21 @@ def allowed_misses(n: np.ndarray, percent: int = PERCENT) -> np.ndarray:
 
 
 def shingle_nodes(rows: DataFrame, blocks: int, width: int) -> DataFrame:
-    """doc_id, n_shingles, node, block of every row: one narrow pass."""
+    """doc_id, address (of the text), n_shingles, node, block of every row: one narrow pass."""
 
     def run(batches):
         for batch in small_batches(batches, "text"):
             found = Shingles(texts_of(batch), width)
-            yield pa.record_batch([batch.column(0), pa.array(found.size.astype(np.int64)), pa.array(found.node(), pa.binary()), batch.column(2)], names=["doc_id", "n_shingles", "node", "block"])
+            yield pa.record_batch([batch.column(0), batch.column(2), pa.array(found.size.astype(np.int64)), pa.array(found.node(), pa.binary()), batch.column(3)], names=["doc_id", "address", "n_shingles", "node", "block"])
+        trim()
 
-    return rows.withColumn("block", block_of(rows, blocks)).mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, n_shingles bigint, node binary, block int")
+    marked = rows.withColumns({"address": address_of(F.col("text")), "block": block_of(rows, blocks)})
+    return marked.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, address binary, n_shingles bigint, node binary, block int")
+
+
+def address_of(text: Column) -> Column:
+    """16 bytes that stand for a text; null counts as empty."""
+    return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
 INDEXED = "node binary, n bigint, alone bigint, shingles array<bigint>, " + ", ".join(f"prefix{k} array<bigint>" for k in range(ORDERS))
@@ -97,45 +103,49 @@ INDEXED = "node binary, n bigint, alone bigint, shingles array<bigint>, " + ", "
 def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """The sets that can have partners, one per node, with their prefixes (of shared elements only) under each order.
 
-    rows: doc_id, text; leaders: block and node (of), one row for each set: the block's first row with it stands for it.
+    rows: doc_id, text; lead: block and node (of), one row for each set: the block's first row with it stands for it.
+    Counts are exchanged under the first bits of the shingles: where two meet, both count as more
+    frequent than they are, the same in every block, so that no order changes between sets and no element is taken for a lone one.
     """
-    n = block_count(rows)
+    n, bits = block_count(rows), key_bits(rows)
     blocks = in_blocks(rows, n)
     parts = range_count(rows, n)
 
-    def once(table: pa.Table, wanted: set[bytes]) -> tuple[Shingles, list[bytes], np.ndarray]:
+    def once(table: pa.Table, wanted: set[bytes]) -> tuple[Shingles, list[bytes], np.ndarray, np.ndarray]:
+        """All sets, their nodes, the rows that stand for a wanted node, and the places of those rows' elements."""
         found = Shingles(texts_of(table.combine_chunks().to_batches()[0]), width)
         nodes, first = found.node(), {}
         for i, node in enumerate(nodes):
             if node in wanted and found.size[i]:
                 first.setdefault(node, i)
-        return found, nodes, np.array(sorted(first.values()), dtype=np.int64)
+        docs = np.array(sorted(first.values()), dtype=np.int64)
+        chosen = np.zeros(len(found.size), dtype=bool)
+        chosen[docs] = True
+        return found, nodes, docs, np.flatnonzero(chosen[found.doc])
 
-    def of_docs(found: Shingles, docs: np.ndarray) -> np.ndarray:
-        mask = np.zeros(len(found.size), dtype=bool)
-        mask[docs] = True
-        return np.flatnonzero(mask[found.doc])
+    def short(hashes: np.ndarray) -> np.ndarray:
+        return hashes >> np.uint64(64 - bits)
 
     def ask(table: pa.Table, wanted: pa.Table) -> pa.Table:
-        if not table.num_rows:
-            return request_table([(0, 0, b"", b"")]).slice(0, 0)
-        pa.default_memory_pool().release_unused()
-        found, _, docs = once(table, set(wanted.column("of").to_pylist()))
-        keys, count, _ = counted(found.hash[of_docs(found, docs)])
-        return request_table(list(requests(table.column("block")[0].as_py(), EMPTY, (keys, count), parts)))
+        rows = []
+        if table.num_rows:
+            found, _, _, at = once(table, set(wanted.column("of").to_pylist()))
+            rows = list(requests(table.column("block")[0].as_py(), NONE, counted(short(found.hash[at]))[:2], parts, bits))
+        out = request_table(rows)
+        trim()
+        return out
 
     def index(table: pa.Table, answers: pa.Table) -> pa.Table:
         kinds = [pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())] + [pa.list_(pa.int64())] * ORDERS
         names = [x.split()[0] for x in INDEXED.split(", ")]
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names=names)
-        pa.default_memory_pool().release_unused()
-        wanted = {x for x in answers.column("of").to_pylist() if x is not None}
-        found, nodes, docs = once(table, wanted)
-        at = of_docs(found, docs)
-        keys, count, place = counted(found.hash[at])
-        total = corrected(keys, count, [x for x in answers.column("grams").to_pylist() if x is not None])
+        found, nodes, docs, at = once(table, {x for x in answers.column("of").to_pylist() if x is not None})
+        keys, count, place = counted(short(found.hash[at]))
+        told = [(p, x) for p, x in zip(answers.column("part").to_pylist(), answers.column("grams").to_pylist()) if x is not None]
+        total = corrected(keys, count, told, parts, bits)
         doc, hashes, frequency = found.doc[at], found.hash[at], total[place]
+        del place, keys, count, total
         # under every order the elements that no other set has come first; what they leave of the prefix is shared ones
         alone = np.bincount(doc[frequency == 1], minlength=len(found.size))
         room = allowed_misses(found.size, percent) + 1 - alone
@@ -155,11 +165,13 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         local = hashes.view(np.int64)
         columns = [[nodes[i] for i in alive], [int(found.size[i]) for i in alive], [int(alone[i]) for i in alive], [signed[found.first[i] : found.first[i] + found.size[i]] for i in alive]]
         columns += [[local[take[start[i] : start[i] + own[i]]] for i in alive] for take, start, own in prefixes]
-        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
+        out = pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
+        trim()
+        return out
 
     asked = blocks.groupBy("block").cogroup(lead.groupBy("block")).applyInArrow(ask, REQUEST)
-    answered = replies(asked).select("block", "grams", F.lit(None).cast("binary").alias("of"))
-    right = answered.unionByName(lead.select("block", F.lit(None).cast("binary").alias("grams"), "of"))
+    answered = replies(asked).select("block", "part", "grams", F.lit(None).cast("binary").alias("of"))
+    right = answered.unionByName(lead.select("block", F.lit(0).alias("part"), F.lit(None).cast("binary").alias("grams"), "of"))
     return blocks.groupBy("block").cogroup(right.groupBy("block")).applyInArrow(index, INDEXED)
 
 
@@ -172,49 +184,72 @@ def compared(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataF
     """Of pairs (a, b) of nodes those that pass under all other orders and whose sets are similar enough.
 
     Under each order what comes before the first element in common is missing on the other side, so that
-    it can be no more than n less the least number in common.
+    it can be no more than n less the least number in common. Whole sets are read only for pairs that pass.
     """
     others = [f"prefix{k}" for k in range(1, ORDERS)]
-    left, right = (sets.select(F.col("node").alias(x), *[F.col(c).alias(f"{x}_{c}") for c in ("n", "alone", "shingles", *others)]) for x in "ab")
-    both = pairs.join(left, "a").join(right, "b")
+    both = pairs
+    for x in "ab":
+        both = both.join(sets.select(F.col("node").alias(x), *[F.col(c).alias(f"{x}_{c}") for c in ("n", "alone", *others)]), x)
     least = least_common(F.col("a_n"), F.col("b_n"), percent)
     for c in others:
         first = F.get(F.array_intersect(f"a_{c}", f"b_{c}"), F.lit(0))
         for x in "ab":
             both = both.where(F.col(f"{x}_alone") + F.array_position(f"{x}_{c}", first) - 1 + least <= F.col(f"{x}_n"))
+    passed = kept_as_table(both.select("a", "b", "a_n", "b_n"), "passed-pairs")
+    whole = passed
+    for x in "ab":
+        whole = whole.join(sets.select(F.col("node").alias(x), F.col("shingles").alias(f"{x}_shingles")), x)
     common = F.size(F.array_intersect("a_shingles", "b_shingles"))
-    return both.withColumn("common", common).where(100 * F.col("common") >= percent * (F.col("a_n") + F.col("b_n") - F.col("common"))).select("a", "b")
+    linked = whole.withColumn("common", common).where(100 * F.col("common") >= percent * (F.col("a_n") + F.col("b_n") - F.col("common"))).select("a", "b")
+    links = kept_as_table(linked, "links")
+    dropped(passed)
+    return links
 
 
-def linked_nodes(sets: DataFrame, percent: int = PERCENT, pivots: int = 4) -> DataFrame:
-    """(node, root) of all nodes with a link; root stands for the component."""
+def linked_nodes(sets: DataFrame, percent: int = PERCENT, pivots: int = 8) -> DataFrame:
+    """(node, root) of all nodes with a link; root stands for the component.
+
+    Between rounds roots are only brought nearer (each is reached by links); the last call settles them.
+    """
     sets = kept_as_table(sets, "shingle-sets")
-    release(sets.sparkSession)
     posted = sets.select("node", "n", "alone", F.posexplode("prefix0").alias("at", "token")).select("token", "node", "n", (F.col("alone") + F.col("at")).alias("place"))
     several = posted.groupBy("token").count().where(F.col("count") > 1).select("token")
     open_ = kept_as_table(posted.join(several, "token").withColumn("root", F.col("node")), "postings")
     links, roots = None, None
     while True:
         pivot = F.pmod(F.xxhash64("node"), F.lit(pivots))
-        chosen = open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "place", "root")).alias("p"))
-        chosen = chosen.select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.place").alias("b_place"), F.col("p.root").alias("b_root"))
+        chosen = kept_as_table(open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "place", "root")).alias("p")).select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.place").alias("b_place"), F.col("p.root").alias("b_root")), "pivots")
         least = least_common(F.col("n"), F.col("b_n"), percent)
         near = (F.col("place") + least <= F.col("n")) & (F.col("b_place") + least <= F.col("b_n")) & (F.col("root") != F.col("b_root"))
         pairs = open_.join(chosen, "token").where(near).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
-        new = kept_as_table(compared(pairs, sets, percent), "links")
+        new = compared(pairs, sets, percent)
+        left = open_.join(chosen.select("token", F.col("b").alias("node")), ["token", "node"], "left_anti")
         if not new.isEmpty():
             links = new if links is None else kept_as_table(links.unionByName(new), "links")
-            roots = components(links)
-        left = open_.drop("root").join(chosen.select("token", F.col("b").alias("node")), ["token", "node"], "left_anti")
-        if roots is not None:
-            left = left.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        else:
-            left = left.withColumn("root", F.col("node"))
+            roots = nearer(links, roots)
+            left = left.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        left = kept_as_table(left, "postings")
         spread = left.groupBy("token").agg(F.min("root").alias("low"), F.max("root").alias("high")).where(F.col("low") != F.col("high")).select("token")
-        open_ = kept_as_table(left.join(spread, "token"), "postings")
+        rest = kept_as_table(left.join(spread, "token"), "postings")
+        dropped(chosen, open_, left)
+        open_ = rest
         if open_.isEmpty():
-            return roots if roots is not None else sets.select("node", F.col("node").alias("root")).limit(0)
-        pivots *= 4
+            return components(links, roots) if links is not None else sets.select("node", F.col("node").alias("root")).limit(0)
+        pivots *= 8
+
+
+def grouped_rows(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """doc_id, address, n_shingles, component (a node that stands for it), component_id of every row."""
+    rows = pick(docs, doc_id=doc_id, text=text)
+    nodes = kept_as_table(shingle_nodes(rows, block_count(rows), width), "shingle-nodes")
+    classes = kept_as_table(nodes.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("least_id"), F.min("block").alias("block")), "shingle-classes")
+    leaders = classes.select("block", F.col("node").alias("of"))
+    roots = linked_nodes(indexed_sets(rows, leaders, width, percent), percent)
+    least = roots.join(classes, "node").groupBy("root").agg(F.min("least_id").alias("component_id"))
+    linked = roots.join(least, "root").select(F.col("node").alias("of"), "root", "component_id")
+    found = classes.join(linked, F.col("node") == F.col("of"), "left").select(F.col("node").alias("of"), F.coalesce("root", "node").alias("component"), F.coalesce("component_id", "least_id").alias("component_id"))
+    alone = F.col("n_shingles") == 0
+    return nodes.join(found, F.col("node") == F.col("of"), "left").select("doc_id", "address", "n_shingles", F.when(~alone, F.col("component")).alias("component"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def similar_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -225,11 +260,21 @@ def similar_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
     null doc_id is never the smallest unless all are null. An empty table gives an empty result; other
     columns are not read.
     """
-    rows = pick(docs, doc_id=doc_id, text=text)
-    nodes = kept_as_table(shingle_nodes(rows, block_count(rows), width), "shingle-nodes")
-    classes = kept_as_table(nodes.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("least_id"), F.min("block").alias("block")), "shingle-classes")
-    leaders = classes.select("block", F.col("node").alias("of"))
-    roots = linked_nodes(indexed_sets(rows, leaders, width, percent), percent)
-    least = roots.join(classes, "node").groupBy("root").agg(F.min("least_id").alias("component"))
-    found = classes.join(roots.join(least, "root").select("node", "component"), "node", "left").select(F.col("node").alias("of"), F.coalesce("component", "least_id").alias("component_id"))
-    return nodes.join(found, F.col("node") == F.col("of"), "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    return grouped_rows(docs, doc_id, text, width, percent).select("doc_id", "n_shingles", "component_id")
+
+
+def one_of_each(docs: DataFrame, width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """The rows of docs (doc_id, text and others) that stand for their groups of similar texts: in each the smallest doc_id.
+
+    Rows of one id are told apart by their texts: if several of a group have its smallest id, the text of the
+    smallest digest stays; a repeated row stays once. Texts without words (null too) are alone, one for each id. Rows without
+    an id stay, all of them. An empty table gives an empty result; other columns go along.
+    """
+    grouped = grouped_rows(docs.where("doc_id is not null"), width=width, percent=percent)
+    first = grouped.where("component is not null").groupBy("component").agg(F.min(F.struct("doc_id", "address")).alias("f")).select("f.*")
+    alone = grouped.where("component is null").select("doc_id", "address").distinct()
+    leaders = kept_as_table(first.unionByName(alone).select(F.col("doc_id").alias("leading id"), F.col("address").alias("leading text")), "leaders")
+    named = docs.where("doc_id is not null").withColumn("text address", address_of(F.col("text")))
+    same = (F.col("doc_id") == F.col("leading id")) & (F.col("text address") == F.col("leading text"))
+    kept = named.join(leaders.hint("merge"), same, "left_semi").dropDuplicates(["doc_id", "text address"]).drop("text address")
+    return kept.unionByName(docs.where("doc_id is null"))

@@ -1,27 +1,36 @@
 """Language-model scores by a weighted backoff automaton.
 
 States are the contexts seen in training (up to order-1 words; the empty one is the root). A state has an arc for
-each word seen after it, weighted by the word's smoothed log-probability, and a failure arc to the
-next shorter context, weighted by the share that smoothing leaves to it. Reading a text from left to right
-takes one arc per token, after as many failure arcs as needed, and adds up the weights.
+each word seen after it, weighted by the word's smoothed log-probability, which leads to the longest state
+that the text then ends in; and a failure arc to the next shorter context, weighted by the share that smoothing leaves to it.
+Reading a text from left to right takes one arc per token, after as many failure arcs as needed.
 
 Smoothing: the root has (c + 0.1) / (N + 0.1 (V + 1)); a context h seen n(h) times has
 (c(h w) + k p(w | shorter h)) / (n(h) + k), so its failure arc weighs k / (n(h) + k): the probabilities of
-all words, with one share for all unseen ones, add up to 1 in every state.
+all words, with one share for all unseen ones, add up to 1 in every state. The strength k of each length of context is
+the one of a ladder under which the training texts, each token left out of the counts in its turn, are likeliest.
+
+Each block of rows builds the part of the automaton that its texts can reach, from corpus counts of its own grams.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from itertools import product
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from replica_sync.llm.blocks import REQUEST, block_count, corrected, counted, in_blocks, per_block, range_count, replies, request_table, requests
-from replica_sync.llm.common import Words, mixed, pick, texts_of
+from replica_sync.llm.blocks import NONE, REQUEST, block_count, corrected, counted, in_blocks, key_bits, range_count, replies, request_table, requests, unpacked
+from replica_sync.llm.common import Words, kept_as_table, mixed, pick, small_batches, texts_of, trim
 
-ORDER = 2
-STRENGTH = 1000.0
+ORDER = 3
+#: Strengths that are tried for each length of context.
+LADDER = (4.0, 16.0, 64.0, 256.0)
+#: Tokens that a lane of the traversal reads.
+LANE = 64
 BEGIN, END = np.uint64(0x5BD1E9955BD1E995), np.uint64(0x27D4EB2F165667C5)
 
 
@@ -31,25 +40,26 @@ def longer(context: np.ndarray, word: np.ndarray) -> np.ndarray:
 
 
 class Sequences:
-    """Texts as token keys: begin, words, end; .doc of each token, .real all but begin, .grams keys by length and place."""
+    """Texts as token keys: begin, words, end; .doc of each token, .real all but begin, .start of each text, .grams (places, keys) of 2, 3, ... tokens."""
 
-    def __init__(self, texts: list[bytes], order: int):
+    def __init__(self, texts: list[bytes], order: int, bits: int = 64):
         words = Words(texts)
         n = words.count + 2
-        start = np.cumsum(n) - n
+        self.start = np.cumsum(n) - n
         self.tokens = np.empty(int(n.sum()), dtype=np.uint64)
         self.doc = np.repeat(np.arange(len(texts)), n)
-        self.tokens[start], self.tokens[start + n - 1] = BEGIN, END
+        self.tokens[self.start], self.tokens[self.start + n - 1] = BEGIN, END
         self.tokens[np.arange(len(words.hash)) + 2 * words.doc + 1] = words.hash
         self.real = np.ones(len(self.tokens), dtype=bool)
-        self.real[start] = False
-        age = np.arange(len(self.tokens)) - np.repeat(start, n)
-        self.grams: list[tuple[np.ndarray, np.ndarray]] = []  # (places, keys) of the grams of 2, 3, ... tokens
+        self.real[self.start] = False
+        age = np.arange(len(self.tokens)) - np.repeat(self.start, n)
+        self.begin = self.tokens[self.start] >> np.uint64(64 - bits)
+        self.grams: list[tuple[np.ndarray, np.ndarray]] = []
         whole = self.tokens
         for m in range(2, order + 1):
             following = longer(np.concatenate([whole[:1], whole[:-1]]), self.tokens)
             place = np.flatnonzero(age >= m - 1)
-            self.grams.append((place, following[place]))
+            self.grams.append((place, following[place] >> np.uint64(64 - bits)))
             whole = following
 
 
@@ -57,92 +67,193 @@ def counts_of(seq: Sequences, training: np.ndarray) -> tuple[tuple, tuple]:
     """(keys, counts, place of each token) of words; (keys, counts, place of each begin and gram) of contexts and longer grams."""
     weight = training[seq.doc].astype(float)
     words = counted(seq.tokens[seq.real], weight[seq.real])
-    begin = ~seq.real
-    keys = np.concatenate([seq.tokens[begin], *[k for _, k in seq.grams]])
-    weights = np.concatenate([weight[begin], *[weight[p] for p, _ in seq.grams]])
+    keys = np.concatenate([seq.begin, *[k for _, k in seq.grams]])
+    weights = np.concatenate([training.astype(float), *[weight[p] for p, _ in seq.grams]])
     return words, counted(keys, weights)
 
 
 class BackoffAutomaton:
-    """Counts of one slice of the corpus with corpus totals; weights of arcs and failure arcs, and the traversal."""
+    """States and arcs that the texts of a block can reach.
+
+    Nodes are the root (0), the words, and the longer grams; a seen node is a state if it is shorter than the order, and the
+    target of an arc from its context. node[m][i] is the gram of m tokens that ends at token i (0 if the text is
+    too short); .suffix is where a node's failure arc leads, .context where the arc to it starts.
+    """
 
-    def __init__(self, total: int, kinds: int, strength: float = STRENGTH):
+    def __init__(self, seq: Sequences, word_place: np.ndarray, word_count: np.ndarray, gram_place: np.ndarray, gram_count: np.ndarray, total: int, kinds: int):
+        n, words = len(seq.tokens), len(word_count)
+        self.order = len(seq.grams) + 1
         self.base = total + 0.1 * (kinds + 1)
-        self.strength = strength
+        self.count = np.concatenate([[0], word_count, gram_count])
+        self.node = np.zeros((self.order + 1, n), dtype=np.int32)
+        self.node[1, seq.real] = 1 + word_place
+        self.node[1, seq.start] = 1 + words + gram_place[: len(seq.start)]
+        at = len(seq.start)
+        for m, (place, _) in enumerate(seq.grams, 2):
+            self.node[m, place] = 1 + words + gram_place[at : at + len(place)]
+            at += len(place)
+        self.level, self.suffix, self.context = (np.zeros(len(self.count), dtype=t) for t in (np.int8, np.int32, np.int32))
+        self.level[self.node[1]] = 1
+        for m, (place, _) in enumerate(seq.grams, 2):
+            own = self.node[m, place]
+            self.level[own], self.suffix[own], self.context[own] = m, self.node[m - 1, place], self.node[m - 1, place - 1]
 
-    def root(self, count: np.ndarray) -> np.ndarray:
-        """Probabilities on the root's arcs."""
-        return (count + 0.1) / self.base
+    def arcs(self, strengths: tuple[float, ...]) -> tuple[np.ndarray, np.ndarray]:
+        """log10 weights of the arc to each node, and of each state's failure arc. strengths: of contexts of 1, 2, ... tokens."""
+        weight = (self.count + 0.1) / self.base
+        fail = np.ones(len(self.count))
+        for m, k in enumerate(strengths, 2):
+            own = np.flatnonzero(self.level == m)
+            seen = self.count[self.context[own]]
+            weight[own] = np.where(seen > 0, (self.count[own] + k * weight[self.suffix[own]]) / (seen + k), weight[self.suffix[own]])
+            states = np.flatnonzero(self.level == m - 1)
+            fail[states] = np.where(self.count[states] > 0, k / (self.count[states] + k), 1.0)
+        return np.log10(weight), np.log10(fail)
 
-    def arc(self, count: np.ndarray, context: np.ndarray, shorter: np.ndarray) -> np.ndarray:
-        """Probabilities on arcs of states of given counts; a context that was never seen is no state."""
-        return np.where(context > 0, (count + self.strength * shorter) / (context + self.strength), shorter)
+    def traverse(self, seq: Sequences) -> tuple[np.ndarray, list[np.ndarray]]:
+        """For each token the node of the arc taken, and the states that were failed before, one array for each failure (0 where there is none).
 
-    def failure(self, context: np.ndarray) -> np.ndarray:
-        return np.where(context > 0, self.strength / (context + self.strength), 1.0)
+        Lanes of LANE tokens are read side by side, each from left to right with its state carried on. A state is at most
+        order - 1 tokens, so a lane that starts within a text finds its state by reading so many tokens before.
+        """
+        size = np.diff(np.append(seq.start, len(seq.tokens))) - 1  # real tokens of each text
+        lanes = -(-size // LANE)
+        first = np.repeat(seq.start + 1, lanes) + LANE * (np.arange(int(lanes.sum())) - np.repeat(np.cumsum(lanes) - lanes, lanes))
+        text = np.repeat(seq.start, lanes)
+        last = np.minimum(first + LANE, np.repeat(seq.start + 1 + size, lanes))
+        taken = np.zeros(len(seq.tokens), dtype=np.int32)
+        failed = [np.zeros(len(seq.tokens), dtype=np.int32) for _ in range(self.order - 1)]
+        at = np.maximum(first - (self.order - 1), text + 1)
+        state = np.where(at == text + 1, self.node[1, text], 0)
+        state = np.where((self.count[state] > 0) & (self.order > 1), state, 0)
+        while len(at):
+            open_, token = np.arange(len(at)), at
+            inside = at >= first
+            for k in range(self.order):
+                level = self.level[state[open_]]
+                arc = self.node[level + 1, token[open_]]
+                hit = (self.count[arc] > 0) | (level == 0)
+                done = open_[hit]
+                keep = inside[done]
+                taken[token[done[keep]]] = arc[hit][keep]
+                follow = np.where(self.level[arc[hit]] == self.order, self.suffix[arc[hit]], arc[hit])
+                open_ = open_[~hit]
+                if len(open_):
+                    keep = inside[open_]
+                    failed[k][token[open_[keep]]] = state[open_[keep]]
+                    state[open_] = self.suffix[state[open_]]
+                state[done] = np.where(self.count[follow] > 0, follow, 0)
+            at = at + 1
+            go = at < last
+            at, first, last, state = at[go], first[go], last[go], state[go]
+        return taken, failed
 
-    def traverse(self, seq: Sequences, word_count: np.ndarray, gram_count: list[np.ndarray], begin_count: np.ndarray) -> np.ndarray:
-        """log10 probability of each real token, all texts side by side.
+    def left_out(self, strengths: tuple[float, ...], tokens: np.ndarray) -> float:
+        """log10 probability of training tokens, each with its own occurrence taken out of the counts."""
+        weight = (np.maximum(self.count[self.node[1, tokens]] - 1, 0) + 0.1) / (self.base - 1)
+        for m, k in enumerate(strengths, 2):
+            own = self.node[m, tokens]
+            seen = np.where(own > 0, self.count[self.context[own]] - 1, 0)
+            weight = np.where(seen > 0, (np.maximum(self.count[own] - 1, 0) + k * weight) / (np.maximum(seen, 1) + k), weight)
+        return float(np.log10(weight).sum())
 
-        The state before a token is its longest seen context. Where that state has the arc, its weight is
-        taken; elsewhere the failure arcs down to the first state that has it, or to the root, add theirs.
-        """
-        n = len(seq.tokens)
-        count = np.zeros(n, dtype=np.int64)
-        count[seq.real], count[~seq.real] = word_count, begin_count
-        weight = np.zeros(n)
-        weight[seq.real] = self.root(word_count.astype(float))
-        for (place, _), found in zip(seq.grams, gram_count):
-            context = count[place - 1]
-            has = found > 0
-            weight[place] = np.where(has, self.arc(found, context, weight[place]), self.failure(context) * weight[place])
-            count = np.zeros(n, dtype=np.int64)
-            count[place] = found
-        return np.log10(weight[seq.real])
-
-
-def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", training=None, order: int = ORDER, strength: float = STRENGTH) -> DataFrame:
+
+def word_totals(rows: DataFrame, parts: int) -> tuple[int, int]:
+    """Tokens and distinct tokens of the training texts (text, training), ends included: two numbers for the driver."""
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def merged() -> tuple[np.ndarray, np.ndarray]:
+            return counted(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))[:2]
+
+        for batch in small_batches(batches, "text"):
+            training = np.array(batch.column(1).to_pylist(), dtype=bool)
+            words = Words([t for t, x in zip(texts_of(batch), training) if x])
+            held.append(counted(np.append(words.hash, END), np.append(np.ones(len(words.hash)), training.sum()))[:2])
+            if len(held) == 16:  # what is held stays as large as its distinct words
+                held[:] = [merged()]
+                if len(held[0][0]) > 1 << 20:
+                    yield from request_table([(p, 0, w, g) for p, _, w, g in requests(0, held[0], NONE, parts)]).to_batches()
+                    held.clear()
+        if held:
+            yield from request_table(list(requests(0, merged(), NONE, parts))).to_batches()
+        trim()
+
+    def add(table: pa.Table) -> pa.Table:
+        split = [unpacked(x) for x in table.column("words").to_pylist()]
+        totals = counted(np.concatenate([k for k, _ in split]), np.concatenate([c for _, c in split]))[1]
+        return pa.table({"total": [int(totals.sum())], "kinds": [int((totals > 0).sum())]})
+
+    found = rows.select("text", "training").mapInArrow(ask, REQUEST).groupBy("part").applyInArrow(add, "total bigint, kinds bigint")
+    row = found.agg(F.sum("total").alias("total"), F.sum("kinds").alias("kinds")).first()
+    return row["total"] or 0, row["kinds"] or 0
+
+
+def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", training: Column | None = None, order: int = ORDER, ladder: tuple[float, ...] = LADDER) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row; scores are log10.
 
     training: a boolean Column over doc_id, by default crc32(doc_id) mod 10 is not 0 (a null id counts as the
     empty string). A null or empty text is the end token alone. Repeated rows each count in training;
-    an empty table gives an empty result; other columns are not read.
+    an empty table gives an empty result; other columns are not read. Words are told apart by 64 bits,
+    longer grams by as many as make a meeting of two less likely than one in a million.
     """
     rows = pick(docs, doc_id=doc_id, text=text)
     kind = dict(rows.dtypes)["doc_id"]
     if training is None:
         training = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 10 != 0
     rows = rows.withColumn("training", training)
-    n = block_count(rows)
+    n, bits = block_count(rows), key_bits(rows)
     blocks = in_blocks(rows, n)
     parts = range_count(rows, n)
+    total, kinds = word_totals(rows, parts)
+    settings = list(product(ladder, repeat=order - 1))
+    names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "scores", "left_out"]
 
     def prepared(table: pa.Table):
         batch = table.combine_chunks().to_batches()[0]
-        seq = Sequences(texts_of(batch), order)
+        seq = Sequences(texts_of(batch), order, bits)
         mask = np.array(batch.column(batch.schema.get_field_index("training")).to_pylist(), dtype=bool)
         return batch, seq, mask, *counts_of(seq, mask)
 
     def ask(table: pa.Table) -> pa.Table:
         _, _, _, words, grams = prepared(table)
-        return request_table(list(requests(table.column("block")[0].as_py(), words[:2], grams[:2], parts)))
+        out = request_table(list(requests(table.column("block")[0].as_py(), words[:2], grams[:2], parts, bits)))
+        del words, grams
+        trim()
+        return out
 
     def score(table: pa.Table, answers: pa.Table) -> pa.Table:
         batch, seq, mask, words, grams = prepared(table)
-        totals = corrected(*words[:2], answers.column("words").to_pylist())
-        longer_totals = corrected(*grams[:2], answers.column("grams").to_pylist())
-        total, kinds = (sum(answers.column(c).to_pylist()) for c in ("total", "kinds"))
-        automaton = BackoffAutomaton(total, kinds, strength)
-        word_count = totals[words[2]]
-        sizes = np.cumsum([int((~seq.real).sum()), *[len(p) for p, _ in seq.grams]])
-        begin, *found = np.split(longer_totals[grams[2]], sizes[:-1])
-        weights = automaton.traverse(seq, word_count, found, begin)
-        doc = seq.doc[seq.real]
+        told = answers.select(["part", "words", "grams"]).to_pydict()
+        word_count = corrected(*words[:2], list(zip(told["part"], told["words"])), parts)
+        gram_count = corrected(*grams[:2], list(zip(told["part"], told["grams"])), parts, bits)
+        automaton = BackoffAutomaton(seq, words[2], word_count, grams[2], gram_count, total, kinds)
+        known = word_count[words[2]]
+        del words, grams, told
+        taken, failed = automaton.traverse(seq)
         m = batch.num_rows
         add = lambda x: np.bincount(doc, x, minlength=m)
-        out = [batch.column(0), pa.array(~mask), *(pa.array(x.astype(np.int64)) for x in (add(None), add(word_count > 0))), pa.array(np.full(m, total, dtype=np.int64)), pa.array(add(np.log10(automaton.root(word_count.astype(float))))), pa.array(add(weights))]
-        return pa.table(out, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+        doc, taken, failed = seq.doc[seq.real], taken[seq.real], [x[seq.real] for x in failed]
+        trained = np.flatnonzero(seq.real & mask[seq.doc])
+        scores, left_out = np.zeros((m, len(settings))), np.zeros(len(settings))
+        for j, strengths in enumerate(settings):
+            arc, fail = automaton.arcs(strengths)
+            weights = arc[taken]
+            for x in failed:
+                weights += fail[x]
+            scores[:, j] = add(weights)
+            left_out[j] = automaton.left_out(strengths, trained)
+        base = add(np.log10((known + 0.1) / automaton.base))
+        once = [left_out.tolist() if i == 0 else None for i in range(m)]
+        out = pa.table([batch.column(0), pa.array(~mask), *(pa.array(x.astype(np.int64)) for x in (add(None), add(known > 0))), pa.array(np.full(m, total, dtype=np.int64)), pa.array(base), pa.array(scores.tolist(), pa.list_(pa.float64())), pa.array(once, pa.list_(pa.float64()))], names=names)
+        del automaton, seq
+        trim()
+        return out
 
-    answered = replies(per_block(blocks, ask, REQUEST))
-    schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double"
-    return blocks.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(score, schema)
+    schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, scores array<double>, left_out array<double>"
+    answered = replies(blocks.groupBy("block").applyInArrow(ask, REQUEST))
+    scored = kept_as_table(blocks.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(score, schema), "lm-scores")
+    sums = scored.agg(*[F.sum(F.get("left_out", F.lit(j))).alias(f"s{j}") for j in range(len(settings))]).first()
+    best = max(range(len(settings)), key=lambda j: (sums[j] if sums[j] is not None else 0.0, -j))
+    return scored.select(*names[:-2], F.get("scores", F.lit(best)).alias("score"))

@@ -1,6 +1,7 @@
 """The training-data operators against plain Python, and their edge cases."""
 
 import hashlib
+import itertools
 import math
 import random
 import re
@@ -140,29 +141,44 @@ def test_page_rows(spark):
 
 
 # ---- 2 ----
-def lm_by_hand(texts, strength=lm_score.STRENGTH):
-    tokens = {i: [*(t or "").encode().lower().split(), None] for i, t in texts.items()}
+def lm_by_hand(texts, order=lm_score.ORDER, ladder=lm_score.LADDER):
+    """Counts in dictionaries, one token at a time; the strengths by leaving each training token out in its turn."""
+    tokens = {i: ["<", *(t or "").encode().lower().split(), ">"] for i, t in texts.items()}
     training = {i for i in tokens if zlib.crc32(str(i).encode()) % 10}
-    one, two = Counter(), Counter()
+    count = Counter()
     for i in training:
-        one.update(tokens[i])
-        two.update(zip(["<", *tokens[i]], tokens[i]))
-    total, kinds, context = sum(one.values()), len(one), {**one, "<": len(training)}
+        for at in range(len(tokens[i])):
+            for m in range(1, order + 1):
+                if at - m + 1 >= 0:
+                    count[tuple(tokens[i][at - m + 1 : at + 1])] += 1
+    real = {g[0]: n for g, n in count.items() if len(g) == 1 and g != ("<",)}
+    total, kinds = sum(real.values()), len(real)
+
+    def probability(words, at, strengths, less=0):
+        p = (max(real.get(words[at], 0) - less, 0) + 0.1) / (total + 0.1 * (kinds + 1) - less)
+        for m, k in enumerate(strengths, 2):
+            if at - m + 1 >= 0:
+                seen = count[tuple(words[at - m + 1 : at])] - less
+                if seen > 0:
+                    p = (max(count[tuple(words[at - m + 1 : at + 1])] - less, 0) + k * p) / (seen + k)
+        return p
+
+    def likelihood(strengths):
+        return sum(math.log10(probability(tokens[i], at, strengths, 1)) for i in training for at in range(1, len(tokens[i])))
+
+    best = max(itertools.product(ladder, repeat=order - 1), key=likelihood)
     out = {}
     for i, words in tokens.items():
-        base = score = 0.0
-        for v, w in zip(["<", *words], words):
-            p = (one[w] + 0.1) / (total + 0.1 * (kinds + 1))
-            base += math.log10(p)
-            n = context.get(v, 0)
-            score += math.log10((two[v, w] + strength * p) / (n + strength) if n else p)
-        out[i] = (i not in training, len(words), sum(one[w] > 0 for w in words), total, base, score)
+        base = sum(math.log10((real.get(w, 0) + 0.1) / (total + 0.1 * (kinds + 1))) for w in words[1:])
+        score = sum(math.log10(probability(words, at, best)) for at in range(1, len(words)))
+        out[i] = (i not in training, len(words) - 1, sum(w in real for w in words[1:]), total, base, score)
     return out
 
 
-def test_lm(docs, texts):
-    want = lm_by_hand(texts)
-    rows = lm_score.score_texts(docs).collect()
+@pytest.mark.parametrize("order, ladder", [(lm_score.ORDER, lm_score.LADDER), (2, (1.0, 50.0)), (4, (8.0,))])
+def test_lm(docs, texts, order, ladder):
+    want = lm_by_hand(texts, order, ladder)
+    rows = lm_score.score_texts(docs, order=order, ladder=ladder).collect()
     assert len(rows) == len(want)
     for r in rows:
         held, n, known, total, base, score = want[r["doc_id"]]
@@ -170,22 +186,38 @@ def test_lm(docs, texts):
         assert math.isclose(r["base_score"], base, rel_tol=1e-9) and math.isclose(r["score"], score, rel_tol=1e-9)
 
 
-def test_lm_of_three_adds_up(spark):
+def test_lm_of_three_adds_up():
     """In every state the probabilities of all words and of one unseen word add up to 1."""
     texts = [b"a b a c", b"a b b a", b"c a b"]
     seq = lm_score.Sequences([*texts, *[b"a b " + w for w in (b"a", b"b", b"c", b"zzz")], b"a b"], 3)
     training = np.array([True] * 3 + [False] * 5)
     words, grams = lm_score.counts_of(seq, training)
     total, kinds = int(words[1].sum()), int((words[1] > 0).sum())
-    automaton = lm_score.BackoffAutomaton(total, kinds, 2.0)
-    sizes = np.cumsum([int((~seq.real).sum()), *[len(p) for p, _ in seq.grams]])
-    begin, *found = np.split(grams[1][grams[2]], sizes[:-1])
-    weights = 10 ** automaton.traverse(seq, words[1][words[2]], found, begin)
+    automaton = lm_score.BackoffAutomaton(seq, words[2], words[1], grams[2], grams[1], total, kinds)
+    taken, failed = automaton.traverse(seq)
+    arc, fail = automaton.arcs((2.0, 3.0))
+    weights = 10 ** (arc[taken] + sum(fail[x] for x in failed))[seq.real]
     doc = seq.doc[seq.real]
     third = [weights[doc == 3 + k][2] for k in range(5)]
     assert math.isclose(sum(third), 1.0, rel_tol=1e-9)
 
 
+def test_lanes_carry_their_state():
+    """A long text read in lanes takes the same arcs as one read by a single lane."""
+    r = np.random.default_rng(4)
+    texts = [" ".join(r.choice(list("abcdefgh"), n)).encode() for n in (1, 63, 64, 65, 66, 400)]
+    seq = lm_score.Sequences(texts, 3)
+    words, grams = lm_score.counts_of(seq, np.array([True, True, False, True, False, False]))
+    automaton = lm_score.BackoffAutomaton(seq, words[2], words[1], grams[2], grams[1], 200, 9)
+    taken, failed = automaton.traverse(seq)
+    lane, lm_score.LANE = lm_score.LANE, 1 << 20
+    try:
+        whole, whole_failed = automaton.traverse(seq)
+    finally:
+        lm_score.LANE = lane
+    assert (taken == whole).all() and all((x == y).all() for x, y in zip(failed, whole_failed)) and failed[1].any()
+
+
 # ---- 3 ----
 def shingles(text, width=3):
     words = (text or "").encode().lower().split()
