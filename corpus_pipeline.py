@@ -6,7 +6,6 @@ quality classifier, near-duplicate join, secret scan, mixing, byte-level BPE.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from replica_sync.llm import bpe, jaccard_join, mixing, quality_nb, secret_scan
 from replica_sync.llm.common import kept_as_table
@@ -22,11 +21,9 @@ def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates (five-word sets, similarity 0.8 or more) the document with the smallest id stays, once; documents without an id stay."""
-    found = jaccard_join.similar_documents(docs, width=WIDTH, percent=PERCENT)
-    leaders = kept_as_table(found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__id")).distinct(), "leaders")
-    named = docs.where("doc_id is not null").join(leaders.hint("merge"), F.col("doc_id") == F.col("__id"), "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.where("doc_id is null"))
+    """Of each group of near duplicates (five-word sets, similarity 0.8 or more) the document with the smallest id stays, once;
+    documents without an id or without words stay."""
+    return jaccard_join.one_of_each(docs, WIDTH, PERCENT)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
