@@ -19,8 +19,8 @@ from pyspark.sql import functions as F
 
 #: Bytes of input, as the optimizer estimates them, that make a block.
 BLOCK_BYTES = 2 << 20
-REQUEST = "part int, block int, words binary, grams binary"
-REPLY = "block int, part int, words binary, grams binary"
+REQUEST = "part int, block bigint, words binary, grams binary"
+REPLY = "block bigint, part int, words binary, grams binary"
 
 
 def plan_bytes(rows: DataFrame) -> int:
@@ -35,12 +35,12 @@ def block_count(rows: DataFrame, each: int = BLOCK_BYTES) -> int:
 
 def key_bits(rows: DataFrame, spare: int = 20) -> int:
     """Bits of a hash with which a key of so much text meets another one by a chance of about 2**-spare at most."""
-    return min(64, max(40, math.ceil(math.log2(plan_bytes(rows) + 1))) + spare)
+    return min(64, max(44, math.ceil(math.log2(plan_bytes(rows) + 1)) + spare))
 
 
 def block_of(rows: DataFrame, n: int) -> Column:
     """A hash of the whole row: copies under different ids spread over all blocks."""
-    return F.pmod(F.xxhash64(*rows.columns), F.lit(n)).cast("int")
+    return F.pmod(F.xxhash64(*rows.columns), F.lit(n))
 
 
 def in_blocks(rows: DataFrame, n: int) -> DataFrame:
@@ -115,7 +115,7 @@ def requests(block: int, words: Counted, grams: Counted, parts: int, bits: int =
 
 
 def request_table(rows: list[tuple]) -> pa.Table:
-    kinds = [pa.int32(), pa.int32(), pa.binary(), pa.binary()]
+    kinds = [pa.int32(), pa.int64(), pa.binary(), pa.binary()]
     columns = list(zip(*rows)) if rows else [[]] * 4
     return pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=["part", "block", "words", "grams"])
 

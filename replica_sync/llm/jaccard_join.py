@@ -89,7 +89,7 @@ def shingle_nodes(rows: DataFrame, blocks: int, width: int) -> DataFrame:
         trim()
 
     marked = rows.withColumns({"address": address_of(F.col("text")), "block": block_of(rows, blocks)})
-    return marked.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, address binary, n_shingles bigint, node binary, block int")
+    return marked.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, address binary, n_shingles bigint, node binary, block bigint")
 
 
 def address_of(text: Column) -> Column:

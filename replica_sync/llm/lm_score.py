@@ -10,20 +10,21 @@ Smoothing: the root has (c + 0.1) / (N + 0.1 (V + 1)); a context h seen n(h) tim
 all words, with one share for all unseen ones, add up to 1 in every state. The strength k of each length of context is
 the one of a ladder under which the training texts, each token left out of the counts in its turn, are likeliest.
 
-Each block of rows builds the part of the automaton that its texts can reach, from corpus counts of its own grams.
+Each block of rows (a pack) builds the part of the automaton that its texts can reach, from corpus counts of its own grams.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import product
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from replica_sync.llm.blocks import NONE, REQUEST, block_count, corrected, counted, in_blocks, key_bits, range_count, replies, request_table, requests, unpacked
+from replica_sync.llm.blocks import BLOCK_BYTES, NONE, REQUEST, block_count, corrected, counted, key_bits, range_count, replies, request_table, requests, unpacked
 from replica_sync.llm.common import Words, kept_as_table, mixed, pick, small_batches, texts_of, trim
 
 ORDER = 3
@@ -53,15 +54,20 @@ class Sequences:
         self.real = np.ones(len(self.tokens), dtype=bool)
         self.real[self.start] = False
         age = np.arange(len(self.tokens)) - np.repeat(self.start, n)
-        self.begin = self.tokens[self.start] >> np.uint64(64 - bits)
+        self.begin = self.key(self.tokens[self.start], 1, bits)
         self.grams: list[tuple[np.ndarray, np.ndarray]] = []
         whole = self.tokens
         for m in range(2, order + 1):
             following = longer(np.concatenate([whole[:1], whole[:-1]]), self.tokens)
             place = np.flatnonzero(age >= m - 1)
-            self.grams.append((place, following[place] >> np.uint64(64 - bits)))
+            self.grams.append((place, self.key(following[place], m, bits)))
             whole = following
 
+    @staticmethod
+    def key(hashes: np.ndarray, length: int, bits: int) -> np.ndarray:
+        """The first bits of a gram's hash; the last three of them tell its length, so that grams of two lengths never meet."""
+        return hashes >> np.uint64(64 - bits) & np.uint64(2**64 - 8) | np.uint64(length % 8)
+
 
 def counts_of(seq: Sequences, training: np.ndarray) -> tuple[tuple, tuple]:
     """(keys, counts, place of each token) of words; (keys, counts, place of each begin and gram) of contexts and longer grams."""
@@ -98,17 +104,28 @@ class BackoffAutomaton:
             own = self.node[m, place]
             self.level[own], self.suffix[own], self.context[own] = m, self.node[m - 1, place], self.node[m - 1, place - 1]
 
-    def arcs(self, strengths: tuple[float, ...]) -> tuple[np.ndarray, np.ndarray]:
-        """log10 weights of the arc to each node, and of each state's failure arc. strengths: of contexts of 1, 2, ... tokens."""
+    def arcs(self, *ladders: tuple[float, ...]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """log10 weights of the arc to each node, and of each state's failure arc, under all settings of one strength from each
+        ladder (of contexts of 1, 2, ... tokens). The arrays are used again for the next setting.
+        """
         weight = (self.count + 0.1) / self.base
-        fail = np.ones(len(self.count))
-        for m, k in enumerate(strengths, 2):
-            own = np.flatnonzero(self.level == m)
-            seen = self.count[self.context[own]]
-            weight[own] = np.where(seen > 0, (self.count[own] + k * weight[self.suffix[own]]) / (seen + k), weight[self.suffix[own]])
-            states = np.flatnonzero(self.level == m - 1)
-            fail[states] = np.where(self.count[states] > 0, k / (self.count[states] + k), 1.0)
-        return np.log10(weight), np.log10(fail)
+        arc, fail = np.log10(weight), np.zeros(len(self.count))
+        level = [np.flatnonzero(self.level == m) for m in range(self.order + 1)]
+        drawn = [(own, self.count[own].astype(float), self.count[self.context[own]].astype(float), self.suffix[own]) for own in level]
+
+        def settle(m: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+            if m > self.order:
+                yield arc, fail
+                return
+            own, count, seen, suffix = drawn[m]
+            shorter = weight[suffix]
+            for k in ladders[m - 2]:  # a context that was never seen leaves all to the shorter one
+                weight[own] = (count + k * shorter) / (seen + k)
+                arc[own] = np.log10(weight[own])
+                fail[level[m - 1]] = np.log10(k / (drawn[m - 1][1] + k))
+                yield from settle(m + 1)
+
+        return settle(2)
 
     def traverse(self, seq: Sequences) -> tuple[np.ndarray, list[np.ndarray]]:
         """For each token the node of the arc taken, and the states that were failed before, one array for each failure (0 where there is none).
@@ -148,14 +165,54 @@ class BackoffAutomaton:
             at, first, last, state = at[go], first[go], last[go], state[go]
         return taken, failed
 
-    def left_out(self, strengths: tuple[float, ...], tokens: np.ndarray) -> float:
-        """log10 probability of training tokens, each with its own occurrence taken out of the counts."""
-        weight = (np.maximum(self.count[self.node[1, tokens]] - 1, 0) + 0.1) / (self.base - 1)
-        for m, k in enumerate(strengths, 2):
+    def left_out(self, tokens: np.ndarray, *ladders: tuple[float, ...]) -> list[float]:
+        """log10 probability of training tokens, each with its own occurrence taken out of the counts, under all settings."""
+        drawn = []
+        for m in range(1, self.order + 1):
             own = self.node[m, tokens]
-            seen = np.where(own > 0, self.count[self.context[own]] - 1, 0)
-            weight = np.where(seen > 0, (np.maximum(self.count[own] - 1, 0) + k * weight) / (np.maximum(seen, 1) + k), weight)
-        return float(np.log10(weight).sum())
+            drawn.append((np.maximum(self.count[own] - 1.0, 0), np.where(own > 0, np.maximum(self.count[self.context[own]] - 1.0, 0), 0)))
+
+        def settle(m: int, shorter: np.ndarray) -> Iterator[float]:
+            if m > self.order:
+                yield float(np.log10(shorter).sum())
+                return
+            count, seen = drawn[m - 1]
+            for k in ladders[m - 2]:
+                yield from settle(m + 1, (count + k * shorter) / (seen + k))
+
+        return list(settle(2, (drawn[0][0] + 0.1) / (self.base - 1)))
+
+
+def packed_rows(rows: DataFrame, each: int = BLOCK_BYTES) -> DataFrame:
+    """block, rows: the rows of each task in packs of about so many bytes, as compressed Arrow streams. Narrow.
+
+    A row is in one pack however long it is. Packs are numbered by task, the same on each run over the same files.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size, number = [], 0, TaskContext.get().partitionId() << 24
+
+        def pack() -> pa.RecordBatch:
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, held[0].schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+                out.write_table(pa.Table.from_batches(held).combine_chunks())
+            return pa.record_batch([pa.array([number], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["block", "rows"])
+
+        for batch in small_batches(batches, "text", each // 8):
+            held.append(batch)
+            size += batch.get_total_buffer_size() if batch.num_rows == 1 else pc.sum(pc.binary_length(batch.column("text"))).as_py() or 0
+            if size >= each:
+                yield pack()
+                held, size, number = [], 0, number + 1
+        if held:
+            yield pack()
+
+    return rows.mapInArrow(run, "block bigint, rows binary")
+
+
+def unpacked_rows(packs: pa.Table) -> tuple[int, pa.RecordBatch]:
+    """The block's number and its rows."""
+    return packs.column("block")[0].as_py(), pa.ipc.open_stream(packs.column("rows")[0].as_buffer()).read_all().combine_chunks().to_batches()[0]
 
 
 def word_totals(rows: DataFrame, parts: int) -> tuple[int, int]:
@@ -204,27 +261,28 @@ def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tra
         training = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 10 != 0
     rows = rows.withColumn("training", training)
     n, bits = block_count(rows), key_bits(rows)
-    blocks = in_blocks(rows, n)
+    blocks = packed_rows(rows).repartition(n, "block")
     parts = range_count(rows, n)
     total, kinds = word_totals(rows, parts)
-    settings = list(product(ladder, repeat=order - 1))
+    ladders = [ladder] * (order - 1)
+    settings = len(ladder) ** (order - 1)
     names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "scores", "left_out"]
 
     def prepared(table: pa.Table):
-        batch = table.combine_chunks().to_batches()[0]
+        block, batch = unpacked_rows(table)
         seq = Sequences(texts_of(batch), order, bits)
-        mask = np.array(batch.column(batch.schema.get_field_index("training")).to_pylist(), dtype=bool)
-        return batch, seq, mask, *counts_of(seq, mask)
+        mask = np.array(batch.column("training").to_pylist(), dtype=bool)
+        return block, batch, seq, mask, *counts_of(seq, mask)
 
     def ask(table: pa.Table) -> pa.Table:
-        _, _, _, words, grams = prepared(table)
-        out = request_table(list(requests(table.column("block")[0].as_py(), words[:2], grams[:2], parts, bits)))
+        block, _, _, _, words, grams = prepared(table)
+        out = request_table(list(requests(block, words[:2], grams[:2], parts, bits)))
         del words, grams
         trim()
         return out
 
     def score(table: pa.Table, answers: pa.Table) -> pa.Table:
-        batch, seq, mask, words, grams = prepared(table)
+        _, batch, seq, mask, words, grams = prepared(table)
         told = answers.select(["part", "words", "grams"]).to_pydict()
         word_count = corrected(*words[:2], list(zip(told["part"], told["words"])), parts)
         gram_count = corrected(*grams[:2], list(zip(told["part"], told["grams"])), parts, bits)
@@ -235,17 +293,16 @@ def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tra
         m = batch.num_rows
         add = lambda x: np.bincount(doc, x, minlength=m)
         doc, taken, failed = seq.doc[seq.real], taken[seq.real], [x[seq.real] for x in failed]
-        trained = np.flatnonzero(seq.real & mask[seq.doc])
-        scores, left_out = np.zeros((m, len(settings))), np.zeros(len(settings))
-        for j, strengths in enumerate(settings):
-            arc, fail = automaton.arcs(strengths)
+        fell = [(at, x[at]) for x in failed for at in [np.flatnonzero(x)]]
+        scores = np.zeros((m, settings))
+        for j, (arc, fail) in enumerate(automaton.arcs(*ladders)):
             weights = arc[taken]
-            for x in failed:
-                weights += fail[x]
+            for at, x in fell:
+                weights[at] += fail[x]
             scores[:, j] = add(weights)
-            left_out[j] = automaton.left_out(strengths, trained)
+        left_out = automaton.left_out(np.flatnonzero(seq.real & mask[seq.doc]), *ladders)
         base = add(np.log10((known + 0.1) / automaton.base))
-        once = [left_out.tolist() if i == 0 else None for i in range(m)]
+        once = [left_out if i == 0 else None for i in range(m)]
         out = pa.table([batch.column(0), pa.array(~mask), *(pa.array(x.astype(np.int64)) for x in (add(None), add(known > 0))), pa.array(np.full(m, total, dtype=np.int64)), pa.array(base), pa.array(scores.tolist(), pa.list_(pa.float64())), pa.array(once, pa.list_(pa.float64()))], names=names)
         del automaton, seq
         trim()
@@ -254,6 +311,6 @@ def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tra
     schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, scores array<double>, left_out array<double>"
     answered = replies(blocks.groupBy("block").applyInArrow(ask, REQUEST))
     scored = kept_as_table(blocks.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(score, schema), "lm-scores")
-    sums = scored.agg(*[F.sum(F.get("left_out", F.lit(j))).alias(f"s{j}") for j in range(len(settings))]).first()
-    best = max(range(len(settings)), key=lambda j: (sums[j] if sums[j] is not None else 0.0, -j))
+    sums = scored.agg(*[F.sum(F.get("left_out", F.lit(j))).alias(f"s{j}") for j in range(settings)]).first()
+    best = max(range(settings), key=lambda j: (sums[j] if sums[j] is not None else 0.0, -j))
     return scored.select(*names[:-2], F.get("scores", F.lit(best)).alias("score"))

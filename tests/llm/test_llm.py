@@ -195,7 +195,7 @@ def test_lm_of_three_adds_up():
     total, kinds = int(words[1].sum()), int((words[1] > 0).sum())
     automaton = lm_score.BackoffAutomaton(seq, words[2], words[1], grams[2], grams[1], total, kinds)
     taken, failed = automaton.traverse(seq)
-    arc, fail = automaton.arcs((2.0, 3.0))
+    arc, fail = next(automaton.arcs((2.0,), (3.0,)))
     weights = 10 ** (arc[taken] + sum(fail[x] for x in failed))[seq.real]
     doc = seq.doc[seq.real]
     third = [weights[doc == 3 + k][2] for k in range(5)]
