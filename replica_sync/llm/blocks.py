@@ -94,7 +94,7 @@ def unpacked(data: bytes) -> tuple[np.ndarray, np.ndarray]:
 def counted(keys: np.ndarray, weight: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted distinct keys, the sum of weights of each, and each entry's place among them."""
     found, place = np.unique(keys, return_inverse=True)
-    return found, np.bincount(place, weight, minlength=len(found)).astype(np.int64), place
+    return found, np.bincount(place, weight, minlength=len(found)).astype(np.int64), place.astype(np.int32)
 
 
 def cuts_of(keys: np.ndarray, parts: int, bits: int = 64) -> np.ndarray:

@@ -183,7 +183,7 @@ class BackoffAutomaton:
         return list(settle(2, (drawn[0][0] + 0.1) / (self.base - 1)))
 
 
-def packed_rows(rows: DataFrame, each: int = BLOCK_BYTES) -> DataFrame:
+def packed_rows(rows: DataFrame, each: int = 2 * BLOCK_BYTES) -> DataFrame:
     """block, rows: the rows of each task in packs of about so many bytes, as compressed Arrow streams. Narrow.
 
     A row is in one pack however long it is. Packs are numbered by task, the same on each run over the same files.
@@ -289,6 +289,7 @@ def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tra
         automaton = BackoffAutomaton(seq, words[2], word_count, grams[2], gram_count, total, kinds)
         known = word_count[words[2]]
         del words, grams, told
+        seq.grams.clear()
         taken, failed = automaton.traverse(seq)
         m = batch.num_rows
         add = lambda x: np.bincount(doc, x, minlength=m)
