@@ -110,12 +110,69 @@ def test_components(spark):
         ("<body><script>var x = '<p>no</p>';</script><p>Only this.</p><form>Mail <input></form>", "Only this."),
         ("<article><header><h1>Head</h1></header><p>Said: 1 &lt; 2.</p><aside>Ad</aside></article>", "Head\n\nSaid: 1 < 2."),
         ("plain words, no markup", "plain words, no markup"),
+        ("<body><div class='ad'>Buy this now, please. It is good, cheap, new.</div><article><h1>Stub</h1></article>", "Stub"),
     ],
 )
 def test_pages(page, text):
     assert html_extract.extract(page) == text
 
 
+SAID = "The council met on Monday, and voted for the plan. It will cost much, said the mayor; others agreed."
+STORY = "".join(f"<p>{SAID} {SAID} Number {k}.</p>" for k in range(3))
+TOLD = "\n\n".join(f"{SAID} {SAID} Number {k}." for k in range(3))
+
+
+@pytest.mark.parametrize(
+    "page, text",
+    [
+        (f"<body><nav>Menu</nav><div class='content share-enabled'>{STORY}</div></body>", TOLD),
+        (f"<body><div id='search-results'>{STORY}</div></body>", TOLD),
+        (f"<body><article><h1>Title</h1><p class='notice-date'>Published 3 May</p>{STORY}</article></body>", f"Title\n\nPublished 3 May\n\n{TOLD}"),
+        (f"<body><div class='story'>{STORY}</div><div class='feedback'><p>I liked this, thanks. Great.</p></div></body>", TOLD),
+        (f"<body><div class='story'>{STORY}</div><div class='feedback'><p>{SAID} {SAID}</p></div></body>", TOLD),
+        (f"<body><div class='outbrain'><p>Buy one, get two.</p></div><div class='story'>{STORY}</div></body>", TOLD),
+        (f"<body><div class='xyz'><p>Buy one, get two.</p></div><div class='story'>{STORY}</div></body>", TOLD),
+        (f"<body><form action='/'><div id='sidebar'>{STORY}</div></form></body>", TOLD),
+        (f"<body>{STORY}<ul><li><a href='/1'>One</a></li><li><a href='/2'>Two</a></li><li><a href='/3'>Three</a></li></ul></body>", TOLD),
+        (f"<body><div class='story'>{STORY}<ul><li>a point</li><li>another</li></ul></div></body>", f"{TOLD}\n\na point\n\nanother"),
+    ],
+)
+def test_ratios_decide_and_names_do_not(page, text):
+    assert html_extract.extract(page) == text
+
+
+def test_path_ratios_by_hand(spark, sf):
+    """Ratio, smoothing and threshold, one block at a time."""
+    sources = [f"<body><div class='story'><h1>Title</h1>{STORY}<p>Short.</p></div><div class='x'><p>Aside, really.</p></div></body>", *[r["html"] for r in spark.read.parquet(f"{sf}/pages.parquet").limit(8).collect()]]
+    for source in sources:
+        page = html_extract.Page(source)
+
+        def section(node):
+            while node and page.name[node] not in html_extract.SECTIONS:
+                node = page.parent[node]
+            return node
+
+        rows = [(page.path[o], section(o), t) for o, t in page.blocks]
+        fused = []
+        for i, (_, home, _) in enumerate(rows):
+            sums = [0.0, 0.0, 0.0]
+            for j, (path, other, _) in enumerate(rows):
+                if abs(i - j) <= 3 and other == home:
+                    same = [t for p, _, t in rows if p == path]
+                    weight = math.exp(-((i - j) ** 2) / 2)
+                    sums[0] += weight
+                    sums[1] += weight * sum(map(len, same)) / len(same)
+                    sums[2] += weight * sum(len(html_extract.PUNCTUATION.findall(t)) for t in same) / len(same)
+            fused.append(sums[1] / sums[0] * (1 + sums[2] / sums[0]))
+        mean = sum(fused) / len(fused)
+        cut = min(math.sqrt(sum((x - mean) ** 2 for x in fused) / len(fused)), max(fused) / 2)
+        holder = np.array([h for _, h, _ in rows])
+        every = list(range(len(rows)))
+        assert np.allclose(html_extract.path_scores(page, every, holder), fused, rtol=1e-9)
+        near = [abs(x - cut) < 1e-9 * cut for x in fused]
+        assert [i in html_extract.content_blocks(page, every, holder, 1.0, 1.0) for i in every if not near[i]] == [x >= cut for i, x in enumerate(fused) if not near[i]]
+
+
 def test_pages_of_the_tables(spark, sf):
     def article(source):
         inner = re.search(r"<article>(.*)</article>", source, re.S)[1]
