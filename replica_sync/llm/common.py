@@ -83,6 +83,11 @@ def pick(df: DataFrame, **columns: str) -> DataFrame:
     return df.select(*[F.col(f"`{old}`").alias(new) for new, old in columns.items()])
 
 
+def by_place(df: DataFrame) -> DataFrame:
+    """Columns named c0, c1, ...: mapInArrow takes names with dots for nested fields."""
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+
+
 def small_batches(batches: Iterator[pa.RecordBatch], column: str, most_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Cuts batches so that each holds about most_bytes of the column; one longer row makes a batch of its own."""
     for batch in batches:

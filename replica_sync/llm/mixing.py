@@ -105,7 +105,7 @@ def repeated_rows(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epoch
     whole; texts without words are not taken.
     """
     names = docs.columns
-    packed = docs.select("doc_id", "source", "text", F.struct(*names).alias("row"))
+    packed = docs.select("doc_id", "source", "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"))
     sized = _keyed(packed, seed).drop("text")
     plan = mixing_plan(_keyed(pick(docs, doc_id="doc_id", source="source", text="text"), seed).drop("text"), weights, max_epochs, ranges)
     copies = F.explode(F.sequence(F.lit(1), F.round("repeats").cast("int"))).alias("copy")

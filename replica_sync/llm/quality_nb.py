@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from replica_sync.llm.common import Words, kept_as_table, mixed, pick, small_batches, texts_of
+from replica_sync.llm.common import Words, by_place, kept_as_table, mixed, pick, small_batches, texts_of, trim
 
 #: Hashed features; bound of what is counted and sent.
 BITS = 18
@@ -193,20 +193,26 @@ def score_quality(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", te
         for batch in small_batches(batches, "text"):
             score = model.score(texts_of(batch))
             yield pa.record_batch([batch.column(0), batch.column(2), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+        trim()
 
     return marked.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, held_out boolean, score double, predicted int")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.5, **options) -> DataFrame:
-    """The rows of docs, all columns, whose score is at least least; learnt from the labels by score_quality's rules."""
+    """The rows of docs, all columns of whatever names, whose score is at least least; learnt from the labels by score_quality's rules.
+
+    A null or empty text has the score of nothing; repeated rows stay or go together; an empty table gives an empty result.
+    """
     rows = pick(docs, doc_id="doc_id", text="text")
     held_out = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 3 == 1
     known = pick(labels, doc_id="doc_id", label="quality").where(F.col("label").isin(0, 1)).dropDuplicates(["doc_id", "label"]).where(~held_out)
     model = fitted_model(with_labels(rows.where(~held_out), known), **options)
-    schema = docs.schema
+    schema, text = docs.schema, f"c{docs.columns.index('text')}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text"):
-            yield batch.filter(pa.array(model.score(texts_of(batch)) >= least))
+        for batch in small_batches(batches, text):
+            kept = batch.filter(pa.array(model.score(texts_of(batch, text)) >= least))
+            yield pa.record_batch(kept.columns, names=schema.names)
+        trim()
 
-    return docs.mapInArrow(run, schema)
+    return by_place(docs).mapInArrow(run, schema)

@@ -12,10 +12,10 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from replica_sync.llm.common import pick, small_batches
+from replica_sync.llm.common import by_place, pick, shared_folder, small_batches
 
 RULE_VERSION = "rules-1"
 # The base patterns, then further well-known credential formats.
@@ -101,23 +101,26 @@ def scan_unseen(rows: DataFrame, ledger: DataFrame | None = None, rule_version:
 class BlobLedger:
     """A ledger kept as a table of Parquet files at a path that all executors see."""
 
-    def __init__(self, spark, path: str, rule_version: str = RULE_VERSION):
-        self.spark, self.path, self.rule_version = spark, path, rule_version
+    def __init__(self, spark: SparkSession, path: str | None = None, rule_version: str = RULE_VERSION):
+        self.spark, self.path, self.rule_version = spark, path or shared_folder(spark, "blob-ledger"), rule_version
 
-    def rows(self) -> DataFrame:
-        self.spark.createDataFrame([], LEDGER).write.mode("append").parquet(self.path)
+    def rows(self) -> DataFrame | None:
+        """All rows of all rule versions, None before the first run."""
+        place = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
+        if not place.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).exists(place):
+            return None
         return self.spark.read.schema(LEDGER).parquet(self.path)
 
-    def update(self, docs: DataFrame, text: str = "text") -> int:
-        """Scans what is new and appends it; repeating it adds nothing. Returns the number of new rows."""
-        before = self.rows()
-        known = before.count()
-        new = scan_unseen(pick(docs, text=text), before, self.rule_version)
-        new.write.mode("append").parquet(self.path)
-        return self.rows().count() - known
+    def update(self, docs: DataFrame, text: str = "text") -> None:
+        """Scans the blobs that are new under this rule version and appends them; repeating it adds nothing."""
+        scan_unseen(pick(docs, text=text), self.rows(), self.rule_version).write.mode("append").parquet(self.path)
 
     def findings(self, docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-        return joined_back(with_blob(pick(docs, doc_id=doc_id, text=text)), self.rows().where(F.col("rule_version") == self.rule_version))
+        """doc_id, the findings and blob of every row, joined back from the ledger."""
+        return joined_back(with_blob(pick(docs, doc_id=doc_id, text=text)), self.spans())
+
+    def spans(self) -> DataFrame:
+        return self.spark.read.schema(LEDGER).parquet(self.path).where(F.col("rule_version") == self.rule_version)
 
 
 def joined_back(rows: DataFrame, ledger: DataFrame) -> DataFrame:
@@ -126,31 +129,34 @@ def joined_back(rows: DataFrame, ledger: DataFrame) -> DataFrame:
     return rows.select("doc_id", "blob").join(one, "blob").select("doc_id", *names, "blob")
 
 
-def scan_secrets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ledger: DataFrame | None = None) -> DataFrame:
+def scan_secrets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ledger: BlobLedger | None = None) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans, blob of every row.
 
-    A null text counts as empty, and has no spans. Repeated rows share one scan; an empty table gives an
-    empty result; other columns are not read.
+    ledger: of earlier runs, by default a new one in the shared folder; only what it lacks is scanned. A null text counts as empty, and
+    has no spans. Repeated rows share one scan; an empty table gives an empty result; other columns are not read.
     """
-    rows = pick(docs, doc_id=doc_id, text=text)
-    new = scan_unseen(rows, ledger)
-    known = new if ledger is None else new.unionByName(ledger.where(F.col("rule_version") == RULE_VERSION))
-    return joined_back(with_blob(rows), known)
+    ledger = ledger or BlobLedger(docs.sparkSession)
+    ledger.update(docs, text)
+    return ledger.findings(docs, doc_id, text)
 
 
-def redact_secrets(docs: DataFrame, text: str = "text", mark: str = "[secret]") -> DataFrame:
+def redact_secrets(docs: DataFrame, text: str = "text", mark: str = "[secret]", ledger: BlobLedger | None = None) -> DataFrame:
     """The same rows and columns, every found span of the text replaced by mark and n_chars, if there, set anew.
 
-    The blobs are scanned once each; their spans come back by content address. Null texts stay null.
+    ledger: as in scan_secrets; the spans come back from it by content address. Null and empty texts stay as they are, repeated rows stay
+    repeated, an empty table gives an empty result, and other columns of whatever names go along.
     """
+    ledger = ledger or BlobLedger(docs.sparkSession)
+    ledger.update(docs, text)
     schema, place = docs.schema, docs.columns.index(text)
     size = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
     address = F.sha2(F.coalesce(F.col(f"`{text}`"), F.lit("")).cast("binary"), 256)
-    found = scan_unseen(pick(docs, text=text)).where(F.col("spans") != "").select(F.col("blob").alias("__blob"), F.col("spans").alias("__spans"))
-    marked = docs.withColumn("__blob", address).join(found, "__blob", "left").select(*[docs[c] for c in docs.columns], "__spans")
+    found = ledger.spans().where(F.col("spans") != "").select(F.col("blob").alias("found blob"), F.col("spans").alias("found spans"))
+    addressed = docs.select(*[F.col(f"`{c}`") for c in docs.columns], address.alias("text address"))
+    marked = addressed.join(found, F.col("text address") == F.col("found blob"), "left").drop("text address", "found blob")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, text):
+        for batch in small_batches(batches, f"c{place}"):
             columns = list(batch.columns)
             where = columns.pop().to_pylist()
             if any(where):
@@ -159,6 +165,6 @@ def redact_secrets(docs: DataFrame, text: str = "text", mark: str = "[secret]")
                 columns[place] = pa.array(new, columns[place].type)
                 if size is not None:
                     columns[size] = pa.array([len(b) if w else n for b, w, n in zip(new, where, columns[size].to_pylist())], columns[size].type)
-            yield pa.record_batch(columns, names=batch.schema.names[:-1])
+            yield pa.record_batch(columns, names=schema.names)
 
-    return marked.mapInArrow(run, schema)
+    return by_place(marked).mapInArrow(run, schema)

@@ -591,14 +591,28 @@ def test_long_url_logins_are_found():
 
 
 def test_ledger(spark, docs, tmp_path):
-    ledger = secret_scan.BlobLedger(spark, f"file://{tmp_path}/ledger")
+    """Two versions of a corpus and two rule versions: only unseen pairs are scanned, findings reach all rows."""
+    path = f"file://{tmp_path}/ledger"
+    ledger, other = secret_scan.BlobLedger(spark, path), secret_scan.BlobLedger(spark, path, "rules-2")
+    held = lambda: sorted((r["rule_version"], n) for r, n in Counter(ledger.rows().select("rule_version").collect()).items())
+    assert ledger.rows() is None
     distinct = docs.select("text").distinct().count()
-    assert ledger.update(docs) == distinct and ledger.update(docs) == 0
-    more = docs.limit(3).unionByName(spark.createDataFrame([(10**6, "token = brandnewtoken", "en", "s", 1)], docs.schema))
-    assert ledger.update(more) == 1
-    assert ledger.findings(docs).count() == docs.count()
-    other = secret_scan.BlobLedger(spark, f"file://{tmp_path}/ledger", "rules-2")
-    assert other.update(docs) == distinct
+    for _ in range(2):  # the second run adds nothing
+        assert secret_scan.scan_secrets(docs, ledger=ledger).count() == docs.count() and held() == [("rules-1", distinct)]
+    changed = docs.limit(3).unionByName(spark.createDataFrame([(10**6, "token = brandnewtoken", "en", "s", 1)], docs.schema))
+    scanned = secret_scan.scan_unseen(changed, ledger.rows()).collect()
+    assert [r["n_assign"] for r in scanned] == [1]
+    found = {r["doc_id"]: r["n_assign"] for r in secret_scan.scan_secrets(changed, ledger=ledger).collect()}
+    assert found[10**6] == 1 and len(found) == 4 and held() == [("rules-1", distinct + 1)]
+    other.update(docs)
+    assert held() == [("rules-1", distinct + 1), ("rules-2", distinct)]
+    assert other.findings(docs).count() == docs.count()
+
+
+def test_redaction_keeps_columns_of_any_name(spark):
+    rows = spark.createDataFrame([(1, "password = hunter2hunter2", 3), (2, None, None)], "doc_id bigint, text string, `a.b` int")
+    out = secret_scan.redact_secrets(rows)
+    assert out.columns == rows.columns and sorted(tuple(r) for r in out.collect()) == [(1, "[secret]", 3), (2, None, None)]
 
 
 def test_redaction(spark, odd):

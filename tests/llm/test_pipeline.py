@@ -3,6 +3,7 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from replica_sync.llm import jaccard_join
@@ -98,7 +99,10 @@ def test_run(spark, sf, stages):
 
 
 def test_odd_tables(spark, sf):
-    odd = spark.createDataFrame([(1, None, None, None, None, 1), (2, "", "en", "s", 0, 1), (None, "no id here", "en", "s", 10, 1), (3, "twice the same text", "en", "s", 19, 1), (3, "twice the same text", "en", "s", 19, 1)], "doc_id bigint, text string, lang string, source string, n_chars bigint, size int")
+    odd = spark.createDataFrame([(1, None, None, None, None, 1), (2, "", "en", "s", 0, 1), (None, "no id here", "en", "s", 10, 1), (3, "twice the same text", "en", "s", 19, 1), (3, "twice the same text", "en", "s", 19, 1)], "doc_id bigint, text string, lang string, source string, n_chars bigint, size int").withColumn("a.b", F.lit(1))
+    once = corpus_pipeline.distinct_documents(spark, odd, sf).collect()
+    assert sorted(((r["doc_id"], r["text"]) for r in once), key=repr) == sorted([(1, None), (2, ""), (3, "twice the same text"), (None, "no id here")], key=repr)
+    assert sorted(r["doc_id"] or 0 for r in corpus_pipeline.without_secrets(spark, odd, sf).collect()) == [0, 1, 2, 3, 3]
     for frame in (odd, odd.limit(0)):
         for name, stage in corpus_pipeline.STAGES:
             out = kept_as_table(stage(spark, frame, sf), f"odd-{name}")
