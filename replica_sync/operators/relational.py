@@ -10,8 +10,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from replica_sync.functions import catalog
 from replica_sync.operators import coded
-from replica_sync.sources.tables import digests_sql, export, items_sql, load_items, parts_of, read, shared_folder
+from replica_sync.sources.tables import digests_sql, export, items_sql, load_items, parts_of, read, shared_folder, snapshot
 
 #: name: (query, SQL or None)
 QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
@@ -62,11 +63,11 @@ def op_anti(spark, sf):
     return read(spark, sf, "customer").select("c_custkey").join(late, "c_custkey", "left_anti")
 
 
-@query("with a as (select user_id, count(*) as n from events where event_id % 2 = 0 group by 1), b as (select user_id, count(*) as m from events where event_id % 3 = 0 group by 1) select coalesce(a.user_id, b.user_id) as user_id, coalesce(n, 0) as n, coalesce(m, 0) as m from a full join b on a.user_id = b.user_id where n is distinct from m")
+@query("with a as (select user_id, count(*) as n from events where event_id % 3 != 0 group by 1), b as (select user_id, count(*) as m from events where event_id % 3 != 1 group by 1) select coalesce(a.user_id, b.user_id) as user_id, coalesce(n, 0) as n, coalesce(m, 0) as m from a full join b on a.user_id = b.user_id where n is distinct from m")
 def op_full_outer(spark, sf):
     e = read(spark, sf, "events")
-    a = e.where("event_id % 2 = 0").groupBy("user_id").agg(F.count("*").alias("n"))
-    b = e.where("event_id % 3 = 0").groupBy("user_id").agg(F.count("*").alias("m"))
+    a = e.where("event_id % 3 != 0").groupBy("user_id").agg(F.count("*").alias("n"))
+    b = e.where("event_id % 3 != 1").groupBy("user_id").agg(F.count("*").alias("m"))
     return a.join(b, "user_id", "full_outer").where(~F.col("n").eqNullSafe(F.col("m"))).select("user_id", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("m", F.lit(0)).alias("m"))
 
 
@@ -225,10 +226,23 @@ def op_first_last(spark, sf):
     return read(spark, sf, "events").select("user_id", F.first("event_id").over(w).alias("first_event"), F.last("event_id").over(w).alias("last_event")).distinct()
 
 
+def ranked_by(rows: DataFrame, *order: Column) -> DataFrame:
+    """Adds rank (from 1) and size: ranges of the order are put in order each in its own task, and know how many rows are before them."""
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = snapshot(rows.repartitionByRange(n, *order).withColumn("piece", F.spark_partition_id()), "ranges")
+    before = Window.orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
+    sums = placed.groupBy("piece").count().select("piece", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("before"), F.sum("count").over(Window.partitionBy()).alias("size"))
+    own = F.row_number().over(Window.partitionBy("piece").orderBy(*order))
+    return placed.withColumn("own", own).join(F.broadcast(sums), "piece").withColumn("rank", F.col("own") + F.col("before")).drop("piece", "own", "before")  # one row a range
+
+
 @query("select s_suppkey, ntile(4) over (order by s_acctbal, s_suppkey) as q, round(percent_rank() over (order by s_acctbal, s_suppkey), 9) as p from supplier")
 def op_ntile(spark, sf):
-    w = Window.orderBy("s_acctbal", "s_suppkey")
-    return read(spark, sf, "supplier").select("s_suppkey", F.ntile(4).over(w).alias("q"), F.round(F.percent_rank().over(w), 9).alias("p"))
+    rows = ranked_by(read(spark, sf, "supplier").select("s_suppkey", "s_acctbal"), F.col("s_acctbal"), F.col("s_suppkey"))
+    least, more = F.floor(F.col("size") / 4), F.col("size") % 4
+    large = more * (least + 1)  # rows in the tiles that hold one row more
+    tile = F.when(F.col("rank") <= large, F.floor((F.col("rank") - 1) / (least + 1)) + 1).otherwise(more + F.floor((F.col("rank") - 1 - large) / F.greatest(least, F.lit(1))) + 1)
+    return rows.select("s_suppkey", tile.cast("int").alias("q"), F.round((F.col("rank") - 1) / F.greatest(F.col("size") - 1, F.lit(1)), 9).alias("p"))
 
 
 @query("select doc_id, length(text) as chars from documents order by 2 desc, 1 limit 20")
@@ -244,15 +258,16 @@ def op_topk_per_group(spark, sf):
 
 @query("select r_name, row_number() over (order by r_name desc) as place from region")
 def op_sort(spark, sf):
-    return read(spark, sf, "region").orderBy(F.desc("r_name")).withColumn("place", F.row_number().over(Window.orderBy(F.desc("r_name")))).select("r_name", "place")
+    return ranked_by(read(spark, sf, "region").select("r_name"), F.desc("r_name")).select("r_name", F.col("rank").alias("place"))
 
 
 def halves(spark, sf):
+    """Two overlapping replicas that cover the table together."""
     e = read(spark, sf, "events")
-    return e.where("event_id % 2 = 0").select("user_id", "event_type"), e.where("event_id % 3 = 0").select("user_id", "event_type")
+    return e.where("event_id % 3 != 0").select("user_id", "event_type"), e.where("event_id % 3 != 1").select("user_id", "event_type")
 
 
-HALF_A, HALF_B = (f"select user_id, event_type from events where event_id % {k} = 0" for k in (2, 3))
+HALF_A, HALF_B = (f"select user_id, event_type from events where event_id % 3 != {k}" for k in (0, 1))
 
 
 def _set_query(name: str, word: str, f: Callable[[DataFrame, DataFrame], DataFrame]) -> None:
@@ -346,32 +361,21 @@ _sql_query("op_recursive", "region", "with recursive walk(i, n) as (select cast(
 
 @query(None)
 def op_udtf(spark, sf):
-    """Cell indices as a table function in SQL: cells of the portable walk's faster sibling below 64."""
-    from pyspark.sql.functions import udtf
-
-    @udtf(returnType="i int")
-    class CellIndices:
-        def eval(self, d: int, upto: int):
-            from replica_sync.operators.coded import walk
-
-            for i in walk(d, upto):
-                yield (i,)
-
-    spark.udtf.register("cell_indices", CellIndices)
+    """Cell indices as a table function in SQL, below 64."""
+    catalog.register(spark)
     parts_of(spark, sf, "supplier").createOrReplaceTempView("supplier_parts")
-    return spark.sql("select p.d, c.i from supplier_parts p, lateral cell_indices(p.d, 64) c")
+    return spark.sql("select p.d, c.i from supplier_parts p, lateral coded_cells(p.d, p.d2, 0, 64) c")
 
 
-@query(f"select h, concat(h, md5(concat(payload, '/'))) as wide from ({digests_sql(items_sql('supplier'))})")
+@query(f"select h, (d & 1073741823) % 97 * 31 + d2 % 89 as mixed from ({digests_sql(items_sql('supplier'))})")
 def op_pandas_udf(spark, sf):
-    """256 bits of digest by a vectorised function."""
-    import hashlib
+    """A number of both halves of a digest by a function over whole batches."""
 
-    @F.pandas_udf("string")
-    def wide(payload: pd.Series) -> pd.Series:
-        return payload.map(lambda x: hashlib.md5(x.encode()).hexdigest() + hashlib.md5((x + "/").encode()).hexdigest())
+    @F.pandas_udf("bigint")
+    def mixed(d: pd.Series, d2: pd.Series) -> pd.Series:
+        return (d & 1073741823) % 97 * 31 + d2 % 89
 
-    return parts_of(spark, sf, "supplier").select("h", wide("payload").alias("wide"))
+    return parts_of(spark, sf, "supplier").select("h", mixed("d", "d2").alias("mixed"))
 
 
 @query(f"select d % 16 as seg, count(*) as n, max(d) as top from ({digests_sql(items_sql('customer'))}) group by 1")
@@ -404,10 +408,10 @@ def op_cogroup(spark, sf):
     return a.groupBy("seg").cogroup(b.groupBy("seg")).applyInArrow(run, "seg bigint, a_only bigint, b_only bigint")
 
 
-@query("select fmt, o_orderkey, o_orderpriority from orders, (values ('parquet'), ('orc'), ('json'), ('csv')) f(fmt) where o_orderkey % 50 = 0")
+@query("select fmt, o_orderkey, o_orderpriority from orders, (values ('parquet'), ('orc'), ('json'), ('csv')) f(fmt)")
 def op_sources(spark, sf):
     """A snapshot written and read again in each format."""
-    rows = read(spark, sf, "orders").where("o_orderkey % 50 = 0").select("o_orderkey", "o_orderpriority")
+    rows = read(spark, sf, "orders").select("o_orderkey", "o_orderpriority")
     out = None
     for fmt in ("parquet", "orc", "json", "csv"):
         again = export(rows, shared_folder(spark, f"export-{fmt}"), fmt).withColumn("fmt", F.lit(fmt))

@@ -122,17 +122,18 @@ GROWMAP = lattice.grow_map("k", lattice.grow_set("payload"))
 ORD = items_sql("orders")
 
 
-def order_map(spark, sf, mod):
+def order_map(spark, sf, without):
+    """Orders but for a third of them: two of these overlap and cover the table."""
     k = F.split_part("payload", F.lit("|"), F.lit(2)).cast("bigint")
-    return tables.load_items(spark, sf, "orders").where(F.col("part_key").cast("bigint") % mod == 0).select(k.alias("k"), "payload")
+    return tables.load_items(spark, sf, "orders").where(F.col("part_key").cast("bigint") % 3 != without).select(k.alias("k"), "payload")
 
 
-def order_map_sql(mod):
-    return f"select cast(split_part(payload, '|', 2) as bigint) as k, payload from ({ORD}) where cast(part_key as bigint) % {mod} = 0"
+def order_map_sql(without):
+    return f"select cast(split_part(payload, '|', 2) as bigint) as k, payload from ({ORD}) where cast(part_key as bigint) % 3 <> {without}"
 
 
-add("growmap_join", lambda spark, sf: GROWMAP.join(order_map(spark, sf, 2), order_map(spark, sf, 3)), f"{order_map_sql(2)} union {order_map_sql(3)}")
-add("growmap_delta", lambda spark, sf: GROWMAP.delta(order_map(spark, sf, 2), order_map(spark, sf, 3)), f"{order_map_sql(2)} except {order_map_sql(3)}")
+add("growmap_join", lambda spark, sf: GROWMAP.join(order_map(spark, sf, 0), order_map(spark, sf, 1)), f"{order_map_sql(0)} union {order_map_sql(1)}")
+add("growmap_delta", lambda spark, sf: GROWMAP.delta(order_map(spark, sf, 0), order_map(spark, sf, 1)), f"{order_map_sql(0)} except {order_map_sql(1)}")
 TWOPHASE = lattice.two_phase_set("doc_id")
 
 
@@ -230,12 +231,12 @@ S, EPS, LOAD = 0.75, 0.01, 1.0
 WIRE = SyncConfig().wire
 
 
-def replicas_of(spark, sf, table="events", s=S, eps=EPS, load_factor=LOAD, segments=1) -> Replicas:
+def replicas_of(spark, sf, table="events", s=S, eps=EPS, load_factor=LOAD, segments=None) -> Replicas:
     pair = snapshot(pair_of(spark, sf, table, s), "pair")
     return Replicas.single(*replicas.sides(pair), SyncConfig(eps=eps, load_factor=load_factor, segments=segments))
 
 
-def run(spark, sf, protocol: str, segments: int = 1, **options) -> SyncResult:
+def run(spark, sf, protocol: str, segments: int | None = None, **options) -> SyncResult:
     return PROTOCOLS[protocol](replicas_of(spark, sf, segments=segments, **options), SyncConfig(segments=segments))
 
 
@@ -264,7 +265,7 @@ AB = f"with p as ({pair_sql('events', S)}), a as (select * from p where side in
 BOTH_FINAL = "select 'a' as side, payload from p union all select 'b', payload from p"
 
 
-def final(protocol: str, segments: int = 1, **options):
+def final(protocol: str, segments: int | None = None, **options):
     return lambda spark, sf: run(spark, sf, protocol, segments, **options).states().drop("sid")
 
 
@@ -432,7 +433,7 @@ def cells_per_difference(spark, sf):
     table = spark.createDataFrame(trials, "sid bigint, size int")
     parts = snapshot(tables.parts_of(spark, sf, "events").select("h", "d", "d2"), "parts")
     rank = F.row_number().over(replicas.Window.partitionBy("sid").orderBy(F.md5(F.concat("h", F.col("sid").cast("string")))))
-    chosen = parts.crossJoin(F.broadcast(table)).withColumn("r", rank).where("r <= size").select("sid", F.lit(0).alias("seg"), "d")
+    chosen = parts.crossJoin(F.broadcast(table)).withColumn("r", rank).where("r <= size").select("sid", F.lit(0).alias("seg"), "d", "d2")
     used = reconcile(chosen, chosen.limit(0), SyncConfig()).used
     return used.join(table, "sid").groupBy("size").agg(F.avg(F.col("cells") / F.col("size")).alias("cells_per_part"), F.count("*").alias("trials"))
 
@@ -528,19 +529,33 @@ def crossover_points(spark, sf):
 
 
 # ---- several peers ----
-PEERS = "('src0', 'src1', 'src2', 'src3')"
-
-
 def peers_of(spark, sf):
-    d = read(spark, sf, "documents").where(f"source in {PEERS}").select(F.col("source").alias("peer"), F.col("text").alias("payload")).distinct()
+    """One replica per source of documents; rows without a source are a replica of their own."""
+    d = read(spark, sf, "documents").select(F.coalesce("source", F.lit("")).alias("peer"), F.coalesce("text", F.lit("")).alias("payload")).distinct()
     return with_digest(d.withColumn("nbytes", F.octet_length("payload")))
 
 
-ALL_PEERS = f"with d as (select distinct source, text from documents where source in {PEERS}) select s.source as peer, md5(t.text) as h from (select distinct source from d) s, (select distinct text from d) t"
-for _h in ("random", "ring", "similarity"):
-    add(f"gossip_{_h}", lambda spark, sf, h=_h: gossip.gossip(peers_of(spark, sf), h)[0].select("peer", "h"), ALL_PEERS)
-add("gossip_topology", lambda spark, sf: gossip.gossip(peers_of(spark, sf), "topology", topology={"src0": ["src1", "src2"], "src3": ["src2"], "src1": ["src3"]})[0].select("peer", "h"), ALL_PEERS)
-add("sync_many_star", lambda spark, sf: (lambda p: gossip.sync_many(p.where("peer = 'src0'").drop("peer"), p.where("peer != 'src0'"))[0].select("h"))(peers_of(spark, sf)), f"select distinct md5(text) as h from documents where source in {PEERS}")
+def cube(names: list[str]) -> dict[str, list[str]]:
+    """Edges between names whose places differ by one bit: a graph of logarithmic width, if need be without its last corners."""
+    return {a: [names[i ^ 1 << k] for k in range(len(names).bit_length()) if i < i ^ 1 << k < len(names)] for i, a in enumerate(names)}
+
+
+def gossiped(spark, sf, how: str):
+    peers = peers_of(spark, sf)
+    topology = cube(gossip.names_of(peers)) if how == "topology" else None
+    return gossip.gossip(peers, how, topology=topology)[0].select("peer", "h")
+
+
+def star(spark, sf):
+    peers = snapshot(peers_of(spark, sf), "peers")
+    center = gossip.names_of(peers)[0]
+    return gossip.sync_many(peers.where(F.col("peer") == center).drop("peer"), peers.where(F.col("peer") != center))[0].select("h")
+
+
+ALL_PEERS = "with d as (select distinct coalesce(source, '') as source, coalesce(text, '') as text from documents) select s.source as peer, md5(t.text) as h from (select distinct source from d) s, (select distinct text from d) t"
+for _h in ("random", "ring", "similarity", "topology"):
+    add(f"gossip_{_h}", lambda spark, sf, h=_h: gossiped(spark, sf, h), ALL_PEERS)
+add("sync_many_star", star, "select distinct md5(coalesce(text, '')) as h from documents")
 
 # ---- workloads ----
 FEW = [0.0, 0.25, 0.5, 0.75, 0.95, 1.0]

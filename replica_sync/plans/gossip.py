@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from replica_sync.functions.digest import segment_of
-from replica_sync.functions.wire import SyncConfig
+from replica_sync.functions.wire import SyncConfig, segments_for
 from replica_sync.protocols import PROTOCOLS, Replicas
 from replica_sync.protocols.base import PART, merged
 from replica_sync.sources.tables import snapshot
@@ -38,6 +38,11 @@ def partners(names: list[str], how: str, round_: int, similarity: dict[tuple[str
     return pairs
 
 
+def names_of(states: DataFrame) -> list[str]:
+    """The peers, in order: as many names as replicas."""
+    return sorted(r["peer"] for r in states.select("peer").distinct().collect())
+
+
 def similarities(states: DataFrame) -> dict[tuple[str, str], float]:
     """Jaccard similarity of each pair of peers (peer, h); the result has one number per pair of peers."""
     sizes = {r["peer"]: r["n"] for r in states.groupBy("peer").agg(F.count("*").alias("n")).collect()}
@@ -59,9 +64,11 @@ def gossip(states: DataFrame, how: str = "random", protocol: str = "filter_ratel
     """
     cfg = cfg or SyncConfig()
     spark = states.sparkSession
-    names = sorted(r["peer"] for r in states.select("peer").distinct().collect())
+    names = names_of(states)
     whole = states.select("h").distinct().count()
     most_rounds = max(20, 4 * len(names)) if most_rounds is None else most_rounds
+    segments = cfg.segments or segments_for(whole)
+    eps, load = 0.01 if cfg.eps is None else cfg.eps, 1.0 if cfg.load_factor is None else cfg.load_factor
     states, log = snapshot(states, "peers"), []
     for k in range(most_rounds + 1):
         if states.groupBy("peer").agg(F.count("*").alias("n")).where(F.col("n") < whole).isEmpty():
@@ -73,8 +80,8 @@ def gossip(states: DataFrame, how: str = "random", protocol: str = "filter_ratel
             continue
         rows = [(i, a, b) for i, (a, b) in enumerate(pairs)]
         table = spark.createDataFrame(rows, "sid bigint, left string, right string")
-        side = lambda c: states.join(table.select("sid", F.col(c).alias("peer")), "peer").withColumn("seg", segment_of(cfg.segments)).select(*PART)
-        sessions = table.select("sid", F.lit(cfg.eps).alias("eps"), F.lit(cfg.load_factor).alias("load_factor"))
+        side = lambda c: states.join(table.select("sid", F.col(c).alias("peer")), "peer").withColumn("seg", segment_of(segments)).select(*PART)
+        sessions = table.select("sid", F.lit(eps).alias("eps"), F.lit(load).alias("load_factor"))
         result = PROTOCOLS[protocol](Replicas(side("left"), side("right"), sessions), cfg)
         log.append((k + 1, len(pairs), result.transcript.agg(F.sum(F.col("metadata_bytes") + F.col("payload_bytes"))).first()[0]))
         moved = [result.state_a.join(table.select("sid", F.col("left").alias("peer")), "sid"), result.state_b.join(table.select("sid", F.col("right").alias("peer")), "sid")]
@@ -90,12 +97,13 @@ def sync_many(center: DataFrame, peers: DataFrame, protocol: str = "rateless", c
     Every peer is a session; the center joins what all of them had.
     """
     cfg = cfg or SyncConfig()
-    names = sorted(r["peer"] for r in peers.select("peer").distinct().collect())
+    names = names_of(peers)
     table = center.sparkSession.createDataFrame(list(enumerate(names)), "sid bigint, peer string")
-    seg = segment_of(cfg.segments)
+    eps, load = 0.01 if cfg.eps is None else cfg.eps, 1.0 if cfg.load_factor is None else cfg.load_factor
+    seg = segment_of(cfg.segments or segments_for(center.count()))
     mine = center.crossJoin(F.broadcast(table.select("sid"))).withColumn("seg", seg).select(*PART)  # one row per peer
     theirs = peers.join(table, "peer").withColumn("seg", seg).select(*PART)
-    sessions = table.select("sid", F.lit(cfg.eps).alias("eps"), F.lit(cfg.load_factor).alias("load_factor"))
+    sessions = table.select("sid", F.lit(eps).alias("eps"), F.lit(load).alias("load_factor"))
     result = PROTOCOLS[protocol](Replicas(mine, theirs, sessions), cfg)
     joined = merged(result.state_a.withColumn("sid", F.lit(0).cast("bigint")))
     costs = result.transcript.join(table, "sid").groupBy("peer").agg(F.sum(F.col("metadata_bytes") + F.col("payload_bytes")).alias("total_bytes"))

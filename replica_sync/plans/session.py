@@ -22,12 +22,12 @@ def synchronize(a: DataFrame, b: DataFrame, protocol: str = "filter_rateless", c
     cfg = cfg or SyncConfig()
     sides = []
     for side in (a, b):
-        parts = side if "h" in side.columns else with_digest(side.select("payload").distinct().withColumn("nbytes", F.octet_length("payload")), segments=cfg.segments)
+        parts = side if "h" in side.columns else with_digest(side.select("payload").distinct().withColumn("nbytes", F.octet_length("payload")), segments=cfg.segments or 1)
         sides.append(parts)
     if protocol == "auto":
         chosen = advice_for(*sides, cfg)
         protocol = chosen.protocol
-        cfg = replace(cfg, eps=chosen.eps if chosen.eps < 1 else cfg.eps)
+        cfg = replace(cfg, eps=chosen.eps if 0 < chosen.eps < 1 else cfg.eps)
     return PROTOCOLS[protocol](Replicas.single(*sides, cfg), cfg)
 
 
@@ -46,7 +46,7 @@ class SyncSession:
 
     def replica(self, name: str, payloads: DataFrame) -> DataFrame:
         """Keeps a table's payload column as a snapshot of parts under a name."""
-        parts = with_digest(payloads.select("payload").distinct().withColumn("nbytes", F.octet_length("payload")), segments=self.cfg.segments)
+        parts = with_digest(payloads.select("payload").distinct().withColumn("nbytes", F.octet_length("payload")), segments=self.cfg.segments or 1)
         self.replicas[name] = tables.snapshot(parts, f"replica-{name}")
         return self.replicas[name]
 

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from replica_sync.functions.digest import segment_of
-from replica_sync.functions.wire import SyncConfig
+from replica_sync.functions.wire import SyncConfig, segments_for
 from replica_sync.plans.metrics import summarise
 from replica_sync.protocols import PROTOCOLS, Replicas, SyncResult
 from replica_sync.protocols.base import PART
@@ -32,7 +32,8 @@ def replicas_for(parts: DataFrame, rows: list[tuple[int, float, float, float]],
     spark = parts.sparkSession
     table = spark.createDataFrame(rows, "sid bigint, s double, eps double, load_factor double")
     crossed = parts.crossJoin(F.broadcast(table.select("sid", "s")))  # as many rows as sessions
-    pair = replicas.sided(crossed, F.col("s"), c).withColumn("seg", segment_of(cfg.segments))
+    each = c if c is not None else (parts.agg(F.max("size")).first()[0] or 0) // 2
+    pair = replicas.sided(crossed, F.col("s"), c).withColumn("seg", segment_of(cfg.segments or segments_for(each)))
     a, b = replicas.sides(tables.snapshot(pair.select(*PART, "side"), "pair"))
     return Replicas(a, b, table.select("sid", "eps", "load_factor"))
 

@@ -7,14 +7,15 @@ came in messages, nothing of the other's.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
-from functools import reduce
+from collections.abc import Callable
+from dataclasses import dataclass, replace
+from functools import reduce, wraps
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from replica_sync.functions.digest import segment_of
-from replica_sync.functions.wire import SyncConfig
+from replica_sync.functions.wire import SyncConfig, WireModel, segments_for
 from replica_sync.operators import coded
 from replica_sync.sources.tables import snapshot
 
@@ -32,15 +33,22 @@ class Replicas:
 
     @classmethod
     def single(cls, a: DataFrame, b: DataFrame, cfg: SyncConfig | None = None) -> Replicas:
-        """One session, number 0, of two sets of parts with digests."""
+        """One session, number 0, of two sets of parts with digests. Parts are counted unless cfg says how many segments there are."""
         cfg = cfg or SyncConfig()
-        one = a.sparkSession.range(1).select(F.lit(0).cast("bigint").alias("sid"), F.lit(float(cfg.eps)).alias("eps"), F.lit(float(cfg.load_factor)).alias("load_factor"))
+        eps, load = 0.01 if cfg.eps is None else cfg.eps, 1.0 if cfg.load_factor is None else cfg.load_factor
+        one = a.sparkSession.range(1).select(F.lit(0).cast("bigint").alias("sid"), F.lit(float(eps)).alias("eps"), F.lit(float(load)).alias("load_factor"))
+        segments = cfg.segments or segments_for(max(a.count(), b.count()))
 
         def keyed(parts: DataFrame) -> DataFrame:
-            return parts.withColumn("sid", F.lit(0).cast("bigint")).withColumn("seg", segment_of(cfg.segments)).select(*PART)
+            return parts.withColumn("sid", F.lit(0).cast("bigint")).withColumn("seg", segment_of(segments)).select(*PART)
 
         return cls(keyed(a), keyed(b), one)
 
+    def under(self, cfg: SyncConfig) -> Replicas:
+        """The same replicas with the settings that cfg gives."""
+        given = {c: F.lit(float(v)) for c, v in (("eps", cfg.eps), ("load_factor", cfg.load_factor)) if v is not None}
+        return replace(self, sessions=self.sessions.withColumns(given)) if given else self
+
 
 @dataclass
 class SyncResult:
@@ -55,6 +63,17 @@ class SyncResult:
         return self.state_a.select("sid", F.lit("a").alias("side"), "payload").unionByName(self.state_b.select("sid", F.lit("b").alias("side"), "payload"))
 
 
+def protocol(run: Callable[[Replicas, SyncConfig], SyncResult]) -> Callable[..., SyncResult]:
+    """A protocol with the settings of its configuration, where that has any."""
+
+    @wraps(run)
+    def wrapped(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
+        cfg = cfg or SyncConfig()
+        return run(r.under(cfg), cfg)
+
+    return wrapped
+
+
 def merged(*parts: DataFrame) -> DataFrame:
     """The join of sets of parts: repeated deliveries change nothing."""
     return reduce(DataFrame.unionByName, [p.select(*PART) for p in parts]).dropDuplicates(["sid", "h"])
@@ -62,11 +81,11 @@ def merged(*parts: DataFrame) -> DataFrame:
 
 def without(parts: DataFrame, others: DataFrame) -> DataFrame:
     """The minimal difference of sets of parts: one anti join on digests."""
-    return parts.join(others.select("sid", "h"), ["sid", "h"], "left_anti").select(*PART)
+    return parts.join(others.select("sid", "seg", "h"), ["sid", "seg", "h"], "left_anti").select(*parts.columns)
 
 
 def within(parts: DataFrame, others: DataFrame) -> DataFrame:
-    return parts.join(others.select("sid", "h"), ["sid", "h"], "left_semi").select(*PART)
+    return parts.join(others.select("sid", "seg", "h"), ["sid", "seg", "h"], "left_semi").select(*parts.columns)
 
 
 def sizes(parts: DataFrame, name: str = "n") -> DataFrame:
@@ -107,41 +126,81 @@ def times(counts: DataFrame, column: str, each: int) -> DataFrame:
 
 @dataclass
 class Difference:
-    """rows: sid, seg, d, owner; used: sid, cells."""
+    """rows: sid, seg, d, d2, owner; used: sid, cells; told: sid, n digests that were sent whole for segments whose cells do not decode."""
 
     rows: DataFrame
     used: DataFrame
+    told: DataFrame
+
+    def costs(self, wire: WireModel) -> list[DataFrame]:
+        return [times(self.used, "cells", wire.cell), times(self.told, "n", 2 * wire.digest)]
+
+
+def expected_differences(cells: DataFrame) -> float:
+    """How many digests the cells so far tell of, in the segment that has most: their counts spread as the number of digests mapped to them.
+
+    Cell 0 has the difference of both owners' numbers, which each cell's count follows in the mean.
+    """
+    density = 1 / (1 + F.col("i") / 2)
+    lead = cells.where("i = 0").select(*coded.KEYS, F.col("cnt").alias("lead"))
+    spread = F.pow(F.col("cnt") - F.col("lead") * density, 2) / (density * (1 - density))
+    found = cells.where("i > 0").join(lead, list(coded.KEYS)).groupBy(*coded.KEYS).agg(F.avg(spread).alias("n"), F.max(F.abs("lead")).alias("least"))
+    return found.agg(F.max(F.greatest("n", "least"))).first()[0] or 0.0
 
 
 def reconcile(ours: DataFrame, theirs: DataFrame, cfg: SyncConfig) -> Difference:
-    """The symmetric difference of two digest sets (sid, seg, d) by coded cells; owner a_only is ours.
+    """The symmetric difference of two digest sets (sid, seg, d, d2) by coded cells over d; owner a_only is ours.
 
-    Slices of the stream grow by a factor; cells made before are kept, and segments that are decoded drop out.
-    The driver sees one count per slice.
+    Slices of the stream grow by a factor, or to what the cells so far ask for; cells made before are kept, and segments
+    that are decoded drop out. What is found is then checked by number and by d2: where two parts of equal d hide a difference, or a
+    segment does not decode though it has more cells than both sides have digests, both sides tell each
+    other all digests of that segment. The driver sees a few numbers per slice.
     """
-    low, high, cells, open_, done = 0, cfg.first_cells, None, None, []
+    low, high, cells, open_, done, most, stuck = 0, cfg.first_cells, None, None, [], None, None
+    keys = list(coded.KEYS)
     while True:
         x, y = ours, theirs
         if open_ is not None:
-            x, y = (z.join(open_, list(coded.KEYS), "left_semi") for z in (x, y))
-            cells = cells.join(open_, list(coded.KEYS), "left_semi")
+            x, y = (z.join(open_, keys, "left_semi") for z in (x, y))
+            cells = cells.join(open_, keys, "left_semi")
         new = coded.subtract_cells(coded.coded_cells(x, low, high), coded.coded_cells(y, low, high))
         cells = snapshot(new if cells is None else cells.unionByName(new), "cells")
         peeled = snapshot(coded.peel(cells, high), "peeled")
         done.append(peeled.where("done"))
-        open_ = snapshot(peeled.where("not done").select(*coded.KEYS).distinct(), "open")
+        open_ = snapshot(peeled.where("not done").select(*keys).distinct(), "open")
         if open_.isEmpty():
             break
-        low, high = high, high * cfg.growth
+        if most is None:
+            most = 64 + 4 * (ours.unionByName(theirs).groupBy(*keys).count().agg(F.max("count")).first()[0] or 0)
+        if high > most:
+            stuck = open_
+            break
+        low, high = high, min(max(high * cfg.growth, int(1.6 * expected_differences(cells.join(open_, keys, "left_semi")))), max(2 * most, 2 * high))
     rows = reduce(DataFrame.unionByName, done)
     used = rows.where("d is null").groupBy("sid").agg(F.sum("used").cast("bigint").alias("cells"))
-    return Difference(rows.where("d is not null").select(*coded.KEYS, "d", "owner"), used)
+    if stuck is not None:  # all their cells were sent
+        spent = stuck.groupBy("sid").agg((F.count("*") * high).alias("cells"))
+        used = used.unionByName(spent).groupBy("sid").agg(F.sum("cells").alias("cells"))
+    mine, other = (z.select(*keys, "d", "d2").join(rows.where(F.col("owner") == o).select(*keys, "d"), [*keys, "d"], "left_semi") for z, o in ((ours, "a_only"), (theirs, "b_only")))
+    found = snapshot(mine.withColumn("owner", F.lit("a_only")).unionByName(other.withColumn("owner", F.lit("b_only"))), "difference")
+    sums = lambda z, sign: z.select(*keys, "d2", F.lit(sign).alias("sign"))
+    signed = sums(ours, 1).unionByName(sums(theirs, -1)).unionByName(found.select(*keys, "d2", F.when(F.col("owner") == "a_only", -1).otherwise(1).alias("sign")))
+    wrong = signed.groupBy(*keys).agg(F.bit_xor("d2").alias("x"), F.sum("sign").alias("n")).where("x != 0 or n != 0").select(*keys)
+    if stuck is not None:
+        wrong = wrong.unionByName(stuck).distinct()
+    wrong = snapshot(wrong, "told")
+    if wrong.isEmpty():
+        return Difference(found, used, wrong.groupBy("sid").agg(F.count("*").alias("n")))
+    x, y = (z.select(*keys, "d", "d2").join(wrong, keys, "left_semi").distinct() for z in (ours, theirs))
+    told = x.unionByName(y).groupBy("sid").agg(F.count("*").alias("n"))
+    exact = x.withColumn("owner", F.lit("a_only")).join(y, [*keys, "d", "d2"], "left_anti").unionByName(y.withColumn("owner", F.lit("b_only")).join(x, [*keys, "d", "d2"], "left_anti"))
+    return Difference(snapshot(found.join(wrong, keys, "left_anti").unionByName(exact.select(*found.columns)), "difference"), used, told)
 
 
 def picked(parts: DataFrame, difference: Difference, owner: str) -> DataFrame:
-    """The parts behind recovered digests of one owner; payloads are read only here."""
-    wanted = difference.rows.where(F.col("owner") == owner).select("sid", "seg", "d")
-    return parts.join(wanted, ["sid", "seg", "d"], "left_semi").select(*PART)
+    """The parts behind recovered digests of one owner."""
+    wanted = difference.rows.where(F.col("owner") == owner).select("sid", "seg", "d", "d2")
+    return parts.join(wanted, ["sid", "seg", "d", "d2"], "left_semi").select(*parts.columns)
 
 
 def owned(difference: Difference, owner: str) -> DataFrame:

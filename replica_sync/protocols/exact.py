@@ -6,12 +6,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from replica_sync.functions.digest import hex_number
-from replica_sync.functions.wire import SyncConfig
+from replica_sync.functions.wire import SyncConfig, segments_for
 from replica_sync.operators.buckets import all_bucket_digests, bucket_count, bucket_digests, mismatched
-from replica_sync.protocols.base import Difference, Replicas, SyncResult, Transcript, merged, owned, picked, reconcile, sizes, times, without
+from replica_sync.protocols.base import Difference, Replicas, SyncResult, Transcript, merged, owned, picked, protocol, reconcile, sizes, times, without
+from replica_sync.sources.tables import snapshot
 
 
-def state_driven(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
+@protocol
+def state_driven(r: Replicas, cfg: SyncConfig) -> SyncResult:
     """One side ships its whole state; the other answers with what that lacks."""
     log = Transcript("state_driven", r.sessions)
     log.add("A", "sync", r.a, r.b)
@@ -21,8 +23,8 @@ def state_driven(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
 
 
 def numbered(parts: DataFrame, counts: DataFrame) -> DataFrame:
-    """Parts with their bucket; counts: sid, n_buckets, as the initiator fixed it."""
-    return parts.join(counts, "sid").withColumn("bucket", (F.col("d") % F.col("n_buckets")).cast("bigint")).drop("n_buckets")
+    """Parts with their bucket; counts: sid, n_buckets, as the initiator fixed it: one row a session, of which the driver has a list."""
+    return parts.join(F.broadcast(counts), "sid").withColumn("bucket", (F.col("d") % F.col("n_buckets")).cast("bigint")).drop("n_buckets")
 
 
 def counts_by(parts: DataFrame, sessions: DataFrame) -> DataFrame:
@@ -34,9 +36,9 @@ def in_buckets(bucketed: DataFrame, chosen: DataFrame) -> DataFrame:
     return bucketed.join(chosen.select("sid", "bucket"), ["sid", "bucket"], "left_semi")
 
 
-def bucketed(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
+@protocol
+def bucketed(r: Replicas, cfg: SyncConfig) -> SyncResult:
     """All bucket digests go over; mismatched buckets come back whole, and what they lack returns."""
-    cfg = cfg or SyncConfig()
     counts = counts_by(r.a, r.sessions)
     a, b = numbered(r.a, counts), numbered(r.b, counts)
     bad = mismatched(bucket_digests(a), bucket_digests(b))
@@ -50,15 +52,15 @@ def bucketed(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
 
 
 def digests_of(parts: DataFrame) -> DataFrame:
-    return parts.select("sid", "seg", "d")
+    return parts.select("sid", "seg", "d", "d2")
 
 
-def rateless(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
+@protocol
+def rateless(r: Replicas, cfg: SyncConfig) -> SyncResult:
     """A streams cells over its digests until B decodes; B sends its parts and asks for the others by digest."""
-    cfg = cfg or SyncConfig()
     found = reconcile(digests_of(r.b), digests_of(r.a), cfg)  # decoded at B: a_only of the decoder is B's
     log = Transcript("rateless", r.sessions)
-    log.add("A", "cells", metadata=[times(found.used, "cells", cfg.wire.cell)])
+    log.add("A", "cells", metadata=found.costs(cfg.wire))
     ours = picked(r.b, found, "a_only")
     log.add("B", "end_of_stream", ours, r.a, [times(owned(found, "b_only"), "n", cfg.wire.digest)])
     asked = picked(r.a, found, "b_only")
@@ -67,27 +69,27 @@ def rateless(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
     return SyncResult("rateless", merged(r.a, ours), merged(r.b, asked), log.table(), found.rows.withColumn("owner", owner))
 
 
-def bucket_reconciled(mine: DataFrame, theirs: DataFrame, counts: DataFrame, segments: int, cfg: SyncConfig) -> tuple[DataFrame, Difference]:
+def bucket_reconciled(mine: DataFrame, theirs: DataFrame, counts: DataFrame, cfg: SyncConfig) -> tuple[DataFrame, Difference]:
     """Mismatched buckets found by coded cells over the digests of all buckets, decoded at the first side."""
+    segments = cfg.segments or segments_for(counts.agg(F.max("n_buckets")).first()[0] or 1)
 
     def coded_digests(bucketed_parts: DataFrame) -> DataFrame:
         every = all_bucket_digests(bucket_digests(bucketed_parts), counts)
-        return every.select("sid", (F.col("bucket") % segments).cast("int").alias("seg"), hex_number(F.col("digest"), 1, 15).alias("d"), "bucket")
+        return every.select("sid", (F.col("bucket") % segments).cast("int").alias("seg"), hex_number(F.col("digest"), 1, 15).alias("d"), hex_number(F.col("digest"), 17, 15).alias("d2"), "bucket")
 
-    own = coded_digests(mine)
-    found = reconcile(own.select("sid", "seg", "d"), coded_digests(theirs).select("sid", "seg", "d"), cfg)
-    bad = own.join(found.rows.where("owner = 'a_only'").select("sid", "seg", "d"), ["sid", "seg", "d"], "left_semi").select("sid", "bucket")
-    return bad, found
+    own = snapshot(coded_digests(mine), "bucket-digests")
+    found = reconcile(digests_of(own), digests_of(coded_digests(theirs)), cfg)
+    return picked(own, found, "a_only").select("sid", "bucket"), found
 
 
-def bucketed_rateless(r: Replicas, cfg: SyncConfig | None = None) -> SyncResult:
+@protocol
+def bucketed_rateless(r: Replicas, cfg: SyncConfig) -> SyncResult:
     """As bucketed, but the digests of buckets are reconciled by coded cells: two differences per bad bucket."""
-    cfg = cfg or SyncConfig()
     counts = counts_by(r.a, r.sessions)
     a, b = numbered(r.a, counts), numbered(r.b, counts)
-    bad, found = bucket_reconciled(b, a, counts, cfg.segments, cfg)
+    bad, found = bucket_reconciled(b, a, counts, cfg)
     log = Transcript("bucketed_rateless", r.sessions)
-    log.add("A", "cells", metadata=[times(found.used, "cells", cfg.wire.cell)])
+    log.add("A", "cells", metadata=found.costs(cfg.wire))
     whole = in_buckets(b, bad)
     log.add("B", "buckets", whole, r.a, [times(sizes(bad), "n", cfg.wire.bucket_index)])
     rest = without(in_buckets(a, bad), whole)

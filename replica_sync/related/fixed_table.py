@@ -86,8 +86,10 @@ def with_restarts(ours: DataFrame, theirs: DataFrame, first: int, growth: float
         peeled = snapshot(fixed_table_attempt(ours, theirs, size, k), "fixed-table")
         sent += max(1, size // k) * k
         if peeled.where("not done").isEmpty():
-            rows = peeled.where("d is not null").select("sid", "seg", "d", "owner")
-            return Difference(rows, peeled.where("d is null").groupBy("sid").agg(F.sum("used").cast("bigint").alias("cells"))), sent, attempt
+            both = ours.unionByName(theirs).distinct()
+            rows = peeled.where("d is not null").select("sid", "seg", "d", "owner").join(both, ["sid", "seg", "d"])
+            used = peeled.where("d is null").groupBy("sid").agg(F.sum("used").cast("bigint").alias("cells"))
+            return Difference(rows, used, used.limit(0).select("sid", F.col("cells").alias("n"))), sent, attempt
         size = int(size * growth)
     raise RuntimeError(f"a table of {size} cells still does not decode")
 

@@ -54,25 +54,24 @@ def sides(pair: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def jaccard(a: DataFrame, b: DataFrame, key: str = "h") -> DataFrame:
-    """One row: shared, either, similarity. One exchange."""
+    """One row: shared, either, similarity (1 for two empty sides). One exchange."""
     both = a.select(key, F.lit(1).alias("x")).unionAll(b.select(key, F.lit(2).alias("x"))).groupBy(key).agg(F.bit_or("x").alias("x"))
-    return both.agg(F.count_if(F.col("x") == 3).alias("shared"), F.count("*").alias("either")).withColumn("similarity", F.col("shared") / F.col("either"))
+    return both.agg(F.count_if(F.col("x") == 3).alias("shared"), F.count("*").alias("either")).withColumn("similarity", F.coalesce(F.try_divide("shared", "either"), F.lit(1.0)))
 
 
 def uniform_strings(items: DataFrame, lo: int, hi: int) -> DataFrame:
-    """payload: distinct strings of lengths spread evenly over lo to hi, headed by a row id (payloads must be distinct)."""
-    spread = f"substr(concat(h, sha2(cast(payload as binary), 256), sha2(cast(concat(payload, '+') as binary), 256)), 1, cast({lo} + d % ({hi} - {lo} + 1) as int))"
+    """payload: strings of lengths spread evenly over lo to hi, headed by the item's digest; distinct from a least length of 32 on."""
+    more = ", ".join(f"sha2(cast(concat(payload, '{'+' * k}') as binary), 256)" for k in range(max(2, -(-(hi - 32) // 64))))
+    spread = f"substr(concat(h, {more}), 1, cast({lo} + d % ({hi} - {lo} + 1) as int))"
     return with_digest(items.select("payload")).select(F.expr(spread).alias("payload"))
 
 
 def natural_events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two replicas that saw the events before one day and from an earlier day on."""
+    """Two replicas that saw the events before one day and from an earlier day on. One scan."""
     ts = F.col("ts").cast("timestamp_ntz")
-    rows = tables.read(spark, sf_dir, "events").select("event_id", (ts < F.expr("timestamp_ntz'2024-01-21 00:00:00'")).alias("in_a"), (ts >= F.expr("timestamp_ntz'2024-01-11 00:00:00'")).alias("in_b"))
-    items = tables.load_items(spark, sf_dir, "events")
-    side = F.when(F.col("in_a") & F.col("in_b"), "both").when(F.col("in_a"), "a").when(F.col("in_b"), "b")
-    joined = items.join(rows.withColumn("part_key", F.col("event_id").cast("string")), "part_key").withColumn("side", side).where("side is not null")
-    return with_digest(joined.select("payload", "nbytes", "side"))
+    in_a, in_b = ts < F.expr("timestamp_ntz'2024-01-21 00:00:00'"), ts >= F.expr("timestamp_ntz'2024-01-11 00:00:00'")
+    side = F.when(in_a & in_b, "both").when(in_a, "a").when(in_b, "b")
+    return with_digest(tables.load_items(spark, sf_dir, "events", side=side).where("side is not null").select("payload", "nbytes", "side"))
 
 
 def natural_documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -48,11 +48,11 @@ def _piece_sql(spec: str) -> str:
     return {"c": f"cast(cast(round({name}*100) as bigint) as varchar)", "d": f"strftime({name}, '%Y-%m-%d')", "u": f"cast(epoch_us({name}) as varchar)"}.get(kind, f"cast({name} as varchar)")
 
 
-def load_items(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    """part_key, payload, nbytes: one canonical string per row. Narrow; only the named columns are read."""
+def load_items(spark: SparkSession, sf_dir: str, table: str, **more: Column) -> DataFrame:
+    """part_key, payload, nbytes, and more columns if named: one canonical string per row. Narrow; only the named columns are read."""
     key, pieces = ITEMS[table]
     payload = F.concat_ws("|", *map(_piece, pieces.split()))
-    return read(spark, sf_dir, table).select(F.col(key).cast("string").alias("part_key"), payload.alias("payload")).withColumn("nbytes", F.octet_length("payload"))
+    return read(spark, sf_dir, table).select(F.col(key).cast("string").alias("part_key"), payload.alias("payload"), *[c.alias(n) for n, c in more.items()]).withColumn("nbytes", F.octet_length("payload"))
 
 
 def items_sql(table: str) -> str:
@@ -72,14 +72,16 @@ def parts_of(spark: SparkSession, sf_dir: str, table: str, segments: int = 1) ->
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
-    """A new folder below spark.checkpoint.dir; a temporary one only where that setting is missing."""
+    """A new folder below spark.checkpoint.dir, or the context's checkpoint folder; a temporary one only in local mode, where all share one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         kept = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = kept.get() if kept.isDefined() else None
-    if not base:
+    if not base and spark.sparkContext.master.startswith("local["):
         base = "file://" + tempfile.mkdtemp(prefix="replica_sync_")
         spark.sparkContext.setCheckpointDir(base)
+    if not base:
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 

@@ -72,10 +72,10 @@ def anti_entropy(stream: DataFrame, peer: DataFrame, protocol: str = "filter_rat
     cfg = cfg or SyncConfig()
     spark = stream.sparkSession
     base = shared_folder(spark, "anti-entropy")
-    state = {"a": None, "b": snapshot(with_digest(peer, segments=cfg.segments), path=f"{base}/b")}
+    state = {"a": None, "b": snapshot(with_digest(peer, segments=cfg.segments or 1), path=f"{base}/b")}
 
     def sync(batch: DataFrame, number: int) -> None:
-        arrived = with_digest(batch.select("payload", "nbytes"), segments=cfg.segments)
+        arrived = with_digest(batch.select("payload", "nbytes"), segments=cfg.segments or 1)
         own = arrived if state["a"] is None else state["a"].unionByName(arrived)
         own = snapshot(own.dropDuplicates(["h"]), path=f"{base}/a-{number}")
         result = PROTOCOLS[protocol](Replicas.single(own, state["b"], cfg), cfg)

@@ -135,3 +135,59 @@ def test_message_directory_replays(spark):
 def test_flagship(spark, sf):
     row = engine.flagship(spark, sf).first()
     assert row["apart"] == 0 and row["redundant_bytes"] == 0 and abs(row["similarity"] - 0.75) < 0.01
+
+
+def forged(spark, rows):
+    """Parts of given payload, d and d2: (payload, d, d2)."""
+    return spark.createDataFrame([(p, len(p), F_H.format(d, e), d, e) for p, d, e in rows], "payload string, nbytes int, h string, d bigint, d2 bigint")
+
+
+F_H = "{:016x}{:016x}"
+
+
+@pytest.mark.parametrize("protocol", ["rateless", "filter_rateless"])
+def test_colliding_digests_converge(spark, protocol):
+    """Equal d on both sides with different d2 (hidden by the cells), and twice on one side (never decodes)."""
+    shared = [(f"s{k}", 1000 + 7919 * k, 5000 + 104729 * k) for k in range(40)]
+    across = forged(spark, [*shared, ("x", 77, 10**12)]), forged(spark, [*shared, ("y", 77, 10**13), ("z", 78, 10**14)])
+    within = forged(spark, [*shared, ("x", 77, 10**12), ("y", 77, 10**13)]), forged(spark, shared)
+    for a, b in (across, within):
+        result = PROTOCOLS[protocol](Replicas.single(a, b), SyncConfig())
+        assert metrics.converged(result).first()["apart"] == 0
+        assert result.state_a.count() == a.unionByName(b).select("h").distinct().count()
+
+
+@pytest.mark.parametrize("filtered, plain", [("filter_rateless", "rateless"), ("filter_bucketed", "bucketed"), ("filter_bucketed_rateless", "bucketed_rateless")])
+def test_no_filter_is_the_plain_protocol(pairs, filtered, plain):
+    r, _ = session(pairs[0.5])
+    bytes_of = lambda p, cfg: metrics.summarise(PROTOCOLS[p](r, cfg).transcript).drop("protocol").collect()
+    assert bytes_of(filtered, SyncConfig(eps=0)) == bytes_of(plain, SyncConfig())
+
+
+def test_settings_of_the_call_hold(pairs):
+    r, _ = session(pairs[0.5], eps=0.01)
+    sent = lambda cfg: PROTOCOLS["filter_rateless"](r, cfg).transcript.where("kind = 'filter'").first()["metadata_bytes"]
+    assert sent(SyncConfig(eps=0.25)) < sent(SyncConfig(eps=0.1)) < sent(SyncConfig()) == sent(SyncConfig(eps=0.01))
+
+
+def test_similarity_of_nothing(spark, pairs):
+    none = replicas.sides(pairs[0.5].limit(0))
+    assert replicas.jaccard(*none).first()["similarity"] == 1.0
+
+
+def test_no_cartesian_product(spark, pairs):
+    """Not even with broadcasts off."""
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for protocol in EXACT:
+            result = PROTOCOLS[protocol](*session(pairs[0.5]))
+            for df in (result.transcript, result.state_a, result.state_b):
+                assert "CartesianProduct" not in df._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_long_uniform_strings(spark, sf):
+    rows = replicas.uniform_strings(tables.load_items(spark, sf, "supplier"), 300, 400).select(F.length("payload").alias("n")).collect()
+    assert all(300 <= r["n"] <= 400 for r in rows) and max(r["n"] for r in rows) > 330
