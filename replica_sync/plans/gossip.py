@@ -15,7 +15,7 @@ from replica_sync.sources.tables import snapshot
 
 
 def partners(names: list[str], how: str, round_: int, similarity: dict[tuple[str, str], float] | None = None, seed: int = 7, topology: dict[str, list[str]] | None = None) -> list[tuple[str, str]]:
-    """Disjoint pairs of one round: at random, along a ring, along given edges, or the least similar first."""
+    """Disjoint pairs of one round: at random, along a ring, along given edges in random order, or the least similar first."""
     if how == "ring":
         turned = names[round_ % 2 :] + names[: round_ % 2]
         return list(zip(turned[::2], turned[1::2]))
@@ -25,7 +25,7 @@ def partners(names: list[str], how: str, round_: int, similarity: dict[tuple[str
         return list(zip(free[::2], free[1::2]))
     if how == "topology":
         edges = [(a, b) for a in names for b in (topology or {}).get(a, [])]
-        edges = edges[round_ % max(1, len(edges)) :] + edges[: round_ % max(1, len(edges))]
+        random.Random(seed * 1000 + round_).shuffle(edges)
     elif how == "similarity":
         edges = sorted((similarity or {}), key=lambda p: (similarity or {})[p])
     else:

@@ -5,7 +5,6 @@ Every query drains its source with the availableNow trigger into a table of the
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -32,20 +31,29 @@ def query(sql: str | None):
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream until its input is used up; the result as a table in memory."""
-    name = f"drained_{uuid.uuid4().hex}"
-    running = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", shared_folder(stream.sparkSession, "stream")).trigger(availableNow=True).start()
+    """Runs a stream until its input is used up; the result as a table of the shared folder, the last one in complete mode."""
+    spark, base = stream.sparkSession, shared_folder(stream.sparkSession, "stream")
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True)
+    path, last = f"{base}/rows", []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{number}")
+        last[:] = [f"{path}/{number}"]
+
+    running = writer.format("parquet").option("path", path).start() if mode == "append" else writer.foreachBatch(keep).start()
     running.awaitTermination()
-    return stream.sparkSession.table(name)
+    if mode != "append" and not last:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(path if mode == "append" else last[0])
 
 
-def files_of(df: DataFrame, order: str, files: int, again: int = 0) -> str:
-    """A folder with df as several files in order, the first ones perhaps once more at the end: replayed input."""
+def files_of(df: DataFrame, order: str, files: int, again: int = 0, latest: bool = False) -> str:
+    """A folder with df as several files in order, the first (or latest) rows perhaps once more at the end: replayed input."""
     path = shared_folder(df.sparkSession, "event-files")
     ranges = df.repartitionByRange(files, order).sortWithinPartitions(order)
     ranges.write.parquet(f"{path}/a")
     if again:
-        df.orderBy(order).limit(again).coalesce(1).write.parquet(f"{path}/b")
+        df.orderBy(F.desc(order) if latest else order).limit(again).coalesce(1).write.parquet(f"{path}/b")
     return path
 
 
@@ -53,10 +61,10 @@ def stream_of(spark: SparkSession, path: str, schema) -> DataFrame:
     return spark.readStream.schema(schema).option("recursiveFileLookup", "true").option("maxFilesPerTrigger", 1).parquet(path)
 
 
-def replayed(spark: SparkSession, sf: str) -> DataFrame:
+def replayed(spark: SparkSession, sf: str, latest: bool = False) -> DataFrame:
     """Events as a stream of six files, some events twice."""
     e = read(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    return stream_of(spark, files_of(e, "ts", 6, 100), e.schema)
+    return stream_of(spark, files_of(e, "ts", 6, 100, latest), e.schema)
 
 
 def stream_state(stream: DataFrame, lattice: KeyedLattice) -> DataFrame:
@@ -64,28 +72,44 @@ def stream_state(stream: DataFrame, lattice: KeyedLattice) -> DataFrame:
     return lattice.compose(stream)
 
 
-def anti_entropy(stream: DataFrame, peer: DataFrame, protocol: str = "filter_rateless", cfg: SyncConfig | None = None) -> tuple[DataFrame, DataFrame]:
+def kept_numbers(spark: SparkSession, folder: str) -> list[int]:
+    """Numbers of the tables that were written whole below a folder."""
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{folder}/*/_SUCCESS")
+    found = hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).globStatus(hadoop) or []
+    return sorted(int(f.getPath().getParent().getName()) for f in found)
+
+
+def anti_entropy(stream: DataFrame, peer: DataFrame, protocol: str = "filter_rateless", cfg: SyncConfig | None = None, base: str | None = None) -> tuple[DataFrame, DataFrame]:
     """Parts (payload, nbytes) arrive in batches at A; after each batch A and B synchronise.
 
-    Returns B's final state and the transcripts of all batches. Batches may repeat: joins are idempotent.
+    Returns B's final state and the transcripts of all batches. base: the folder of states, log and checkpoint; a run over the
+    folder of an earlier one goes on where that ended, and a batch that broke off starts again from the states of the one
+    before. Batches may repeat: joins are idempotent.
     """
     cfg = cfg or SyncConfig()
     spark = stream.sparkSession
-    base = shared_folder(spark, "anti-entropy")
-    state = {"a": None, "b": snapshot(with_digest(peer, segments=cfg.segments or 1), path=f"{base}/b")}
+    base = base or shared_folder(spark, "anti-entropy")
+    if not kept_numbers(spark, f"{base}/b"):
+        parts = with_digest(peer, segments=cfg.segments or 1)
+        snapshot(parts.limit(0), path=f"{base}/a/0")
+        snapshot(parts, path=f"{base}/b/0")
+
+    def state(side: str, number: int) -> DataFrame:
+        return spark.read.parquet(f"{base}/{side}/{max(n for n in kept_numbers(spark, f'{base}/{side}') if n <= number)}")
 
     def sync(batch: DataFrame, number: int) -> None:
         arrived = with_digest(batch.select("payload", "nbytes"), segments=cfg.segments or 1)
-        own = arrived if state["a"] is None else state["a"].unionByName(arrived)
-        own = snapshot(own.dropDuplicates(["h"]), path=f"{base}/a-{number}")
-        result = PROTOCOLS[protocol](Replicas.single(own, state["b"], cfg), cfg)
+        before = state("a", number)
+        own = snapshot(before.unionByName(arrived.select(*before.columns)).dropDuplicates(["h"]), path=f"{base}/arrived/{number}")
+        result = PROTOCOLS[protocol](Replicas.single(own, state("b", number), cfg), cfg)
         result.transcript.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{base}/log/batch={number}")
-        state["a"] = snapshot(result.state_a.drop("sid"), path=f"{base}/both-a-{number}")
-        state["b"] = snapshot(result.state_b.drop("sid"), path=f"{base}/both-b-{number}")
+        for side, new in (("a", result.state_a), ("b", result.state_b)):
+            snapshot(new.select(*before.columns), path=f"{base}/{side}/{number + 1}")
 
     running = stream.writeStream.foreachBatch(sync).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start()
     running.awaitTermination()
-    return state["b"], spark.read.parquet(f"{base}/log")
+    numbers = kept_numbers(spark, f"{base}/b")
+    return spark.read.parquet(f"{base}/b/{numbers[-1]}"), spark.read.parquet(f"{base}/log")
 
 
 def decode_stream(cells: DataFrame) -> DataFrame:
@@ -178,8 +202,8 @@ def st_session(spark, sf):
 
 @query("select event_id from events")
 def st_dedup(spark, sf):
-    """Replayed events pass once."""
-    return drained(replayed(spark, sf).withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+    """Events that are sent again within a week pass once; ids older than that leave the state."""
+    return drained(replayed(spark, sf, latest=True).withWatermark("ts", "7 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
 
 
 @query("select event_type, count(*) as n from events group by 1")
@@ -227,7 +251,7 @@ def st_decode(spark, sf):
 def st_anti_entropy(spark, sf):
     """Events arriving in files at one replica, synchronised after every batch with one that had the even ones."""
     items = load_items(spark, sf, "events")
-    dated = items.join(read(spark, sf, "events").select(F.col("event_id").cast("string").alias("part_key"), F.col("ts").cast("timestamp").alias("ts")), "part_key")
+    dated = load_items(spark, sf, "events", ts=F.col("ts").cast("timestamp"))
     path = files_of(dated.select("payload", "nbytes", "ts"), "ts", 3)
     stream = stream_of(spark, path, dated.select("payload", "nbytes", "ts").schema)
     final, _ = anti_entropy(stream, items.where(F.col("part_key").cast("bigint") % 2 == 0).select("payload", "nbytes"))
