@@ -364,7 +364,7 @@ def op_udtf(spark, sf):
     """Cell indices as a table function in SQL, below 64."""
     catalog.register(spark)
     parts_of(spark, sf, "supplier").createOrReplaceTempView("supplier_parts")
-    return spark.sql("select p.d, c.i from supplier_parts p, lateral coded_cells(p.d, p.d2, 0, 64) c")
+    return spark.sql("select p.d, c.i from supplier_parts p, lateral coded_cells(p.d, 0, 64) c")
 
 
 @query(f"select h, (d & 1073741823) % 97 * 31 + d2 % 89 as mixed from ({digests_sql(items_sql('supplier'))})")

@@ -50,8 +50,9 @@ def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
 def files_of(df: DataFrame, order: str, files: int, again: int = 0, latest: bool = False) -> str:
     """A folder with df as several files in order, the first (or latest) rows perhaps once more at the end: replayed input."""
     path = shared_folder(df.sparkSession, "event-files")
-    ranges = df.repartitionByRange(files, order).sortWithinPartitions(order)
-    ranges.write.parquet(f"{path}/a")
+    pieces = snapshot(df.repartitionByRange(files, order).withColumn("piece", F.spark_partition_id()), "pieces")
+    for k in range(files):  # one after the other: a stream reads files by age
+        pieces.where(F.col("piece") == k).drop("piece").coalesce(1).sortWithinPartitions(order).write.parquet(f"{path}/a/{k}")
     if again:
         df.orderBy(F.desc(order) if latest else order).limit(again).coalesce(1).write.parquet(f"{path}/b")
     return path
