@@ -575,6 +575,53 @@ add("w7_redundancy_peak", lambda spark, sf: redundancy_peak(workloads.redundancy
 add("w12_document_sizes", lambda spark, sf: workloads.sweep(tables.parts_of(spark, sf, "documents"), ["state_driven", "rateless", "filter_rateless"], [0.0, 0.5, 1.0], [0.01]))
 
 
+SWEPT = ["s", "protocol", "eps", "load_factor", "required_bytes", "redundant_bytes"]
+
+
+def told_bytes(metrics: DataFrame, *plain: str) -> DataFrame:
+    """The columns of a sweep that SQL gives too: the length of a stream of cells takes a decoder, so their metadata stay out."""
+    return metrics.select(*SWEPT, F.when(F.col("protocol").isin(*plain), F.col("metadata_bytes")).alias("metadata_bytes"))
+
+
+def told_sql(s: float, protocol: str, eps: float | None, load: float | None, redundant: str = "0", metadata: str = "null") -> str:
+    number = lambda x: "null::double" if x is None else f"{x}::double"
+    need = "(select coalesce(sum(nbytes), 0)::bigint from p where side <> 'both')"
+    return f"select {s}::double as s, '{protocol}' as protocol, {number(eps)} as eps, {number(load)} as load_factor, {need} as required_bytes, ({redundant})::bigint as redundant_bytes, ({metadata})::bigint as metadata_bytes"
+
+
+def again(sent: str, has: str) -> str:
+    return f"(select coalesce(sum(nbytes), 0) from {sent} where h in (select h from {has}))"
+
+
+def plain_sweep_sql(similarities: list[float], loads: list[float]) -> str:
+    rows = []
+    for s in similarities:
+        rows += [f"{plain_buckets(1.0, s)} {told_sql(s, 'state_driven', None, None, again('a', 'b'), '0')} union all {told_sql(s, 'rateless', None, None)}"]
+        for f in loads:
+            cost = f"(select n * {WIRE.digest} from nb) + (select count(*) * {WIRE.bucket_index} from bad)"
+            rows.append(f"{plain_buckets(f, s)} {told_sql(s, 'bucketed', None, f, again('whole_b', 'a'), cost)} union all {told_sql(s, 'bucketed_rateless', None, f, again('whole_b', 'a'))}")
+    return " union all ".join(f"select * from ({row})" for row in rows)
+
+
+def filtered_sweep_sql(similarities: list[float], shares: list[float], loads: list[float]) -> str:
+    rows = []
+    for s in similarities:
+        for e in shares:
+            filters = f"{BYTES_A} + {BYTES_B}"
+            rows.append(f"{split_ctes(s=s, eps=e)} {told_sql(s, 'filter_rateless', e, None)}")
+            for f in loads:
+                ctes = f"{split_ctes(s=s, eps=e)}, {bucket_ctes('com_a', 'com_b', 'com_b', f)}"
+                cost = f"{filters} + (select n * {WIRE.digest} from nb) + (select count(*) * {WIRE.bucket_index} from bad)"
+                twice = again("whole_a", "b")
+                rows.append(f"{ctes} {told_sql(s, 'filter_bucketed', e, f, twice, cost)} union all {told_sql(s, 'filter_bucketed_rateless', e, f, twice)}")
+    return " union all ".join(f"select * from ({row})" for row in rows)
+
+
+SOME, SHARES, LOADS = [0.0, 0.45, 0.75, 0.93, 1.0], [0.01, 0.25], [0.2, 1.0, 5.0]
+add("w1_bytes", lambda spark, sf: told_bytes(workloads.without_filters(events_parts(spark, sf)), "state_driven", "bucketed"), plain_sweep_sql(workloads.SIMILARITIES, LOADS))
+add("w2_bytes", lambda spark, sf: told_bytes(workloads.with_filters(events_parts(spark, sf), similarities=SOME, eps=SHARES, load_factors=[0.2, 5.0]), "filter_bucketed"), filtered_sweep_sql(SOME, SHARES, [0.2, 5.0]))
+
+
 @query("w13_natural_events", f"select (select count(*) from ({NATURAL_A} except {NATURAL_B})) + (select count(*) from ({NATURAL_B} except {NATURAL_A})) as n_items, (select sum(octet_length(encode(payload))) from (({NATURAL_A} except {NATURAL_B}) union all ({NATURAL_B} except {NATURAL_A})))::bigint as payload_bytes")
 def w13_natural_events(spark, sf):
     r = Replicas.single(*replicas.sides(snapshot(replicas.natural_events(spark, sf), "pair")))

@@ -10,7 +10,7 @@ from replica_sync.plans import catalogue
 QUERIES, ORACLES = catalogue.queries(), catalogue.oracle_sql()
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Sweeps and repeated ways of choosing partners: run by hand and by the driver, smaller cases are in other tests.
-SLOW = {"gossip_random", "gossip_similarity", "gossip_topology", "w1_no_filter", "w2_filter", "w3_high_similarity", "w4_best_four", "w5_filter_ablation", "w6_bucket_ablation", "w7_redundancy_peak", "w12_document_sizes"}
+SLOW = {"gossip_random", "gossip_similarity", "gossip_topology", "gossip_ring", "w1_no_filter", "w2_filter", "w2_bytes", "w3_high_similarity", "w4_best_four", "w5_filter_ablation", "w6_bucket_ablation", "w7_redundancy_peak", "w12_document_sizes"}
 
 
 @pytest.fixture(scope="module")
