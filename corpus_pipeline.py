@@ -16,7 +16,7 @@ WIDTH, PERCENT = 5, 80
 
 
 def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier rejects go."""
+    """Documents that the quality classifier rejects go; null and empty texts have the score of nothing, repeated rows stay or go together."""
     return quality_nb.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
@@ -27,17 +27,17 @@ def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Secrets in the texts are replaced."""
+    """Secrets in the texts are replaced; null and empty texts and repeated rows stay as they are."""
     return secret_scan.redact_secrets(docs)
 
 
 def mixed_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix of their sources takes them."""
+    """Documents as often as the mix of their sources takes them; rows without words are not taken, a null source is one of its own."""
     return mixing.repeated_rows(docs)
 
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token counts and digests of the ids of every document."""
+    """Token counts and digests of the ids of every document, one row for each row; a null text counts as empty."""
     return bpe.encode_texts(docs)
 
 
