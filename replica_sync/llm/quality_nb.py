@@ -35,9 +35,9 @@ def features(texts: list[bytes], bits: int = BITS) -> tuple[np.ndarray, np.ndarr
         pairs = (w.hash[:-1] * np.uint64(0x9FB21C651E98DF25) + w.hash[1:])[same]
         found += [coded(salt, w.doc, w.hash), coded(salt + 1, w.doc[1:][same], pairs)]
     same = np.concatenate([(words.hash[1:] == words.hash[:-1]) & (words.doc[1:] == words.doc[:-1]), [False]])
-    run = np.cumsum(same)
+    run = np.concatenate([[0], np.cumsum(same)])
     for k, more in enumerate((2, 4, 8)):  # a word said 3, 5 or 9 times on end
-        start = np.flatnonzero(run[more:] - run[:-more] == more) + 1 if len(run) > more else np.zeros(0, dtype=np.int64)
+        start = np.flatnonzero(run[more:] - run[:-more] == more)
         found.append(coded(31 + k, words.doc[start], np.zeros(len(start), dtype=np.uint64)))
     every = np.unique(np.concatenate(found))
     return (every >> np.uint64(bits)).astype(np.int64), (every & np.uint64((1 << bits) - 1)).astype(np.int64)

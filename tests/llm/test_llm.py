@@ -457,7 +457,6 @@ def test_token_files(docs, texts):
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    library.encode_special_tokens = True
     rows = sorted(token_files.token_files_round_trip(docs, length=64, rows=4).collect(), key=lambda r: r["doc_id"])
     start = 0
     for r in rows:
