@@ -93,8 +93,14 @@ def unpacked(data: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 def counted(keys: np.ndarray, weight: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted distinct keys, the sum of weights of each, and each entry's place among them."""
-    found, place = np.unique(keys, return_inverse=True)
-    return found, np.bincount(place, weight, minlength=len(found)).astype(np.int64), place.astype(np.int32)
+    order = np.argsort(keys)
+    found = keys[order]
+    first = np.ones(len(found), dtype=bool)
+    first[1:] = found[1:] != found[:-1]
+    found, place = found[first], np.empty(len(keys), dtype=np.int32)
+    place[order] = np.cumsum(first, dtype=np.int32) - np.int32(1)
+    del order, first
+    return found, np.bincount(place, weight, minlength=len(found)).astype(np.int64), place
 
 
 def cuts_of(keys: np.ndarray, parts: int, bits: int = 64) -> np.ndarray:

@@ -15,6 +15,7 @@ Each block of rows (a pack) builds the part of the automaton that its texts can
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,6 +33,8 @@ ORDER = 3
 LADDER = (4.0, 16.0, 64.0, 256.0)
 #: Tokens that a lane of the traversal reads.
 LANE = 64
+#: Nodes or tokens that are weighed at once.
+PIECE = 1 << 16
 BEGIN, END = np.uint64(0x5BD1E9955BD1E995), np.uint64(0x27D4EB2F165667C5)
 
 
@@ -90,7 +93,7 @@ class BackoffAutomaton:
         n, words = len(seq.tokens), len(word_count)
         self.order = len(seq.grams) + 1
         self.base = total + 0.1 * (kinds + 1)
-        self.count = np.concatenate([[0], word_count, gram_count])
+        self.count = np.concatenate([[0.0], word_count, gram_count])  # exact below 2**53
         self.node = np.zeros((self.order + 1, n), dtype=np.int32)
         self.node[1, seq.real] = 1 + word_place
         self.node[1, seq.start] = 1 + words + gram_place[: len(seq.start)]
@@ -110,19 +113,20 @@ class BackoffAutomaton:
         """
         weight = (self.count + 0.1) / self.base
         arc, fail = np.log10(weight), np.zeros(len(self.count))
-        level = [np.flatnonzero(self.level == m) for m in range(self.order + 1)]
-        drawn = [(own, self.count[own].astype(float), self.count[self.context[own]].astype(float), self.suffix[own]) for own in level]
+        level = [np.flatnonzero(self.level == m).astype(np.int32) for m in range(self.order + 1)]
+        # in pieces, so that what is worked out on the way is never as long as a level
+        drawn = [[(x, self.count[x], self.count[self.context[x]], self.suffix[x]) for at in range(0, len(own), PIECE) for x in [own[at : at + PIECE]]] for own in level]
 
         def settle(m: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
             if m > self.order:
                 yield arc, fail
                 return
-            own, count, seen, suffix = drawn[m]
-            shorter = weight[suffix]
             for k in ladders[m - 2]:  # a context that was never seen leaves all to the shorter one
-                weight[own] = (count + k * shorter) / (seen + k)
-                arc[own] = np.log10(weight[own])
-                fail[level[m - 1]] = np.log10(k / (drawn[m - 1][1] + k))
+                for own, count, seen, suffix in drawn[m]:
+                    share = (count + k * weight[suffix]) / (seen + k)
+                    weight[own], arc[own] = share, np.log10(share)
+                for own, count, _, _ in drawn[m - 1]:
+                    fail[own] = np.log10(k / (count + k))
                 yield from settle(m + 1)
 
         return settle(2)
@@ -167,20 +171,23 @@ class BackoffAutomaton:
 
     def left_out(self, tokens: np.ndarray, *ladders: tuple[float, ...]) -> list[float]:
         """log10 probability of training tokens, each with its own occurrence taken out of the counts, under all settings."""
-        drawn = []
-        for m in range(1, self.order + 1):
-            own = self.node[m, tokens]
-            drawn.append((np.maximum(self.count[own] - 1.0, 0), np.where(own > 0, np.maximum(self.count[self.context[own]] - 1.0, 0), 0)))
+        sums = np.zeros(math.prod(len(x) for x in ladders))
 
-        def settle(m: int, shorter: np.ndarray) -> Iterator[float]:
+        def settle(m: int, drawn: list[tuple[np.ndarray, np.ndarray]], shorter: np.ndarray) -> Iterator[float]:
             if m > self.order:
                 yield float(np.log10(shorter).sum())
                 return
             count, seen = drawn[m - 1]
             for k in ladders[m - 2]:
-                yield from settle(m + 1, (count + k * shorter) / (seen + k))
+                yield from settle(m + 1, drawn, (count + k * shorter) / (seen + k))
 
-        return list(settle(2, (drawn[0][0] + 0.1) / (self.base - 1)))
+        for at in range(0, len(tokens), PIECE):
+            drawn = []
+            for m in range(1, self.order + 1):
+                own = self.node[m, tokens[at : at + PIECE]]
+                drawn.append((np.maximum(self.count[own] - 1, 0), np.where(own > 0, np.maximum(self.count[self.context[own]] - 1, 0), 0)))
+            sums += list(settle(2, drawn, (drawn[0][0] + 0.1) / (self.base - 1)))
+        return sums.tolist()
 
 
 def packed_rows(rows: DataFrame, each: int = 2 * BLOCK_BYTES) -> DataFrame:
@@ -291,21 +298,22 @@ def score_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tra
         del words, grams, told
         seq.grams.clear()
         taken, failed = automaton.traverse(seq)
+        left_out = automaton.left_out(np.flatnonzero(seq.real & mask[seq.doc]), *ladders)
         m = batch.num_rows
         add = lambda x: np.bincount(doc, x, minlength=m)
         doc, taken, failed = seq.doc[seq.real], taken[seq.real], [x[seq.real] for x in failed]
         fell = [(at, x[at]) for x in failed for at in [np.flatnonzero(x)]]
+        del seq, failed, automaton.node  # the arcs' weights need the nodes alone
         scores = np.zeros((m, settings))
         for j, (arc, fail) in enumerate(automaton.arcs(*ladders)):
             weights = arc[taken]
             for at, x in fell:
                 weights[at] += fail[x]
             scores[:, j] = add(weights)
-        left_out = automaton.left_out(np.flatnonzero(seq.real & mask[seq.doc]), *ladders)
         base = add(np.log10((known + 0.1) / automaton.base))
         once = [left_out if i == 0 else None for i in range(m)]
         out = pa.table([batch.column(0), pa.array(~mask), *(pa.array(x.astype(np.int64)) for x in (add(None), add(known > 0))), pa.array(np.full(m, total, dtype=np.int64)), pa.array(base), pa.array(scores.tolist(), pa.list_(pa.float64())), pa.array(once, pa.list_(pa.float64()))], names=names)
-        del automaton, seq
+        del automaton
         trim()
         return out
 
