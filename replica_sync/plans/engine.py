@@ -12,7 +12,7 @@ from replica_sync.functions.digest import with_digest
 from replica_sync.functions.wire import SyncConfig
 from replica_sync.operators import buckets, coded, lattice, membership
 from replica_sync.plans import costmodel, gossip, workloads
-from replica_sync.plans.metrics import converged, crossover, redundancy_peak, reduction, summarise
+from replica_sync.plans.metrics import converged, crossover, engine_cost, redundancy_peak, reduction, summarise
 from replica_sync.protocols import PROTOCOLS, Replicas, SyncResult
 from replica_sync.protocols.base import reconcile
 from replica_sync.protocols.exact import counts_by, digests_of, numbered
@@ -429,13 +429,14 @@ add("filter_rateless_payload", lambda spark, sf: run(spark, sf, "filter_rateless
 @query("cells_per_difference")
 def cells_per_difference(spark, sf):
     """Cells used for differences of d parts, several sets of each size: one session each."""
-    trials = [(i, d) for i, d in enumerate([1] * 8 + [2] * 8 + [5] * 8 + [10] * 8 + [50] * 4 + [200] * 2 + [400])]
-    table = spark.createDataFrame(trials, "sid bigint, size int")
     parts = snapshot(tables.parts_of(spark, sf, "events").select("h", "d", "d2"), "parts")
+    most = parts.count()
+    trials = [(i, min(d, most)) for i, d in enumerate([1] * 8 + [2] * 8 + [5] * 8 + [10] * 8 + [50] * 4 + [200] * 2 + [400, 1000, 5000])]
+    table = spark.createDataFrame(trials, "sid bigint, size int")
     rank = F.row_number().over(replicas.Window.partitionBy("sid").orderBy(F.md5(F.concat("h", F.col("sid").cast("string")))))
     chosen = parts.crossJoin(F.broadcast(table)).withColumn("r", rank).where("r <= size").select("sid", F.lit(0).alias("seg"), "d", "d2")
     used = reconcile(chosen, chosen.limit(0), SyncConfig()).used
-    return used.join(table, "sid").groupBy("size").agg(F.avg(F.col("cells") / F.col("size")).alias("cells_per_part"), F.count("*").alias("trials"))
+    return used.join(table, "sid").groupBy("size").agg(F.avg(ratio := F.col("cells") / F.col("size")).alias("cells_per_part"), F.percentile(ratio, 0.99).alias("cells_per_part_p99"), F.count("*").alias("trials"))
 
 
 @query("peel_rounds_dataframe", "with p as (" + pair_sql("supplier", 0.75) + ") " + "select h, case side when 'a' then 'a_only' else 'b_only' end as owner from p where side <> 'both'")
@@ -468,8 +469,9 @@ def fixed_table_cells(spark, sf):
     return fixed_table.table_cells(keyed_parts(spark, sf, "orders"), 256).drop("sid", "seg")
 
 
-add("fixed_table_restarts", lambda spark, sf: (lambda r: (lambda found, sent, attempts: found.rows.groupBy("owner").agg(F.count("*").alias("n")).withColumn("attempts", F.lit(attempts)).withColumn("cells_sent", F.lit(sent)))(*fixed_table.with_restarts(digests_of(r.a), digests_of(r.b), 64)))(replicas_of(spark, sf)))
+add("fixed_table_restarts", lambda spark, sf: (lambda r: (lambda found, attempts: found.rows.groupBy("owner").agg(F.count("*").alias("n")).withColumn("attempts", F.lit(attempts)).crossJoin(found.used.agg(F.sum("cells").alias("cells_sent"))))(*fixed_table.with_restarts(digests_of(r.a), digests_of(r.b), 64)))(replicas_of(spark, sf)))
 add("fixed_table_final", lambda spark, sf: fixed_table.fixed_table_reconcile(replicas_of(spark, sf), 256).states().drop("sid"), final_sql())
+add("filter_fixed_table_failures", lambda spark, sf: fixed_table.failure_rate(replicas_of(spark, sf, segments=32), [0.5, 1.0, 2.0, 4.0]))
 add("filter_fixed_table", lambda spark, sf: fixed_table.filter_fixed_table(replicas_of(spark, sf)))
 for _h in ("bottom_k", "theta", "strata"):
     add(f"estimate_{_h}", lambda spark, sf, h=_h: (lambda r: estimators.estimate_difference(r.a, r.b, h))(replicas_of(spark, sf)))
@@ -648,3 +650,15 @@ def flagship(spark: SparkSession, sf: str) -> DataFrame:
 
 
 add("flagship", flagship)
+
+
+@query("engine_costs")
+def engine_costs(spark, sf):
+    """Stages, rows, shuffled and spilled bytes and seconds of four protocols on the same pair."""
+    out = None
+    for protocol in ("state_driven", "bucketed", "rateless", "filter_rateless"):
+        r = replicas_of(spark, sf)
+        cost = engine_cost(spark, lambda: PROTOCOLS[protocol](r).transcript.write.format("noop").mode("overwrite").save())  # noqa: B023
+        row = cost.agg(F.lit(protocol).alias("protocol"), F.count("*").alias("stages"), *[F.sum(c).alias(c) for c in ("rows_read", "shuffle_rows", "shuffle_bytes", "spilled_bytes", "task_seconds")], F.max("wall_seconds").alias("wall_seconds"))
+        out = row if out is None else out.unionByName(row)
+    return out

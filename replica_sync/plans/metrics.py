@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import time
+import uuid
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from replica_sync.protocols.base import Replicas, SyncResult, sizes, without
@@ -48,3 +52,34 @@ def crossover(metrics: DataFrame, first: str, second: str) -> DataFrame:
     wide = metrics.where(F.col("protocol").isin(first, second)).groupBy("s").pivot("protocol", [first, second]).agg(F.first("total_bytes"))
     better = wide.withColumn("better", F.when(F.col(first) <= F.col(second), first).otherwise(second))
     return better.withColumn("before", F.lag("better").over(Window.orderBy("s"))).where("before is not null and before != better").select("s", "before", F.col("better").alias("after"))
+
+
+STAGE_COST = "stage int, name string, tasks int, rows_read bigint, shuffle_rows bigint, shuffle_bytes bigint, spilled_bytes bigint, task_seconds double, wall_seconds double"
+
+
+def engine_cost(spark: SparkSession, work: Callable[[], object]) -> DataFrame:
+    """What the engine did for all jobs that work starts: one row a stage that ran, from the session's own status store.
+
+    wall_seconds is the time of the whole call, on each row. The rows are as many as the plan has stages, whatever the data.
+    """
+    sc, tag = spark.sparkContext, f"cost-{uuid.uuid4().hex}"
+    sc.addJobTag(tag)
+    began = time.monotonic()
+    try:
+        work()
+    finally:
+        sc.removeJobTag(tag)
+    wall = time.monotonic() - began
+    core = sc._jsc.sc()
+    core.listenerBus().waitUntilEmpty()
+    store, wanted, rows = core.statusStore(), set(), []
+    jobs = store.jobsList(None)
+    for i in range(jobs.size()):
+        if jobs.apply(i).jobTags().contains(tag):
+            ids = jobs.apply(i).stageIds()
+            wanted.update(ids.apply(k) for k in range(ids.size()))
+    for i in sorted(wanted):
+        s = store.lastStageAttempt(i)
+        if s.numCompleteTasks():  # others were skipped: their exchange was there
+            rows.append((i, s.name(), s.numCompleteTasks(), s.inputRecords() + s.shuffleReadRecords(), s.shuffleWriteRecords(), s.shuffleWriteBytes(), s.memoryBytesSpilled() + s.diskBytesSpilled(), s.executorRunTime() / 1000, wall))
+    return spark.createDataFrame(rows, STAGE_COST)

@@ -79,17 +79,23 @@ def fixed_table_attempt(ours: DataFrame, theirs: DataFrame, cells: int, k: int =
     return peel_table(coded.subtract_cells(mixed_cells(ours, cells, k), mixed_cells(theirs, cells, k)), cells, k)
 
 
-def with_restarts(ours: DataFrame, theirs: DataFrame, first: int, growth: float = 2.0, k: int = 4, most: int = 20) -> tuple[Difference, int, int]:
-    """(difference, cells sent over all attempts, attempts): every failed attempt's table was sent in vain."""
-    size, sent = first, 0
+def with_restarts(ours: DataFrame, theirs: DataFrame, first: int, growth: float = 2.0, k: int = 4, most: int = 20) -> tuple[Difference, int]:
+    """(difference, attempts). Each session and segment has a table of its own; those that fail are sent again, larger.
+
+    used of the difference counts all cells sent, those of failed attempts too.
+    """
+    size, rows, sent = first, None, None
     for attempt in range(1, most + 1):
         peeled = snapshot(fixed_table_attempt(ours, theirs, size, k), "fixed-table")
-        sent += max(1, size // k) * k
-        if peeled.where("not done").isEmpty():
-            both = ours.unionByName(theirs).distinct()
-            rows = peeled.where("d is not null").select("sid", "seg", "d", "owner").join(both, ["sid", "seg", "d"])
-            used = peeled.where("d is null").groupBy("sid").agg(F.sum("used").cast("bigint").alias("cells"))
-            return Difference(rows, used, used.limit(0).select("sid", F.col("cells").alias("n"))), sent, attempt
+        tables = peeled.where("d is null").select("sid", "seg", "used", "done")
+        found = peeled.where("d is not null").select("sid", "seg", "d", "owner").join(ours.unionByName(theirs).distinct(), ["sid", "seg", "d"])
+        rows = found if rows is None else rows.unionByName(found)
+        sent = tables if sent is None else sent.unionByName(tables)
+        failed = tables.where("not done").select("sid", "seg")
+        if failed.isEmpty():
+            used = sent.groupBy("sid").agg(F.sum("used").cast("bigint").alias("cells"))
+            return Difference(rows, used, used.limit(0).select("sid", F.col("cells").alias("n"))), attempt
+        ours, theirs = (x.join(failed, ["sid", "seg"], "left_semi") for x in (ours, theirs))
         size = int(size * growth)
     raise RuntimeError(f"a table of {size} cells still does not decode")
 
@@ -97,9 +103,9 @@ def with_restarts(ours: DataFrame, theirs: DataFrame, first: int, growth: float
 def fixed_table_reconcile(r: Replicas, first: int, cfg: SyncConfig | None = None, growth: float = 2.0) -> SyncResult:
     """As rateless, but by tables of fixed sizes with restarts."""
     cfg = cfg or SyncConfig()
-    found, sent, _ = with_restarts(digests_of(r.b), digests_of(r.a), first, growth)
+    found, _ = with_restarts(digests_of(r.b), digests_of(r.a), first, growth)
     log = Transcript("fixed_table", r.sessions)
-    log.add("A", "cells", metadata=[r.sessions.select("sid", F.lit(sent * cfg.wire.cell).alias("metadata_bytes"))])
+    log.add("A", "cells", metadata=found.costs(cfg.wire))
     ours, asked = picked(r.b, found, "a_only"), picked(r.a, found, "b_only")
     log.add("B", "end_of_stream", ours, r.a, [found.rows.where("owner = 'b_only'").groupBy("sid").agg((F.count("*") * cfg.wire.digest).alias("metadata_bytes"))])
     log.add("A", "missing_state", asked, r.b)
@@ -107,9 +113,18 @@ def fixed_table_reconcile(r: Replicas, first: int, cfg: SyncConfig | None = None
 
 
 def filter_fixed_table(r: Replicas, slack: float = 1.5, k: int = 4) -> DataFrame:
-    """Filters, then one fixed table sized for the expected false positives: sid, seg, cells, done. It may fail."""
+    """Filters, then one fixed table a segment, sized for the false positives expected in the fullest one: sid, seg, cells, done. It may fail."""
     s = filter_split(r)
-    expected = r.a.count() * float(r.sessions.agg(F.max("eps")).first()[0]) * 2
-    cells = max(4 * k, int(slack * expected))
+    fullest = r.a.groupBy("sid", "seg").count().join(r.sessions.select("sid", "eps"), "sid").agg(F.max(F.col("count") * F.col("eps"))).first()[0]
+    cells = max(4 * k, int(slack * 2 * (fullest or 0.0)))
     peeled = fixed_table_attempt(digests_of(s.com_a), digests_of(s.com_b), cells, k)
     return peeled.where("d is null").select("sid", "seg", F.col("used").alias("cells"), "done")
+
+
+def failure_rate(r: Replicas, slacks: list[float], k: int = 4) -> DataFrame:
+    """slack, tables, failed, failure_rate: each segment of each session is a trial."""
+    out = None
+    for slack in slacks:
+        row = filter_fixed_table(r, slack, k).agg(F.lit(slack).alias("slack"), F.count("*").alias("tables"), F.count_if(~F.col("done")).alias("failed"))
+        out = row if out is None else out.unionByName(row)
+    return out.withColumn("failure_rate", F.try_divide("failed", "tables"))
