@@ -23,6 +23,33 @@ def test_cost_of_stages(spark):
     assert engine_cost(spark, lambda: None).count() == 0
 
 
+def test_cost_when_the_store_lets_go_of_skipped_stages(spark):
+    """A store that keeps few stages forgets skipped ones first; what ran still counts, and what ran and is forgotten raises."""
+    import os
+    import subprocess
+    import sys
+
+    code = """
+from pyspark.sql import SparkSession
+from replica_sync.plans.metrics import engine_cost
+spark = SparkSession.builder.master("local[2]").config("spark.ui.enabled", "false").config("spark.ui.retainedStages", "8").getOrCreate()
+sc = spark.sparkContext
+pairs = sc.parallelize(range(100), 2).map(lambda x: (x % 5, x)).groupByKey(2)
+pairs.count()
+again = lambda n: lambda: [pairs.count() for _ in range(n)]
+rows = engine_cost(spark, again(5)).collect()
+assert len(rows) == 5 and all(r.tasks == 2 for r in rows), rows
+try:
+    engine_cost(spark, again(30))
+except RuntimeError as e:
+    assert "retainedStages" in str(e)
+else:
+    raise AssertionError("stages went missing unnoticed")
+"""
+    ran = subprocess.run([sys.executable, "-c", code], env=dict(os.environ), capture_output=True, text=True, timeout=300)
+    assert ran.returncode == 0, ran.stderr[-3000:]
+
+
 def test_only_failed_tables_are_sent_again(spark, sf):
     r = pair(spark, sf, 4)
     found, attempts = fixed_table.with_restarts(digests_of(r.a), digests_of(r.b), 16)
