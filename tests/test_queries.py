@@ -43,3 +43,9 @@ def test_against_sql(spark, sf, duck, name):
 @pytest.mark.parametrize("name", [n for n in QUERIES if n not in ORACLES and n not in SLOW])
 def test_runs(spark, sf, name):
     assert QUERIES[name](spark, sf).count() >= 1
+
+
+@pytest.mark.parametrize("name", ["best_protocol_by_similarity", "crossover_points", "op_cross_grid", "op_math_fns", "op_recursive", "optimal_eps", "predict_grid"])
+def test_reads_a_given_table(spark, sf, name):
+    plan = QUERIES[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "parquet" in plan
