@@ -70,3 +70,23 @@ def test_only_failed_tables_are_sent_again(spark, sf):
 def test_larger_tables_fail_less(spark, sf):
     rates = [x.failure_rate for x in catalogue.queries()["filter_fixed_table_failures"](spark, sf).orderBy("slack").collect()]
     assert all(0 <= x <= 1 for x in rates) and rates == sorted(rates, reverse=True) and rates[-1] < 0.2
+
+
+def test_sweep_by_few_sessions_at_a_time(spark, sf, monkeypatch):
+    """One session under way at a time: the same rows, no payload and nothing of the sessions left in the shared folder."""
+    from pathlib import Path
+
+    from replica_sync.plans import workloads
+
+    parts = tables.snapshot(tables.parts_of(spark, sf, "supplier"))
+    rows = lambda: sorted(map(tuple, workloads.sweep(parts, ["bucketed", "filter_rateless"], [0.0, 0.75], [0.01], [1.0]).collect()))
+    together = rows()
+    monkeypatch.setattr(workloads, "SWEPT_PARTS", 1)
+    base = Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file://"))
+    before = {p.name for p in base.iterdir()}
+    assert rows() == together
+    left = {p.name for p in base.iterdir()} - before
+    assert len([n for n in left if n.startswith("metrics-")]) == 4 and all(n.startswith(("metrics-", "ranked-")) for n in left)
+    for folder in left:
+        if folder.startswith("ranked-"):
+            assert spark.read.parquet(f"file://{base / folder}").where("payload is not null").isEmpty()
