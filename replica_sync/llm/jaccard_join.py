@@ -8,6 +8,10 @@ rare shingles first (exact corpus counts, or their binary logarithm), with diffe
 counts, so that passages which many documents share hardly ever are in a prefix, and shingles that occur in one document only,
 which meet nothing, need not be indexed.
 
+A pair must also pass by the sketches of its sets: each element turns one bit, so that what two sets have in common
+cancels, and two sketches differ in no more bits than their sets have elements outside each other. Copies with more changes than
+a link allows, of which a large group makes a square of pairs that meet under every order, end there, before a row is made for them.
+
 Documents of equal sets are one node. Within the documents that share a prefix element, a few pivots at a
 time are compared with all of other components; documents that fell into one component need no further
 comparison, and a compared pivot leaves its group. This goes on until no group holds two components, so
@@ -16,6 +20,8 @@ no link between components is lost and no group is paired with itself at once.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -26,6 +32,8 @@ from replica_sync.llm.common import Words, dropped, kept_as_table, mixed, pick,
 from replica_sync.llm.graphs import components, nearer
 
 SHINGLE, PERCENT, ORDERS = 3, 90, 3
+#: Words of 64 bits in a set's sketch.
+SKETCH = 8
 
 
 class Shingles:
@@ -79,6 +87,14 @@ def allowed_misses(n: np.ndarray, percent: int = PERCENT) -> np.ndarray:
     return n - -(-percent * n // 100)
 
 
+def sketches(hashes: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
+    """A row of SKETCH words for each of n sets: every element turns one bit."""
+    out = np.zeros(n * SKETCH, dtype=np.uint64)
+    word = (hashes >> np.uint64(6)) % np.uint64(SKETCH)
+    np.bitwise_xor.at(out, doc * SKETCH + word.astype(np.int64), np.uint64(1) << (hashes & np.uint64(63)))
+    return out.reshape(n, SKETCH)
+
+
 def shingle_nodes(rows: DataFrame, blocks: int, width: int) -> DataFrame:
     """doc_id, address (of the text), n_shingles, node, block of every row: one narrow pass."""
 
@@ -97,7 +113,7 @@ def address_of(text: Column) -> Column:
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
-INDEXED = "node binary, n bigint, alone bigint, shingles array<bigint>, " + ", ".join(f"prefix{k} array<bigint>" for k in range(ORDERS))
+INDEXED = "node binary, n bigint, alone bigint, sketch array<bigint>, shingles array<bigint>, " + ", ".join(f"prefix{k} array<bigint>" for k in range(ORDERS))
 
 
 def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -136,7 +152,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         return out
 
     def index(table: pa.Table, answers: pa.Table) -> pa.Table:
-        kinds = [pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())] + [pa.list_(pa.int64())] * ORDERS
+        kinds = [pa.binary(), pa.int64(), pa.int64()] + [pa.list_(pa.int64())] * (2 + ORDERS)
         names = [x.split()[0] for x in INDEXED.split(", ")]
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names=names)
@@ -145,6 +161,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         told = [(p, x) for p, x in zip(answers.column("part").to_pylist(), answers.column("grams").to_pylist()) if x is not None]
         total = corrected(keys, count, told, parts, bits)
         doc, hashes, frequency = found.doc[at], found.hash[at], total[place]
+        sketch = sketches(hashes, doc, len(found.size)).view(np.int64)
         del place, keys, count, total
         # under every order the elements that no other set has come first; what they leave of the prefix is shared ones
         alone = np.bincount(doc[frequency == 1], minlength=len(found.size))
@@ -163,7 +180,7 @@ def indexed_sets(rows: DataFrame, lead: DataFrame, width: int = SHINGLE, percent
         alive = [i for i in docs.tolist() if all(own[i] for _, _, own in prefixes)]
         signed = found.hash.astype(np.uint64).view(np.int64)
         local = hashes.view(np.int64)
-        columns = [[nodes[i] for i in alive], [int(found.size[i]) for i in alive], [int(alone[i]) for i in alive], [signed[found.first[i] : found.first[i] + found.size[i]] for i in alive]]
+        columns = [[nodes[i] for i in alive], [int(found.size[i]) for i in alive], [int(alone[i]) for i in alive], [sketch[i] for i in alive], [signed[found.first[i] : found.first[i] + found.size[i]] for i in alive]]
         columns += [[local[take[start[i] : start[i] + own[i]]] for i in alive] for take, start, own in prefixes]
         out = pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
         trim()
@@ -180,6 +197,12 @@ def least_common(n: Column, m: Column, percent: int = PERCENT) -> Column:
     return F.ceil(percent * (n + m) / (100 + percent))
 
 
+def sketches_near(least: Column) -> Column:
+    """Whether sets of n and b_n elements can have so many in common, by their sketches: no pair that links is refused."""
+    differ = [F.bit_count(F.get("sketch", F.lit(i)).bitwiseXOR(F.get("b_sketch", F.lit(i)))) for i in range(SKETCH)]
+    return reduce(Column.__add__, differ) <= F.col("n") + F.col("b_n") - 2 * least
+
+
 def compared(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
     """Of pairs (a, b) of nodes those that pass under all other orders and whose sets are similar enough.
 
@@ -212,15 +235,15 @@ def linked_nodes(sets: DataFrame, percent: int = PERCENT, pivots: int = 8) -> Da
     Between rounds roots are only brought nearer (each is reached by links); the last call settles them.
     """
     sets = kept_as_table(sets, "shingle-sets")
-    posted = sets.select("node", "n", "alone", F.posexplode("prefix0").alias("at", "token")).select("token", "node", "n", (F.col("alone") + F.col("at")).alias("place"))
+    posted = sets.select("node", "n", "alone", "sketch", F.posexplode("prefix0").alias("at", "token")).select("token", "node", "n", "sketch", (F.col("alone") + F.col("at")).alias("place"))
     several = posted.groupBy("token").count().where(F.col("count") > 1).select("token")
     open_ = kept_as_table(posted.join(several, "token").withColumn("root", F.col("node")), "postings")
     links, roots = None, None
     while True:
         pivot = F.pmod(F.xxhash64("node"), F.lit(pivots))
-        chosen = kept_as_table(open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "place", "root")).alias("p")).select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.place").alias("b_place"), F.col("p.root").alias("b_root")), "pivots")
+        chosen = kept_as_table(open_.groupBy("token", pivot.alias("slot")).agg(F.min(F.struct("node", "n", "place", "root", "sketch")).alias("p")).select("token", F.col("p.node").alias("b"), F.col("p.n").alias("b_n"), F.col("p.place").alias("b_place"), F.col("p.root").alias("b_root"), F.col("p.sketch").alias("b_sketch")), "pivots")
         least = least_common(F.col("n"), F.col("b_n"), percent)
-        near = (F.col("place") + least <= F.col("n")) & (F.col("b_place") + least <= F.col("b_n")) & (F.col("root") != F.col("b_root"))
+        near = (F.col("place") + least <= F.col("n")) & (F.col("b_place") + least <= F.col("b_n")) & (F.col("root") != F.col("b_root")) & sketches_near(least)
         pairs = open_.join(chosen, "token").where(near).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
         new = compared(pairs, sets, percent)
         left = open_.join(chosen.select("token", F.col("b").alias("node")), ["token", "node"], "left_anti")

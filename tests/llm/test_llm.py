@@ -329,6 +329,36 @@ def test_join_of_families(spark):
     check_components(spark, texts)
 
 
+def test_join_compares_few_pairs_of_a_large_group(spark, monkeypatch):
+    """Copies of one text that differ a little too much to link: they meet under every order, but few pairs are made."""
+    r = random.Random(4)
+    base = [f"w{i}" for i in range(130)]
+    texts = {}
+    for i in range(120):
+        own = list(base)
+        for k in r.sample(range(5, 125), 2 if i % 8 else 1):
+            own[k] = f"x{i}_{k}"
+        texts[i] = " ".join(own)
+    made, compared = [], jaccard_join.compared
+    monkeypatch.setattr(jaccard_join, "compared", lambda pairs, *a: made.append(pairs.count()) or compared(pairs, *a))
+    check_components(spark, texts)
+    sets = [shingles(t) for t in texts.values()]
+    links = sum(100 * len(a & b) >= 90 * len(a | b) for i, a in enumerate(sets) for b in sets[:i])
+    assert links and sum(made) <= 3 * links, (made, links)
+
+
+def test_sketches_refuse_no_link():
+    r = np.random.default_rng(3)
+    for n in (1, 5, 40, 130, 900, 5000):
+        common = r.integers(0, 2**64, n, dtype=np.uint64)
+        for own in (0, 1, n // 20, n // 10):
+            a, b = (np.concatenate([common, r.integers(0, 2**64, own, dtype=np.uint64)]) for _ in range(2))
+            doc = np.repeat([0, 1], [len(a), len(b)])
+            x, y = jaccard_join.sketches(np.concatenate([a, b]), doc, 2)
+            apart = int(np.bitwise_count(x ^ y).sum())
+            assert apart <= 2 * own and (own > 13 or apart >= own)
+
+
 def test_least_common():
     for n in range(1, 60):
         for m in range(1, 60):
