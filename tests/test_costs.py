@@ -90,3 +90,16 @@ def test_sweep_by_few_sessions_at_a_time(spark, sf, monkeypatch):
     for folder in left:
         if folder.startswith("ranked-"):
             assert spark.read.parquet(f"file://{base / folder}").where("payload is not null").isEmpty()
+
+
+def test_sweep_with_filters_in_several_segments_as_its_sql(spark, sf):
+    """Segments of a replica share one filter: bytes by w2_bytes' SQL, however many there are."""
+    import duckdb
+
+    from replica_sync.plans import engine, workloads
+
+    con = duckdb.connect()
+    con.sql(f"create view events as select * from '{sf}/events.parquet'")
+    want = {tuple(r) for r in con.sql(engine.filtered_sweep_sql([0.45], [0.25], [0.2])).fetchall() if r[1] == "filter_bucketed"}
+    swept = workloads.sweep(engine.events_parts(spark, sf), ["filter_bucketed"], [0.45], [0.25], [0.2], SyncConfig(segments=6))
+    assert {tuple(r) for r in engine.told_bytes(swept, "filter_bucketed").collect()} == want and len(want) == 1
