@@ -103,3 +103,17 @@ def test_sweep_with_filters_in_several_segments_as_its_sql(spark, sf):
     want = {tuple(r) for r in con.sql(engine.filtered_sweep_sql([0.45], [0.25], [0.2])).fetchall() if r[1] == "filter_bucketed"}
     swept = workloads.sweep(engine.events_parts(spark, sf), ["filter_bucketed"], [0.45], [0.25], [0.2], SyncConfig(segments=6))
     assert {tuple(r) for r in engine.told_bytes(swept, "filter_bucketed").collect()} == want and len(want) == 1
+
+
+def test_sweep_with_cells_in_several_segments_as_its_sql(spark, sf):
+    """The same for the protocols whose filters are followed by cells: parts and buckets are reconciled by segment, filters are not."""
+    import duckdb
+
+    from replica_sync.plans import engine, workloads
+
+    protocols = ["filter_rateless", "filter_bucketed_rateless"]
+    con = duckdb.connect()
+    con.sql(f"create view events as select * from '{sf}/events.parquet'")
+    want = {tuple(r) for r in con.sql(engine.filtered_sweep_sql([0.45], [0.25], [0.2])).fetchall() if r[1] in protocols}
+    swept = workloads.sweep(engine.events_parts(spark, sf), protocols, [0.45], [0.25], [0.2], SyncConfig(segments=6))
+    assert {tuple(r) for r in engine.told_bytes(swept, "filter_bucketed").collect()} == want and len(want) == 2
