@@ -117,3 +117,31 @@ def test_sweep_with_cells_in_several_segments_as_its_sql(spark, sf):
     want = {tuple(r) for r in con.sql(engine.filtered_sweep_sql([0.45], [0.25], [0.2])).fetchall() if r[1] in protocols}
     swept = workloads.sweep(engine.events_parts(spark, sf), protocols, [0.45], [0.25], [0.2], SyncConfig(segments=6))
     assert {tuple(r) for r in engine.told_bytes(swept, "filter_bucketed").collect()} == want and len(want) == 2
+
+
+def test_bucket_digests_are_made_once_and_lie_by_segment(spark, sf, monkeypatch):
+    """Slices of the cell stream read what was kept of both sides, and a segment's cells leave one task."""
+    from replica_sync.protocols import base, exact
+
+    pair = tables.snapshot(replicas.make_pair(tables.parts_of(spark, sf, "orders"), 0.5))
+    r = Replicas.single(*replicas.sides(pair))
+    counts = exact.counts_by(r.a, r.sessions)
+    made = spark.sparkContext.accumulator(0)
+
+    def noted(h):
+        made.add(1)
+        return h
+
+    def placed(digests, low, high, coded_cells=base.coded.coded_cells):
+        tasks = digests.select("sid", "seg", F.spark_partition_id().alias("task")).distinct().groupBy("sid", "seg").count()
+        spread.append(tasks.agg(F.max("count")).first()[0])
+        return coded_cells(digests, low, high)
+
+    spread = []
+    monkeypatch.setattr(base.coded, "coded_cells", placed)
+    theirs = exact.numbered(r.b.withColumn("h", F.udf(noted, "string")("h")), counts)
+    bad, _ = exact.bucket_reconciled(exact.numbered(r.a, counts), theirs, counts, SyncConfig(segments=6))
+    want = exact.mismatched(*(exact.bucket_digests(exact.numbered(x, counts)) for x in (r.a, r.b)))
+    assert sorted(map(tuple, bad.collect())) == sorted(map(tuple, want.collect())) and not want.isEmpty()
+    assert made.value == r.b.count()
+    assert len(spread) > 2 and max(spread) == 1
