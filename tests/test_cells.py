@@ -133,3 +133,21 @@ def test_cells_of_many_segments_in_little_memory(spark, sf):
     parts = tables.parts_of(spark, sf, "orders", segments=40).withColumn("sid", F.lit(0).cast("bigint"))
     whole, bounded = coded.coded_cells(parts, 0, 64), coded.coded_cells(parts, 0, 64, held_cells=128)
     assert whole.exceptAll(bounded).isEmpty() and bounded.exceptAll(whole).isEmpty()
+
+
+@pytest.mark.parametrize("n, upto", [(0, 64), (1, 600), (300, 600), (450, 600), (520, 600), (3000, 4800)])
+def test_rounds_decode_as_one_cell_at_a_time(n, upto):
+    """The same digests, owners and cells used, decodable or not."""
+    import numpy as np
+
+    r = np.random.default_rng(n)
+    d, sign = r.integers(0, 1 << 60, n).astype(np.uint64), r.choice([-1, 1], n)
+    ids, checks, counts = np.zeros(upto, dtype=np.uint64), np.zeros(upto, dtype=np.uint64), np.zeros(upto, dtype=np.int64)
+    for rows, at in coded.memberships(d, 0, upto):
+        np.bitwise_xor.at(ids, at, d[rows])
+        np.bitwise_xor.at(checks, at, coded.checks_of(d)[rows])
+        np.add.at(counts, at, sign[rows])
+    cells = ids.astype(np.int64), checks.astype(np.int64), counts
+    one, all_ = coded.decoded(*cells), coded.decoded_by_rounds(*cells)
+    assert dict(zip(*one[:2])) == dict(zip(*all_[:2])) and one[2:] == all_[2:] and len(all_[0]) in (0, n)
+    assert one[3] == (n < 520 or n == 3000)

@@ -145,3 +145,27 @@ def test_bucket_digests_are_made_once_and_lie_by_segment(spark, sf, monkeypatch)
     assert sorted(map(tuple, bad.collect())) == sorted(map(tuple, want.collect())) and not want.isEmpty()
     assert made.value == r.b.count()
     assert len(spread) > 2 and max(spread) == 1
+
+
+def test_steps_of_a_sweep_use_the_places_of_parts(spark, sf):
+    """Joins of parts and digests of buckets exchange and sort nothing again; what a sweep kept and set is gone at its end."""
+    from replica_sync.operators.buckets import bucket_digests, mismatched
+    from replica_sync.protocols import base, exact
+
+    r = pair(spark, sf, 3)
+    counts = tables.snapshot(exact.counts_by(r.a, r.sessions), "counts")
+    before = {name: spark.conf.get(name) for name in tables.BY_PLACE}
+    steps = lambda r, a, b: {"without": base.without(r.a, r.b), "within": base.within(a, b), "mismatched": mismatched(bucket_digests(a), bucket_digests(b))}
+    rows = lambda df: sorted(map(tuple, df.select("sid", df.columns[1], *(["h"] if "h" in df.columns else [])).collect()))
+    want = {name: rows(df) for name, df in steps(r, exact.numbered(r.a, counts), exact.numbered(r.b, counts)).items()}
+    assert want["without"] and want["within"] and want["mismatched"]
+    with tables.placing(spark, 300_000):
+        found = steps(r.by_segment(), exact.by_bucket(r.a, counts), exact.by_bucket(r.b, counts))
+        for name, df in found.items():
+            assert rows(df) == want[name]
+            plan = df._jdf.queryExecution().sparkPlan().toString()
+            assert "InMemoryTableScan" in plan and "SortMergeJoin" not in plan, name
+        kept = list(tables._places[-1][1])
+        assert len(kept) == 4 and all(df.storageLevel.useDisk for df in kept)
+    assert not any(df.storageLevel.useDisk for df in kept)
+    assert {name: spark.conf.get(name) for name in tables.BY_PLACE} == before
