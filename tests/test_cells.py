@@ -135,7 +135,7 @@ def test_cells_of_many_segments_in_little_memory(spark, sf):
     assert whole.exceptAll(bounded).isEmpty() and bounded.exceptAll(whole).isEmpty()
 
 
-@pytest.mark.parametrize("n, upto", [(0, 64), (1, 600), (300, 600), (450, 600), (520, 600), (3000, 4800)])
+@pytest.mark.parametrize("n, upto", [(0, 64), (1, 600), (300, 600), (450, 900), (590, 600), (3000, 4800)])
 def test_rounds_decode_as_one_cell_at_a_time(n, upto):
     """The same digests, owners and cells used, decodable or not."""
     import numpy as np
@@ -150,4 +150,4 @@ def test_rounds_decode_as_one_cell_at_a_time(n, upto):
     cells = ids.astype(np.int64), checks.astype(np.int64), counts
     one, all_ = coded.decoded(*cells), coded.decoded_by_rounds(*cells)
     assert dict(zip(*one[:2])) == dict(zip(*all_[:2])) and one[2:] == all_[2:] and len(all_[0]) in (0, n)
-    assert one[3] == (n < 520 or n == 3000)
+    assert one[3] == (n != 590)  # cells for more than nine tenths of themselves do not decode
